@@ -25,7 +25,43 @@ SELECT w.doc_id, len(ws)::BIGINT AS n_words, (len(ws) - coalesce(n, 0))::BIGINT
 FROM w LEFT JOIN kept USING (doc_id)
 """
 
-_QUERIES = [op1_substring_dedup]
+def op2_sharding(spark, sf_dir):
+    from .sharding import shuffle_into_shards
+
+    out = shuffle_into_shards(table(spark, sf_dir, "documents").select("doc_id", "text"), shards=8)
+    text = F.coalesce("text", F.lit(""))
+    return out.select(
+        "doc_id",
+        (F.octet_length(text) + 1).cast("long").alias("size"),
+        F.crc32(text.cast("binary")).alias("text_crc32"),
+        F.lit("rows").alias("law"),
+        "shard",
+        F.col("slot").cast("long").alias("slot"),
+        F.lit(None).cast("int").alias("grown_shard"),
+    )
+
+
+def op3_quality(spark, sf_dir):
+    from . import quality
+    from .sampling import fold
+
+    docs = table(spark, sf_dir, "documents")
+    model = quality.fit(docs, table(spark, sf_dir, "labels"), usable=fold() != 0)
+    scored = docs.select("doc_id", model.column("text").alias("score"))
+    return scored.select("doc_id", F.coalesce(fold() == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op8_language(spark, sf_dir):
+    from . import language
+    from .sampling import fold
+
+    docs = table(spark, sf_dir, "documents")
+    model = language.fit(docs, usable=fold() != 0)
+    found = docs.select("doc_id", model.column("text").alias("found"))
+    return found.select("doc_id", F.coalesce(fold() == 0, F.lit(False)).alias("held_out"), F.col("found.lang").alias("lang_pred"), F.col("found.score").alias("score"))
+
+
+_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op8_language]
 _SQL = {"op1_substring_dedup": OP1_SQL}
 
 
