@@ -51,6 +51,56 @@ def op3_quality(spark, sf_dir):
     return scored.select("doc_id", F.coalesce(fold() == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
 
 
+def op5_license_scan(spark, sf_dir):
+    from .license_scan import scan
+
+    out = scan(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    places, hits = F.col("found.places"), F.col("found.hits")
+    base = F.array_sort(F.array_distinct(F.transform(places, lambda p: p["label"])))
+    method = F.transform(hits, lambda h: F.substring_index(h["label"], "-notice", 1))
+    n_base = F.size(places)
+    return out.select(
+        "doc_id",
+        F.col("found.n_words").cast("long").alias("n_words"),
+        n_base.cast("long").alias("n_base"),
+        F.array_min(F.transform(places, lambda p: p["first_word"])).cast("long").alias("first_word"),
+        F.array_max(F.transform(places, lambda p: p["first_word"])).cast("long").alias("last_word"),
+        F.array_join(base, ",").alias("base_labels"),
+        F.array_join(F.array_sort(F.array_distinct(F.concat(base, method))), ",").alias("labels"),
+        F.when(n_base > 0, F.lit(1.0)).otherwise(F.coalesce(F.array_max(F.transform(hits, lambda h: h["containment"])), F.lit(0.0))).alias("score"),
+    )
+
+
+def _op5_sql():
+    import math
+
+    from .license_scan import PHRASES, TEMPLATES, THRESHOLD
+
+    rows = []
+    for label, text in TEMPLATES.items():
+        own = sorted(set(text.split()))
+        rows.append(f"('{label.removesuffix('-notice')}', {own}, {len(text.split())}, {math.ceil(THRESHOLD * len(own) - 1e-9)})")
+    phrases = []
+    for phrase, label in PHRASES.items():
+        parts = phrase.split()
+        same = " AND ".join(f"ws[i + {j + 1}] = '{w}'" for j, w in enumerate(parts))
+        phrases.append(f"SELECT doc_id, '{label}' AS label, i FROM w, unnest(range(0, len(ws) - {len(parts) - 1})) t(i) WHERE {same}")
+    return rf"""
+WITH w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM documents),
+place AS ({" UNION ALL ".join(phrases)}),
+base AS (SELECT doc_id, count(*) AS n, min(i) AS lo, max(i) AS hi, list_sort(list_distinct(list(label))) AS labels FROM place GROUP BY doc_id),
+template(label, own, stride, need) AS (VALUES {", ".join(rows)}),
+block AS (SELECT doc_id, label, need, len(own) AS m, len(list_intersect(list_distinct(ws[b * stride + 1:b * stride + 2 * stride]), own)) AS c
+          FROM w, template, unnest(range(0, (len(ws) + stride - 1) // stride)) t(b)),
+hit AS (SELECT doc_id, max(c / m) AS best, list(DISTINCT label) AS labels FROM block WHERE c >= need GROUP BY doc_id)
+SELECT w.doc_id, len(ws)::BIGINT AS n_words, coalesce(n, 0)::BIGINT AS n_base, lo::BIGINT AS first_word, hi::BIGINT AS last_word,
+       coalesce(array_to_string(base.labels, ','), '') AS base_labels,
+       coalesce(array_to_string(list_sort(list_distinct(list_concat(coalesce(base.labels, []), coalesce(hit.labels, [])))), ','), '') AS labels,
+       CASE WHEN n > 0 THEN 1.0 ELSE coalesce(best, 0.0) END::DOUBLE AS score
+FROM w LEFT JOIN base USING (doc_id) LEFT JOIN hit USING (doc_id)
+"""
+
+
 def op8_language(spark, sf_dir):
     from . import language
     from .sampling import fold
@@ -61,8 +111,8 @@ def op8_language(spark, sf_dir):
     return found.select("doc_id", F.coalesce(fold() == 0, F.lit(False)).alias("held_out"), F.col("found.lang").alias("lang_pred"), F.col("found.score").alias("score"))
 
 
-_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op8_language]
-_SQL = {"op1_substring_dedup": OP1_SQL}
+_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op5_license_scan, op8_language]
+_SQL = {"op1_substring_dedup": OP1_SQL, "op5_license_scan": _op5_sql()}
 
 
 def queries():
