@@ -51,6 +51,12 @@ def op3_quality(spark, sf_dir):
     return scored.select("doc_id", F.coalesce(fold() == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
 
 
+def op4_near_dup(spark, sf_dir):
+    from .near_dup import classes
+
+    return classes(table(spark, sf_dir, "documents"))
+
+
 def op5_license_scan(spark, sf_dir):
     from .license_scan import scan
 
@@ -111,7 +117,7 @@ def op8_language(spark, sf_dir):
     return found.select("doc_id", F.coalesce(fold() == 0, F.lit(False)).alias("held_out"), F.col("found.lang").alias("lang_pred"), F.col("found.score").alias("score"))
 
 
-_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op5_license_scan, op8_language]
+_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op8_language]
 _SQL = {"op1_substring_dedup": OP1_SQL, "op5_license_scan": _op5_sql()}
 
 
