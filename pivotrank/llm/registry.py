@@ -117,7 +117,14 @@ def op8_language(spark, sf_dir):
     return found.select("doc_id", F.coalesce(fold() == 0, F.lit(False)).alias("held_out"), F.col("found.lang").alias("lang_pred"), F.col("found.score").alias("score"))
 
 
-_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op8_language]
+def op9_decontaminate(spark, sf_dir):
+    from .decontaminate import leaks
+
+    out = leaks(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
+    return out.select("doc_id", F.inline("leaks"))
+
+
+_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op8_language, op9_decontaminate]
 _SQL = {"op1_substring_dedup": OP1_SQL, "op5_license_scan": _op5_sql()}
 
 
