@@ -124,7 +124,15 @@ def op9_decontaminate(spark, sf_dir):
     return out.select("doc_id", F.inline("leaks"))
 
 
-_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op8_language, op9_decontaminate]
+def op10_nearest(spark, sf_dir):
+    from .hnsw import index, nearest
+
+    points = table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").alias("v"))
+    out = nearest(index(points), points.where(F.col("id") % 20 == 0), 20)
+    return out.select("query_id", "rank", F.col("id").alias("vec_id"), "score")
+
+
+_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op8_language, op9_decontaminate, op10_nearest]
 _SQL = {"op1_substring_dedup": OP1_SQL, "op5_license_scan": _op5_sql()}
 
 
