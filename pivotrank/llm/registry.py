@@ -107,6 +107,27 @@ FROM w LEFT JOIN base USING (doc_id) LEFT JOIN hit USING (doc_id)
 """
 
 
+def sentence_pieces(path: str | None = None):
+    """The encoder of a model file; where no path is given, of the public 32k model."""
+    from .sentencepieces import SentencePieces
+
+    if path is None:
+        import public_tokenizers
+
+        path = public_tokenizers.path("piece_bpe_32k.model")
+    with open(path, "rb") as f:
+        return SentencePieces(f.read())
+
+
+def op6_sentencepiece(spark, sf_dir):
+    tool = sentence_pieces()
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    held = docs.withColumn("e", tool.encoded("text"))
+    back = held.withColumn("back", tool.decoded(F.col("e.ids")))
+    same = F.col("back") == F.translate(F.coalesce("text", F.lit("")), "\u2581", " ")
+    return back.select("doc_id", F.size("e.ids").cast("long").alias("n_tokens"), F.xxhash64("e.ids").alias("ids_hash"), F.col("e.parity").alias("parity"), same.alias("round_trip"))
+
+
 def op8_language(spark, sf_dir):
     from . import language
     from .sampling import fold
@@ -132,7 +153,7 @@ def op10_nearest(spark, sf_dir):
     return out.select("query_id", "rank", F.col("id").alias("vec_id"), "score")
 
 
-_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op8_language, op9_decontaminate, op10_nearest]
+_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op6_sentencepiece, op8_language, op9_decontaminate, op10_nearest]
 _SQL = {"op1_substring_dedup": OP1_SQL, "op5_license_scan": _op5_sql()}
 
 
