@@ -1,0 +1,208 @@
+"""An adaptive context-mixing range coder for token ids, many blocks at a time.
+
+Every block is coded on its own, from fresh models. Three models predict the next id: order 2 and
+order 1 name the id that last followed the last two ids or the last one; order 0 knows how often each
+high byte, and each low byte behind it, has come. One decision says whether the order-2 guess is right;
+its chance is mixed, by weights that learn, from the records of both guesses and from how often such
+guesses have been right. If it is wrong and order 1 guesses another id, a second decision follows; if
+that fails as well, order 0 codes both bytes. Decisions and bytes drive one range coder.
+
+All blocks of a batch advance together, one id at a time, so a step is a few operations on arrays with
+an entry for each block. Encoder and decoder run the same code.
+"""
+
+from __future__ import annotations
+
+import numpy as np
+
+_TOTAL = 15  # binary digits of a total of frequencies
+_TOP, _BOTTOM = np.uint64(1 << 24), np.uint64(1 << 16)
+_MASK = np.uint64(0xFFFFFFFF)
+_HASH2, _HASH1, _GROUPS, _REFRESH = 12, 11, 4, 48
+_STRETCH = np.log(np.arange(1, 4096) / (4096 - np.arange(1, 4096))).astype(np.float32)
+
+
+class _Range:
+    """Range coders of several blocks: encoders if ``data`` is None."""
+
+    def __init__(self, lanes: int, data: list[bytes] | None, capacity: int):
+        self.low = np.zeros(lanes, np.uint64)
+        self.range = np.full(lanes, 0xFFFFFFFF, np.uint64)
+        self.at = np.zeros(lanes, np.int64)
+        self.reading = data is not None
+        if self.reading:
+            size = max(map(len, data), default=0) + 8
+            self.bytes = np.zeros((lanes, size), np.uint8)
+            for i, x in enumerate(data):
+                self.bytes[i, : len(x)] = np.frombuffer(x, np.uint8)
+            self.code = np.zeros(lanes, np.uint64)
+            for _ in range(4):
+                self.code = (self.code << np.uint64(8)) | self.bytes[np.arange(lanes), self.at]
+                self.at += 1
+        else:
+            self.bytes = np.zeros((lanes, capacity), np.uint8)
+
+    def target(self, i: np.ndarray) -> np.ndarray:
+        """Where in the total the next symbol of the blocks ``i`` lies."""
+        part = self.range[i] >> np.uint64(_TOTAL)
+        return np.minimum(((self.code[i] - self.low[i]) & _MASK) // part, np.uint64((1 << _TOTAL) - 1)).astype(np.int64)
+
+    def narrow(self, i: np.ndarray, start: np.ndarray, size: np.ndarray) -> None:
+        """Takes the part from ``start``, ``size`` long, of each block's range; whole bytes go out or come in."""
+        part = self.range[i] >> np.uint64(_TOTAL)
+        low = (self.low[i] + part * start.astype(np.uint64)) & _MASK
+        wide = part * size.astype(np.uint64)
+        while True:
+            same = ((low ^ (low + wide)) < _TOP) & (low + wide <= _MASK)
+            tight = ~same & (wide < _BOTTOM)
+            move = same | tight
+            k = np.flatnonzero(move)
+            if not len(k):
+                break
+            t = np.flatnonzero(tight)
+            wide[t] = (np.uint64(0) - low[t]) & (_BOTTOM - np.uint64(1))
+            j = i[k]
+            if self.reading:
+                self.code[j] = ((self.code[j] << np.uint64(8)) | self.bytes[j, np.minimum(self.at[j], self.bytes.shape[1] - 1)]) & _MASK
+            else:
+                self.bytes[j, self.at[j]] = low[k] >> np.uint64(24)
+            self.at[j] += 1
+            low[k] = (low[k] << np.uint64(8)) & _MASK
+            wide[k] = wide[k] << np.uint64(8)
+        self.low[i], self.range[i] = low, wide
+
+    def finish(self) -> list[bytes]:
+        rows = np.arange(len(self.low))
+        for _ in range(4):
+            self.bytes[rows, self.at] = self.low >> np.uint64(24)
+            self.low = (self.low << np.uint64(8)) & _MASK
+            self.at += 1
+        return [self.bytes[i, :n].tobytes() for i, n in enumerate(self.at)]
+
+
+class _Flag:
+    """Yes-or-no decisions whose chances are mixed from two records by learned weights."""
+
+    def __init__(self, lanes: int, states: int):
+        self.chance = np.full((lanes, 2, states), 0.5, np.float32)
+        self.weight = np.full((lanes, 2), 0.6, np.float32)
+
+    def code(self, coder: _Range, i: np.ndarray, first: np.ndarray, second: np.ndarray, said: np.ndarray | None) -> np.ndarray:
+        a, b = self.chance[i, 0, first], self.chance[i, 1, second]
+        sa, sb = _STRETCH[(a * 4094).astype(np.int32)], _STRETCH[(b * 4094).astype(np.int32)]
+        wa, wb = self.weight[i, 0], self.weight[i, 1]
+        p = np.float32(1) / (np.float32(1) + np.exp(-np.clip(wa * sa + wb * sb, -7, 7)))
+        yes = (p * ((1 << _TOTAL) - 2)).astype(np.int64) + 1
+        if said is None:
+            said = coder.target(i) < yes
+        coder.narrow(i, np.where(said, 0, yes), np.where(said, yes, (1 << _TOTAL) - yes))
+        bit = said.astype(np.float32)
+        wrong = (bit - p) * np.float32(0.02)
+        self.weight[i, 0], self.weight[i, 1] = wa + wrong * sa, wb + wrong * sb
+        self.chance[i, 0, first], self.chance[i, 1, second] = a + (bit - a) * np.float32(0.06), b + (bit - b) * np.float32(0.06)
+        return said
+
+
+class _Bytes:
+    """Bytes by adaptive frequencies, in one of several tables; totals are drawn up again from time to time."""
+
+    def __init__(self, lanes: int, tables: int):
+        self.count = np.ones((lanes, tables, 256), np.uint16)
+        self.refresh()
+
+    def refresh(self) -> None:
+        ends = np.cumsum(self.count, 2, dtype=np.uint32)
+        total = ends[:, :, -1:]
+        start = np.zeros((*self.count.shape[:2], 257), np.uint32)
+        # every byte keeps a part of the total, however rare
+        start[:, :, 1:] = (ends * np.uint32((1 << _TOTAL) - 256)) // total + np.arange(1, 257, dtype=np.uint32)
+        self.start = start.astype(np.int32).reshape(len(start), -1)
+        self.count = np.where(total > 24000, (self.count + 1) >> 1, self.count).astype(np.uint16)
+
+    def code(self, coder: _Range, i: np.ndarray, table: np.ndarray, said: np.ndarray | None) -> np.ndarray:
+        base = table * 257
+        if said is None:
+            target, said, step = coder.target(i), np.zeros(len(i), np.int64), 128
+            while step:
+                said += np.where(self.start[i, base + said + step] <= target, step, 0)
+                step >>= 1
+        start = self.start[i, base + said]
+        coder.narrow(i, start, self.start[i, base + said + 1] - start)
+        self.count[i, table, said] += 24
+        return said
+
+
+def _run(lengths: np.ndarray, ids: np.ndarray | None, data: list[bytes] | None):
+    """Codes blocks of the given lengths, longest first: ids by block and place, or None to decode ``data``."""
+    lanes, longest = len(lengths), int(lengths.max(initial=0))
+    coder = _Range(lanes, data, longest * 5 + 16)
+    out = np.zeros((lanes, longest), np.int64) if ids is None else ids
+    guess2, trust2 = np.full((lanes, 1 << _HASH2), -1, np.int32), np.zeros((lanes, 1 << _HASH2), np.int8)
+    guess1, trust1 = np.full((lanes, 1 << _HASH1), -1, np.int32), np.zeros((lanes, 1 << _HASH1), np.int8)
+    second, first = _Flag(lanes, 64), _Flag(lanes, 64)
+    high, low = _Bytes(lanes, 1), _Bytes(lanes, _GROUPS)
+    one, two = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
+    for step in range(longest):
+        n = int(np.searchsorted(-lengths, -step, side="left"))  # blocks that go on
+        rows = np.arange(n)
+        h2 = ((one[:n] * 40503 + two[:n] * 30011) & 0xFFFFFFFF) * 2654435761 >> 20 & ((1 << _HASH2) - 1)
+        h1 = (one[:n] * 2654435761 >> 18) & ((1 << _HASH1) - 1)
+        g2, t2, g1, t1 = guess2[rows, h2], trust2[rows, h2], guess1[rows, h1], trust1[rows, h1]
+        agree = g2 == g1
+        got = out[:n, step] if ids is not None else np.zeros(n, np.int64)
+        asked = np.flatnonzero(g2 >= 0)
+        hit = np.zeros(n, bool)
+        if len(asked):
+            states = (t2[asked] * 2 + agree[asked], t1[asked] * 2 + agree[asked])
+            said = second.code(coder, asked, *states, got[asked] == g2[asked] if ids is not None else None)
+            hit[asked] = said
+            if ids is None:
+                got[asked[said]] = g2[asked[said]]
+        asked = np.flatnonzero(~hit & ~agree & (g1 >= 0))
+        if len(asked):
+            said = first.code(coder, asked, t1[asked], t2[asked], got[asked] == g1[asked] if ids is not None else None)
+            hit[asked] = said
+            if ids is None:
+                got[asked[said]] = g1[asked[said]]
+        rest = np.flatnonzero(~hit)
+        if len(rest):
+            zero = np.zeros(len(rest), np.int64)
+            upper = high.code(coder, rest, zero, got[rest] >> 8 if ids is not None else None)
+            lower = low.code(coder, rest, upper & (_GROUPS - 1), got[rest] & 255 if ids is not None else None)
+            if ids is None:
+                got[rest] = upper << 8 | lower
+        if ids is None:
+            out[:n, step] = got
+        for guess, trust, h, g, t in ((guess2, trust2, h2, g2, t2), (guess1, trust1, h1, g1, t1)):
+            right = g == got
+            guess[rows, h] = np.where(right | (t > 1), g, got)
+            trust[rows, h] = np.where(right, np.minimum(t + 1, 31), t >> 1)
+        two[:n], one[:n] = one[:n], got
+        if step % _REFRESH == _REFRESH - 1:
+            high.refresh()
+            low.refresh()
+    return coder.finish() if ids is not None else out
+
+
+def encode(blocks: list[np.ndarray]) -> list[bytes]:
+    """Each block of ids under 65,536 as bytes."""
+    lengths = np.array([len(b) for b in blocks], np.int64)
+    order = np.argsort(-lengths, kind="stable")
+    ids = np.zeros((len(blocks), int(lengths.max(initial=0))), np.int64)
+    for row, i in enumerate(order):
+        ids[row, : lengths[i]] = blocks[i]
+    out: list[bytes] = [b""] * len(blocks)
+    for row, x in enumerate(_run(lengths[order], ids, None)):
+        out[order[row]] = x
+    return out
+
+
+def decode(data: list[bytes], lengths: list[int]) -> list[np.ndarray]:
+    """The blocks of ids that ``encode`` was given, by their lengths."""
+    sizes = np.array(lengths, np.int64)
+    order = np.argsort(-sizes, kind="stable")
+    got = _run(sizes[order], None, [data[i] for i in order])
+    out: list[np.ndarray] = [np.empty(0, np.uint32)] * len(data)
+    for row, i in enumerate(order):
+        out[i] = got[row, : sizes[i]].astype(np.uint32)
+    return out

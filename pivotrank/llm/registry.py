@@ -128,6 +128,21 @@ def op6_sentencepiece(spark, sf_dir):
     return back.select("doc_id", F.size("e.ids").cast("long").alias("n_tokens"), F.xxhash64("e.ids").alias("ids_hash"), F.col("e.parity").alias("parity"), same.alias("round_trip"))
 
 
+def byte_tokenizer(path: str | None = None):
+    """(content of a tokenizer file, its pre-tokenising pattern); without a path, the public 50k one."""
+    import public_tokenizers
+
+    with open(path or public_tokenizers.path("byte_bpe_50k.json"), encoding="utf-8") as f:
+        return f.read(), public_tokenizers.PATTERN
+
+
+def op7_token_files(spark, sf_dir):
+    from .token_files import ids_crc32, read_files, write_files
+
+    files = write_files(table(spark, sf_dir, "documents"), *byte_tokenizer(), end_id=0)
+    return read_files(files).select("doc_id", "start", "n_tokens", ids_crc32("ids").alias("ids_crc32"))
+
+
 def op8_language(spark, sf_dir):
     from . import language
     from .sampling import fold
@@ -153,7 +168,7 @@ def op10_nearest(spark, sf_dir):
     return out.select("query_id", "rank", F.col("id").alias("vec_id"), "score")
 
 
-_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op6_sentencepiece, op8_language, op9_decontaminate, op10_nearest]
+_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op6_sentencepiece, op7_token_files, op8_language, op9_decontaminate, op10_nearest]
 _SQL = {"op1_substring_dedup": OP1_SQL, "op5_license_scan": _op5_sql()}
 
 
