@@ -18,9 +18,11 @@ def _least(edges: DataFrame, ends: list[tuple[str, str]]) -> DataFrame:
     return both.join(least, "u").withColumn("m", F.least("u", "m"))
 
 
-def _stamp(edges: DataFrame) -> tuple:
-    r = edges.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.lit(0)).alias("s")).first()
-    return r["n"], r["s"]
+def _starred(edges: DataFrame) -> bool:
+    """Whether every edge's upper end has no other edge."""
+    ends = edges.select(F.col("b").alias("u"), F.lit(1).alias("up"), F.lit(0).alias("down")).unionByName(edges.select(F.col("a").alias("u"), F.lit(0).alias("up"), F.lit(1).alias("down")))
+    counts = ends.groupBy("u").agg(F.sum("up").alias("up"), F.sum("down").alias("down"))
+    return counts.where("up > 1 or (up = 1 and down > 0)").isEmpty()
 
 
 def stars(edges: DataFrame) -> DataFrame:
@@ -30,13 +32,10 @@ def stars(edges: DataFrame) -> DataFrame:
     The rounds grow with the logarithm of the longest path; each is checkpointed.
     """
     held = cut(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct())
-    before = None
-    while (now := _stamp(held)) != before:
-        before = now
+    while not _starred(held):
         # every neighbour above a node moves to the smallest neighbour of the node
-        large = _least(held, [("a", "b"), ("b", "a")]).where("v > u").select(F.col("m").alias("a"), F.col("v").alias("b")).where("a < b").distinct()
+        large = _least(held, [("a", "b"), ("b", "a")]).where("v > u").select(F.col("m").alias("a"), F.col("v").alias("b")).where("a < b")
         # every node and its neighbours below move to the smallest of those
         below = _least(large, [("b", "a")])
-        small = below.select(F.col("m").alias("a"), F.col("v").alias("b")).unionByName(below.select(F.col("m").alias("a"), F.col("u").alias("b"))).where("a < b").distinct()
-        held = cut(small)
+        held = cut(below.select(F.col("m").alias("a"), F.explode(F.array("u", "v")).alias("b")).where("a < b").distinct())
     return held

@@ -6,12 +6,13 @@ Their signatures are cut into bands; texts that agree in a band share a bucket,
 pairs of a bucket. A link is a candidate pair whose weighted Jaccard similarity, counted on the whole
 shingle multisets, is at least ``similarity``. Classes are the connected components of the links.
 
-No bucket is expanded into all its pairs. In a round, each bucket names one leader, at random, and its
-members are compared with the leader: first each with the leader it shares most bands with, later
-with the leaders of all buckets that still hold members of more than one class, where only members of
-another class than the leader's are compared. Members of one class need no more comparisons, as these
-could not change a class. The rounds end when no bucket holds untested pairs between classes; after
-``leader_rounds`` of them the pairs that are left are compared directly, so none is lost.
+A bucket of at most ALL_PAIRS texts gives all its pairs; no larger one does. Of a larger one a leader is
+drawn: each text is compared with the leader it shares most bands with, then, in some rounds, the
+buckets that still hold texts of more than one class draw new leaders, and texts of another class than
+the leader's are compared with it. What is mixed after that is compared block by block: a bucket's texts
+lie in blocks of bounded size, and those outside its largest class visit each block, where one pass over
+the block's shingles counts what they share with all its texts at once. So every pair of a bucket that
+could still join two classes is looked at, and no row is made for a pair that is not a link.
 
 Null doc_id, null text and a text without words: no class but its own (class_id is the doc_id). Rows
 that repeat a doc_id are one document. An empty table gives no rows.
@@ -35,6 +36,9 @@ from .text import U, batches, pair_hash, rolling, splitmix, to_bytes, words_of
 SIMILARITY = 0.8
 SHINGLE = 5
 BANDS, ROWS = 20, 4
+ALL_PAIRS = 8
+BLOCK = 256
+BROADCAST_PAIRS = 100_000  # two rows of 25 bytes each
 
 
 def shingles(texts: list[bytes], width: int = SHINGLE):
@@ -76,19 +80,19 @@ def _signed(bands: int, rows: int, width: int):
 
 
 def _sets(width: int):
-    """Rows (grp, salt, lead, id, text) with each text's shingle multiset as a packed set."""
-    schema = pa.schema([("grp", pa.int64()), ("salt", pa.int32()), ("lead", pa.bool_()), ("id", pa.int64()), ("items", pa.binary())])
+    """Each text's shingle multiset as a packed set of 32-bit hashes, one for every copy of a shingle."""
+    schema = pa.schema([("id", pa.int64()), ("items", pa.binary())])
 
     def build(source):
         for batch in source:
-            texts = to_bytes(batch.column(4).to_pylist())
+            texts = to_bytes(batch.column(1).to_pylist())
             for c, words, owner, element, weight in shingles(texts, width):
                 n = len(words.first) - 1
                 number = np.arange(weight.sum()) - np.repeat(np.cumsum(weight) - weight, weight)
                 each = splitmix(np.repeat(element, weight) ^ (number.astype(U) << U(48)))
                 ends = np.searchsorted(np.repeat(owner, weight), np.arange(n + 1))
-                items = [k.pack(np.sort((each[i:j] >> U(24)).astype(U))) for i, j in zip(ends[:-1], ends[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(i).slice(c, n) for i in range(4)] + [pa.array(items, pa.binary())], schema=schema)
+                items = [k.pack(np.sort((each[i:j] >> U(32)).astype(np.uint32))) for i, j in zip(ends[:-1], ends[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(c, n), pa.array(items, pa.binary())], schema=schema)
 
     return build
 
@@ -101,7 +105,7 @@ def _compare(least: float):
         for batch in source:
             out = {"a": [], "b": [], "similarity": []}
             for grp, salt, lead, id, items in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
-                items = k.unpack(items, np.uint64)
+                items = k.unpack(items, np.uint32)
                 if lead:
                     leader, own = (grp, salt), items
                 elif (grp, salt) == leader:
@@ -114,19 +118,70 @@ def _compare(least: float):
     return run
 
 
-def verify(pairs: DataFrame, docs: DataFrame, similarity: float, width: int = SHINGLE, salts: int = 64) -> DataFrame:
-    """The pairs (a, b) whose multisets overlap enough. A leader's text goes once to each salt it has members in."""
+def verify(pairs: DataFrame, sets: DataFrame, similarity: float, salts: int = 64) -> DataFrame:
+    """The pairs (a, b) whose sets overlap enough. A leader's set goes once to each salt it has members in.
+
+    pairs: checkpointed. Few pairs go to the sets by broadcast, many by a shuffle of both.
+    """
     salted = pairs.select("a", "b", F.pmod(F.xxhash64("b"), F.lit(salts)).cast("int").alias("salt"))
     roles = salted.select(F.col("a").alias("grp"), "salt", F.lit(False).alias("lead"), F.col("b").alias("id")).unionByName(
         salted.select(F.col("a").alias("grp"), "salt", F.lit(True).alias("lead"), F.col("a").alias("id")).distinct()
     )
-    texts = docs.select(F.col("doc_id").alias("id"), "text").where(F.col("id").isNotNull())
-    rows = roles.join(texts, "id").select("grp", "salt", "lead", "id", "text").mapInArrow(_sets(width), "grp long, salt int, lead boolean, id long, items binary")
+    if pairs.count() <= BROADCAST_PAIRS:
+        roles = F.broadcast(roles)
+    rows = sets.join(roles, "id").select("grp", "salt", "lead", "id", "items")
     ordered = rows.repartition("grp", "salt").sortWithinPartitions("grp", "salt", F.desc("lead"))
     return ordered.mapInArrow(_compare(similarity), "a long, b long, similarity double").where(F.col("similarity") >= similarity).select("a", "b")
 
 
-def classes(docs: DataFrame, similarity: float = SIMILARITY, width: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, leader_rounds: int = 4) -> DataFrame:
+def _blocks(least: float):
+    """Over rows in order of bucket, block, held first: links between a block's texts and those sent to it."""
+
+    def run(source):
+        now, held, ready = None, [], None
+        for batch in source:
+            out = {"a": [], "b": []}
+            for bucket, block, probe, id, c, items in zip(*(batch.column(i).to_pylist() for i in range(6)), strict=True):
+                if (bucket, block) != now:
+                    now, held, ready = (bucket, block), [], None
+                items = k.unpack(items, np.uint32)
+                if not probe:
+                    held.append((id, c, items))
+                    continue
+                if not held:
+                    continue
+                if ready is None:
+                    values = np.concatenate([x[2] for x in held])
+                    order = np.argsort(values, kind="stable")
+                    sizes = np.array([len(x[2]) for x in held])
+                    ready = values[order], np.repeat(np.arange(len(held)), sizes)[order], sizes, np.array([x[1] for x in held])
+                values, owner, sizes, classes = ready
+                lo, hi = np.searchsorted(values, items), np.searchsorted(values, items, side="right")
+                counts = hi - lo
+                at = np.repeat(lo - np.cumsum(counts) + counts, counts) + np.arange(counts.sum())
+                common = np.bincount(owner[at], minlength=len(held))
+                for i in np.flatnonzero((common >= least * (sizes + len(items) - common)) & (classes != c)):
+                    out["a"].append(held[i][0])
+                    out["b"].append(id)
+            yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("a", pa.int64()), ("b", pa.int64())]))
+
+    return run
+
+
+def _across(left: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Links between texts of different classes in the buckets (bucket, rep, c).
+
+    A bucket's texts lie in blocks of about BLOCK; all but those of its largest class visit every block.
+    """
+    sizes = left.groupBy("bucket", "c").agg(F.count("*").alias("n")).groupBy("bucket").agg(F.max(F.struct("n", "c"))["c"].alias("major"), F.ceil(F.sum("n") / BLOCK).cast("int").alias("blocks"))
+    rows = left.join(sizes, "bucket")
+    held = rows.select("bucket", F.pmod(F.xxhash64("rep"), "blocks").cast("int").alias("block"), F.lit(False).alias("probe"), "rep", "c")
+    probes = rows.where("c <> major").select("bucket", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(True).alias("probe"), "rep", "c")
+    met = sets.withColumnRenamed("id", "rep").join(held.unionByName(probes), "rep").select("bucket", "block", "probe", "rep", "c", "items")
+    return met.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "probe").mapInArrow(_blocks(similarity), "a long, b long")
+
+
+def classes(docs: DataFrame, similarity: float = SIMILARITY, width: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, leader_rounds: int = 2) -> DataFrame:
     """(doc_id, class_id, copy_of) for every distinct doc_id: class_id is the smallest doc_id of its class.
 
     copy_of is the smallest doc_id with the same words. Null doc_ids have a null class.
@@ -137,32 +192,33 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY, width: int = SHINGL
     first = keyed.groupBy("key").agg(F.min("doc_id").alias("rep"))
     by_rep = keyed.join(first.select(F.col("rep").alias("doc_id"), "key"), ["doc_id", "key"]).select(F.col("doc_id").alias("rep"), "bands")
     exploded = by_rep.select("rep", F.explode("bands").alias("bucket")).distinct()
-    shared = exploded.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
-    members = cut(exploded.join(shared, "bucket"))
+    shared = exploded.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
+    members = cut(exploded.join(shared, "bucket").select("bucket", "rep", (F.col("n") <= ALL_PAIRS).alias("small")))
+    candidates = members.select(F.col("rep").alias("id")).distinct()
+    sets = cut(docs.mapInArrow(_sets(width), "id long, items binary").join(candidates, "id"))
 
     random = lambda seed: F.min(F.struct(F.xxhash64(F.lit(seed), "bucket", "rep").alias("h"), F.col("rep").alias("leader"))).alias("pick")
-    leaders = members.groupBy("bucket").agg(random(0)).select("bucket", "pick.leader")
-    votes = members.join(leaders, "bucket").where("rep <> leader").groupBy("rep", "leader").agg(F.count("*").alias("votes"))
-    best = votes.groupBy("rep").agg(F.max(F.struct("votes", "leader")).alias("best"))
-    tested = cut(best.select(F.col("best.leader").alias("a"), F.col("rep").alias("b")))
-    links = stars(verify(tested, docs, similarity, width))
+    few, many = members.where("small").select("bucket", "rep"), members.where("not small").select("bucket", "rep")
+    within = few.select("bucket", F.col("rep").alias("a")).join(few.select("bucket", F.col("rep").alias("b")), "bucket").where("a < b").select("a", "b")
+    leaders = many.groupBy("bucket").agg(random(0)).select("bucket", "pick.leader")
+    votes = many.join(leaders, "bucket").where("rep <> leader").groupBy("rep", "leader").agg(F.count("*").alias("votes"))
+    best = votes.groupBy("rep").agg(F.max(F.struct("votes", "leader")).alias("best")).select(F.col("best.leader").alias("a"), F.col("rep").alias("b"))
+    tested = cut(within.unionByName(best.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))).distinct())
+    links = stars(verify(tested, sets, similarity))
     for turn in range(1, leader_rounds + 2):
-        marked = members.join(links.select(F.col("b").alias("rep"), "a"), "rep", "left").select("bucket", "rep", F.coalesce("a", "rep").alias("c"))
+        marked = many.join(links.select(F.col("b").alias("rep"), "a"), "rep", "left").select("bucket", "rep", F.coalesce("a", "rep").alias("c"))
         mixed = marked.groupBy("bucket").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("bucket")
         left = cut(marked.join(mixed, "bucket"))
-        if turn <= leader_rounds:
-            leaders = left.groupBy("bucket").agg(random(turn)).select("bucket", F.col("pick.leader").alias("rep")).join(left, ["bucket", "rep"]).select("bucket", F.col("rep").alias("leader"), F.col("c").alias("lc"))
-            pairs = left.join(leaders, "bucket").where("c <> lc").select(F.col("leader").alias("a"), F.col("rep").alias("b"))
-        else:
-            other = left.select("bucket", F.col("rep").alias("a"), F.col("c").alias("ac"))
-            pairs = left.join(other, "bucket").where("ac < c").select("a", F.col("rep").alias("b"))
-        done = tested.select("a", "b").unionByName(tested.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        pairs = cut(pairs.distinct().join(done, ["a", "b"], "left_anti"))
-        if turn <= leader_rounds and left.isEmpty() or turn > leader_rounds and pairs.isEmpty():
+        if left.isEmpty():
+            break
+        if turn > leader_rounds:
+            links = stars(links.unionByName(_across(left, sets, similarity)))
             break
+        leaders = left.groupBy("bucket").agg(random(turn)).select("bucket", F.col("pick.leader").alias("rep")).join(left, ["bucket", "rep"]).select("bucket", F.col("rep").alias("leader"), F.col("c").alias("lc"))
+        pairs = left.join(leaders, "bucket").where("c <> lc").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b"))
+        pairs = cut(pairs.distinct().join(tested, ["a", "b"], "left_anti"))
         tested = tested.unionByName(pairs)
-        found = verify(pairs, docs, similarity, width)
-        links = stars(links.unionByName(found))
+        links = stars(links.unionByName(verify(pairs, sets, similarity)))
     classed = first.join(links.select(F.col("b").alias("rep"), "a"), "rep", "left").select("key", F.col("rep").alias("copy_of"), F.coalesce("a", "rep").alias("class_id"))
     out = signed.select("doc_id", "key").join(classed, "key", "left")
     own = out.select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("copy_of", "doc_id").alias("copy_of"))
