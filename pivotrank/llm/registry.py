@@ -120,12 +120,8 @@ def sentence_pieces(path: str | None = None):
 
 
 def op6_sentencepiece(spark, sf_dir):
-    tool = sentence_pieces()
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    held = docs.withColumn("e", tool.encoded("text"))
-    back = held.withColumn("back", tool.decoded(F.col("e.ids")))
-    same = F.col("back") == F.translate(F.coalesce("text", F.lit("")), "\u2581", " ")
-    return back.select("doc_id", F.size("e.ids").cast("long").alias("n_tokens"), F.xxhash64("e.ids").alias("ids_hash"), F.col("e.parity").alias("parity"), same.alias("round_trip"))
+    held = sentence_pieces().encode_documents(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return held.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), F.xxhash64("ids").alias("ids_hash"), "parity", "round_trip")
 
 
 def byte_tokenizer(path: str | None = None):
@@ -168,7 +164,13 @@ def op10_nearest(spark, sf_dir):
     return out.select("query_id", "rank", F.col("id").alias("vec_id"), "score")
 
 
-_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op6_sentencepiece, op7_token_files, op8_language, op9_decontaminate, op10_nearest]
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+_QUERIES = [op1_substring_dedup, op2_sharding, op3_quality, op4_near_dup, op5_license_scan, op6_sentencepiece, op7_token_files, op8_language, op9_decontaminate, op10_nearest, pipeline]
 _SQL = {"op1_substring_dedup": OP1_SQL, "op5_license_scan": _op5_sql()}
 
 
