@@ -26,9 +26,8 @@ from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .session import cut
@@ -37,7 +36,7 @@ from .text import U, batches, to_bytes, words_of
 BITS, DIMS, OVER = 14, 128, 16
 PASSAGE, STRIDE = 64, 8
 WIDTHS = (16, 24, 32, 48, 64)
-COSINE, LCS, ANSWER, VERBATIM = 0.45, 0.6, 0.5, 0.8
+COSINE, LCS, ANSWER, VERBATIM = 0.5, 0.6, 0.5, 0.8
 SAMPLE_DOCS = 4000
 _CUT = np.ones(256, bool)
 _CUT[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = False
@@ -138,7 +137,7 @@ class LatentSpace:
         return self.table[_features(hashes, self.bits)]
 
 
-def fit(docs: DataFrame, bits: int = BITS, dims: int = DIMS, sample_docs: int = SAMPLE_DOCS, rounds: int = 3, seed: int = 5) -> LatentSpace:
+def fit(docs: DataFrame, bits: int = BITS, dims: int = DIMS, sample_docs: int = SAMPLE_DOCS, rounds: int = 2, seed: int = 5) -> LatentSpace:
     """The latent space of the documents' passages."""
     idf = inverse_frequencies(docs, bits)
     n = docs.count()
@@ -179,6 +178,7 @@ class Items:
     width: np.ndarray
 
     def __post_init__(self):
+        self.longest = max(map(len, self.words), default=0)
         self.masks, self.answers, self.counts = [], [], [Counter(ws) for ws in self.words]
         for ws in self.words:
             tail = ws[-max(1, len(ws) // 4) :]
@@ -229,8 +229,15 @@ def search(texts: list[bytes], space: LatentSpace, items: Items, cosine=COSINE,
                     part = window[d : d + 8192]
                     least = cosine * np.maximum(np.sqrt(np.einsum("ij,ij->i", part, part)), 1e-9)
                     near = part @ vectors
+                    last, around = -1, set()
                     for w, i in np.argwhere(near >= least[:, None]).tolist():
-                        _check(words, doc_of[d + w], int(d + w - begin[doc_of[d + w]]) * stride, width, int(mine[c + i]), float(near[w, i] / least[w] * cosine), items, found, lcs, answer, verbatim)
+                        number, doc = int(mine[c + i]), doc_of[d + w]
+                        at = int(d + w - begin[doc]) * stride
+                        if w != last:  # words of the widest stretch that an item can be compared with here
+                            last, around = w, set(words.hash[max(words.first[doc], words.first[doc] + at - items.longest) : min(words.first[doc + 1], words.first[doc] + at + width + items.longest)].tolist())
+                        counts = items.counts[number]
+                        if sum(map(counts.__getitem__, counts.keys() & around)) >= lcs * len(items.words[number]):  # else no subsequence is long enough
+                            _check(words, doc, at, width, number, float(near[w, i] / least[w] * cosine), items, found, lcs, answer, verbatim)
         out += [sorted(({k: v for k, v in x.items() if k != "leak"} for x in f.values() if x["leak"]), key=lambda x: x["item_id"]) for f in found]
     return out
 
@@ -259,11 +266,8 @@ def _check(words, doc, at, width, number, near, items, found, lcs, answer, verba
     if known and known["leak"] and known["lcs"] == 1.0:
         return
     m = len(items.words[number])
-    counts = items.counts[number]
     first = words.first[doc]
     region = words.hash[max(first, first + at - m) : min(words.first[doc + 1], first + at + width + m)].tolist()
-    if sum(map(counts.__getitem__, counts.keys() & set(region))) < lcs * m:  # the subsequence can't be longer
-        return
     mask, full = items.masks[number]
     share = common(mask, full, region) / m
     if known and share <= known["lcs"]:
@@ -281,23 +285,24 @@ def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", block: int
     """Every row with ``leaks``, its leaked items. A column of that name is replaced."""
     rows = benchmark.select("item_id", "text").where(F.col("item_id").isNotNull()).orderBy("item_id", "text").toLocalIterator()
     space = space or fit(docs)
-    columns: list[Column] = []
-    held: list[tuple[int, str]] = []
-
-    def column(part: list) -> Column:
-        items = prepare(part, space)
-
-        @F.pandas_udf(LEAKS)
-        def find(texts: pd.Series) -> pd.Series:
-            return pd.Series(search(to_bytes(texts.tolist()), space, items, **limits), dtype=object)
-
-        return find(F.col(text))
-
+    held, out = [], docs.drop("leaks").withColumn("leaks", F.array().cast(LEAKS))
     for r in rows:
         held.append((r["item_id"], r["text"]))
         if len(held) == block:
-            columns.append(column(held))
-            held = []
-    if held or not columns:
-        columns.append(column(held))
-    return docs.withColumn("leaks", F.concat(*columns) if len(columns) > 1 else columns[0])
+            out, held = _add(out, prepare(held, space), space, text, limits), []
+    return _add(out, prepare(held, space), space, text, limits) if held else out
+
+
+def _add(docs: DataFrame, items: Items, space: LatentSpace, text: str, limits: dict) -> DataFrame:
+    """The rows with one more block of items looked up; few texts at a time are held as Python objects."""
+
+    def run(source):
+        for batch in source:
+            at, last = batch.schema.get_field_index(text), batch.num_columns - 1
+            for a in range(0, len(batch), 256):
+                part = batch.slice(a, 256)
+                found = search(to_bytes(part.column(at).to_pylist()), space, items, **limits)
+                both = [x + y for x, y in zip(part.column(last).to_pylist(), found, strict=True)]
+                yield pa.RecordBatch.from_arrays([*part.columns[:last], pa.array(both, part.schema.field(last).type)], schema=part.schema)
+
+    return docs.mapInArrow(run, docs.schema)
