@@ -56,9 +56,10 @@ def descriptors(spark: SparkSession, d: str, bins: int = 282, normalise: bool =
     lowered = F.translate(F.coalesce(F.col(text), F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
     squeezed = F.regexp_replace(lowered, "[^a-z]", "")
     docs = table(spark, d, source).select(F.col(id).alias("id"), squeezed.alias("s")).where(F.length("s") >= 3)
-    grams = docs.select("id", F.explode(F.transform(F.sequence(F.lit(1), F.length("s") - 2), lambda i: F.substring("s", i, 3))).alias("g"))
-    code = lambda i: F.ascii(F.substring("g", i, 1))
-    binned = grams.groupBy("id", F.pmod(code(1) * 961 + code(2) * 31 + code(3), F.lit(bins)).alias("b")).agg(F.count("*").alias("c"))
+    codes = docs.select("id", F.transform(F.split("s", ""), F.ascii).alias("s"))  # an array, so that a long text is walked once
+    code = lambda i, k: F.get(F.col("s"), i + F.lit(k))
+    grams = codes.select("id", F.explode(F.transform(F.sequence(F.lit(0), F.size("s") - 3), lambda i: F.pmod(code(i, 0) * 961 + code(i, 1) * 31 + code(i, 2), F.lit(bins)))).alias("b"))
+    binned = grams.groupBy("id", "b").agg(F.count("*").alias("c"))
     maps = binned.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("b", "c"))).alias("m"), F.sum("c").alias("n"))
     x = F.transform(F.sequence(F.lit(0), F.lit(bins - 1)), lambda b: F.coalesce(F.element_at("m", b), F.lit(0)).cast("double"))
     return maps.select("id", (F.transform(x, lambda v: v / F.col("n")) if normalise else x).alias("x"))
@@ -158,8 +159,8 @@ SQL = {
 def _descriptors_sql(bins: int, normalise: bool) -> str:
     x = f"list_transform(range({bins}), lambda b: coalesce(m[b], 0)::DOUBLE{' / n' if normalise else ''})"
     return f"""SELECT id, {x} AS x FROM (SELECT id, map(list(b), list(c)) AS m, sum(c) AS n FROM (
-      SELECT id, (ascii(s[i:i]) * 961 + ascii(s[i + 1:i + 1]) * 31 + ascii(s[i + 2:i + 2])) % {bins} AS b, count(*) AS c FROM (
-      SELECT doc_id AS id, regexp_replace(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^a-z]', '', 'g') AS s FROM documents), unnest(range(1, len(s) - 1)) r(i) GROUP BY ALL) GROUP BY id)"""
+      SELECT id, (s[i] * 961 + s[i + 1] * 31 + s[i + 2]) % {bins} AS b, count(*) AS c FROM (
+      SELECT doc_id AS id, list_transform(string_split(regexp_replace(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^a-z]', '', 'g'), ''), lambda t: ascii(t)) AS s FROM documents), unnest(range(1, len(s) - 1)) r(i) GROUP BY ALL) GROUP BY id)"""
 
 
 SQL["descriptors"] = _descriptors_sql(282, False)
