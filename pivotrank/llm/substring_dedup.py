@@ -24,13 +24,15 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StringType, StructField, StructType
 
 from . import packing as k
 from .session import part_of, parts_for, text_bytes
 from .text import U, batches, pair_hash, rolling, splitmix, to_bytes, windows, words_of
 
 WINDOW = 50
-PART_BYTES = 16 << 20
+PART_BYTES = 8 << 20
 _LAST = np.iinfo(np.int64).max
 
 
@@ -237,13 +239,8 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, part_bytes: int = PART
     hits = probes.groupBy("bucket").applyInArrow(_hit, "part int, bucket int, live binary")
     near = by.cogroup(hits.groupBy("part")).applyInArrow(lambda a, b: _extend(a, b, window, block, parts), "bucket int, part int, h binary, second binary, doc binary")
     replies = near.groupBy("bucket").applyInArrow(_earliest, "part int, h binary, second binary, doc binary")
-    fields = [("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept", pa.string()), ("spans", pa.list_(pa.struct([("first", pa.int64()), ("words", pa.int64())])))]
-    ddl = "doc_id long, n_words long, n_removed long, kept string, spans array<struct<first: long, words: long>>"
+    kind = StructType.fromDDL("doc_id long, n_words long, n_removed long, kept string, spans array<struct<first: long, words: long>>")
     if carry:
-        rest = dealt.schema["rest"].dataType
-        ddl += f", text string, rest {rest.simpleString()}"
-        from pyspark.sql.pandas.types import to_arrow_type
-
-        fields += [("text", pa.string()), ("rest", to_arrow_type(rest, timezone="UTC"))]
-    schema = pa.schema(fields)
-    return by.cogroup(replies.groupBy("part")).applyInArrow(lambda a, b: _remove(a, b, window, schema), ddl)
+        kind = StructType([*kind.fields, StructField("text", StringType()), dealt.schema["rest"]])
+    schema = to_arrow_schema(kind)
+    return by.cogroup(replies.groupBy("part")).applyInArrow(lambda a, b: _remove(a, b, window, schema), kind)
