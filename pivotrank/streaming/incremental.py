@@ -26,7 +26,7 @@ def append_stream(spark: SparkSession, source: DataFrame, pivots: Pivots, dist,
 
 def live(postings: DataFrame, tombstones: DataFrame) -> DataFrame:
     """Postings without deleted ids."""
-    return postings.join(tombstones.select("id").distinct(), "id", "left_anti")
+    return postings.join(tombstones.select("id").distinct(), "id", "left_anti").select(*postings.columns)
 
 
 def compact(postings: DataFrame, tombstones: DataFrame, path: str) -> None:
