@@ -8,7 +8,8 @@ markers with what follows, that encode on their own; a task encodes each distinc
 multithreaded batches. Models with such pieces have their texts encoded whole.
 
 Parity: every distinct segment is also encoded by the sentencepiece library; where that differs, its
-ids are taken and the row says ``parity = false``. Decoding is checked against the normalised text.
+ids are taken and the row says ``parity = false``. Decoding is checked the same way: every distinct
+segment's ids must give the segment back.
 
 Null and empty texts have no ids. Texts of any length are taken whole. Control and byte pieces written
 out in a text are ordinary characters. A literal marker counts as a space, as in the original library.
@@ -34,7 +35,7 @@ MARK = "▁"
 UNIGRAM, BPE = 1, 2
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 
-CACHE = 300_000
+CACHE = 800_000
 
 
 def _varint(data: bytes, at: int) -> tuple[int, int]:
@@ -166,46 +167,52 @@ class SentencePieces:
             os.environ["TOKENIZERS_PARALLELISM"] = "true" if self.threads > 1 else "false"
             os.environ.setdefault("RAYON_NUM_THREADS", str(self.threads))
             import sentencepiece
+            from tokenizers import decoders
 
             model, whole, segments = parse(self.data), None, None
             whole, segments = backend(model), backend(model)
             segments.normalizer = None
+            segments.decoder = decoders.Sequence([decoders.Replace(MARK, " "), *([decoders.ByteFallback()] if model.byte_fallback else []), decoders.Fuse()])
             _tools.clear()
-            _tools[key] = {"model": model, "whole": whole, "segments": segments, "other": sentencepiece.SentencePieceProcessor(model_proto=self.data), "cache": {}, "odd": set()}
+            _tools[key] = {"model": model, "whole": whole, "segments": segments, "other": sentencepiece.SentencePieceProcessor(model_proto=self.data), "cache": {}, "odd": set(), "lost": set()}
         return _tools[key]
 
     def _encode_segments(self, new: list[str]) -> None:
-        """Ids of each segment into the cache; those on which the libraries differ are noted."""
+        """Ids of each segment into the cache; it is noted where the libraries differ or decoding does not give it back."""
         t = self.tools()
-        cache, odd = t["cache"], t["odd"]
-        ours = t["segments"].encode_batch_fast(new, add_special_tokens=False)
-        theirs = t["other"].encode([s[1:].replace(MARK, " ") for s in new], num_threads=self.threads)
-        for s, a, b in zip(new, ours, theirs, strict=True):
-            a = a.ids
+        cache, odd, lost = t["cache"], t["odd"], t["lost"]
+        plain = [s.replace(MARK, " ") for s in new]
+        ours = [x.ids for x in t["segments"].encode_batch_fast(new, add_special_tokens=False)]
+        theirs = t["other"].encode([s[1:] for s in plain], num_threads=self.threads)
+        for i, (s, a, b) in enumerate(zip(new, ours, theirs, strict=True)):
             if a != b and s != MARK:  # nothing but the prefix is an empty text there
                 odd.add(s)
-                a = b
+                ours[i] = a = b
             cache[s] = array("i", a).tobytes()
+        # a segment's first id holds its marker, so ids of bytes never run on from one segment into the next
+        for s, p, back in zip(new, plain, t["segments"].decode_batch(ours, skip_special_tokens=False), strict=True):
+            if p != back:
+                lost.add(s)
 
-    def encode(self, texts: list[str | None]) -> list[tuple[np.ndarray, bool]]:
-        """Ids of each text, and whether the sentencepiece library gives the same."""
+    def encode(self, texts: list[str | None]) -> list[tuple[np.ndarray, bool, bool]]:
+        """Ids of each text, whether the sentencepiece library gives the same, and whether decoding gives the text back."""
         t = self.tools()
         texts = [x or "" for x in texts]
         if not t["model"].segmented:
             ours = t["whole"].encode_batch_fast(texts, add_special_tokens=False)
             theirs = t["other"].encode(texts, num_threads=self.threads)
-            return [(np.array(b, np.int32), list(a.ids) == b) for a, b in zip(ours, theirs, strict=True)]
-        cache, odd, out = t["cache"], t["odd"], []
+            return [(np.array(b, np.int32), list(a.ids) == b, c == self.normal(x)) for a, b, c, x in zip(ours, theirs, self.decode(theirs), texts, strict=True)]
+        cache, odd, lost, out = t["cache"], t["odd"], t["lost"], []
         for a in range(0, len(texts), 256):
             cut = [_SEGMENT.findall(MARK + x.replace(" ", MARK)) if x else [] for x in texts[a : a + 256]]
             new = set(chain.from_iterable(cut)).difference(cache)
             if len(cache) + len(new) > CACHE:
-                cache.clear()
-                odd.clear()
+                for held in (cache, odd, lost):
+                    held.clear()
                 new = set(chain.from_iterable(cut))
             self._encode_segments(list(new))
             for c in cut:
-                out.append((np.frombuffer(b"".join(map(cache.__getitem__, c)), np.int32), not odd or odd.isdisjoint(c)))
+                out.append((np.frombuffer(b"".join(map(cache.__getitem__, c)), np.int32), not odd or odd.isdisjoint(c), not lost or lost.isdisjoint(c)))
         return out
 
     def decode(self, ids: list) -> list[str]:
@@ -227,13 +234,11 @@ class SentencePieces:
                 at = batch.schema.get_field_index(text)
                 for a in range(0, len(batch), 128):
                     part = batch.slice(a, 128)
-                    texts = part.column(at).to_pylist()
-                    held = own.encode(texts)
-                    ids = [x for x, _ in held]
-                    back = [x == own.normal(y) for x, y in zip(own.decode(ids), texts, strict=True)]
+                    held = own.encode(part.column(at).to_pylist())
+                    ids = [x for x, _, _ in held]
                     ends = np.concatenate(([0], np.cumsum([len(x) for x in ids]))).astype(np.int32)
                     lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids)))
-                    new = [lists, pa.array([p for _, p in held], pa.bool_()), pa.array(back, pa.bool_())]
+                    new = [lists, pa.array([p for _, p, _ in held], pa.bool_()), pa.array([r for _, _, r in held], pa.bool_())]
                     yield pa.RecordBatch.from_arrays([*part.columns, *new], names=[*part.schema.names, "ids", "parity", "round_trip"])
 
         schema = StructType([*rows.schema.fields, StructField("ids", ArrayType(IntegerType())), StructField("parity", BooleanType()), StructField("round_trip", BooleanType())])
