@@ -93,10 +93,14 @@ def _blocks(n: int, cost: int):
 
 
 def np_l2(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    out = np.empty((len(x), len(y)))
-    for s in _blocks(len(x), y.size):
-        out[s] = np.sqrt(((x[s, None] - y[None]) ** 2).sum(-1))
-    return out
+    """By the inner product; pairs so near that this would lose digits again, by differences."""
+    xx, yy = np.einsum("ij,ij->i", x, x)[:, None], np.einsum("ij,ij->i", y, y)[None]
+    size = xx + yy
+    square = size - 2 * (x @ y.T)
+    i, j = np.nonzero(square <= 1e-5 * size)
+    for s in _blocks(len(i), x.shape[1] if x.ndim > 1 else 1):
+        square[i[s], j[s]] = ((x[i[s]] - y[j[s]]) ** 2).sum(1)
+    return np.sqrt(np.maximum(square, 0))
 
 
 def np_l1(x: np.ndarray, y: np.ndarray) -> np.ndarray:
