@@ -30,6 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .memory import trimmed
 from .session import cut
 from .text import U, batches, to_bytes, words_of
 
@@ -70,7 +71,7 @@ def inverse_frequencies(docs: DataFrame, bits: int) -> np.ndarray:
         blocks = held.reshape(-1, piece)
         yield pa.RecordBatch.from_pydict({"block": pa.array(range(len(blocks)), pa.int32()), "n": pa.array([n] * len(blocks), pa.int64()), "counts": pa.array([b.tobytes() for b in blocks], pa.binary())})
 
-    n, held = _summed(docs.select("text").mapInArrow(count, "block int, n long, counts binary"), np.int64, size // piece, piece)
+    n, held = _summed(docs.select("text").mapInArrow(trimmed(count), "block int, n long, counts binary"), np.int64, size // piece, piece)
     return np.log((1 + n) / (1 + held.ravel()))
 
 
@@ -124,7 +125,7 @@ def _gram(sample: DataFrame, basis: np.ndarray, idf: np.ndarray, bits: int) -> n
         blocks = total.reshape(-1, rows_a_block * dims)
         yield pa.RecordBatch.from_pydict({"block": pa.array(range(len(blocks)), pa.int32()), "n": pa.array([0] * len(blocks), pa.int64()), "counts": pa.array([b.tobytes() for b in blocks], pa.binary())})
 
-    _, out = _summed(sample.select("text").mapInArrow(share, "block int, n long, counts binary"), np.float32, size // rows_a_block, rows_a_block * dims)
+    _, out = _summed(sample.select("text").mapInArrow(trimmed(share), "block int, n long, counts binary"), np.float32, size // rows_a_block, rows_a_block * dims)
     return out.reshape(size, dims).astype(np.float64)
 
 
@@ -305,4 +306,4 @@ def _add(docs: DataFrame, items: Items, space: LatentSpace, text: str, limits: d
                 both = [x + y for x, y in zip(part.column(last).to_pylist(), found, strict=True)]
                 yield pa.RecordBatch.from_arrays([*part.columns[:last], pa.array(both, part.schema.field(last).type)], schema=part.schema)
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(trimmed(run), docs.schema)

@@ -24,6 +24,7 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .memory import trimmed
 from .sampling import bounded
 
 SAMPLE_ROWS = 1200
@@ -74,7 +75,7 @@ def document_frequencies(docs: DataFrame, text: str, bits: int) -> tuple[int, np
         return pa.table({"block": table["block"][:1], "n": pa.array([sum(table["n"].to_pylist())], pa.int64()), "counts": pa.array([total.tobytes()], pa.binary())})
 
     kind = "block int, n long, counts binary"
-    rows = docs.select(name).mapInArrow(count, kind).groupBy("block").applyInArrow(add, kind).collect()  # 2 ** bits counts, whatever the input
+    rows = docs.select(name).mapInArrow(trimmed(count), kind).groupBy("block").applyInArrow(add, kind).collect()  # 2 ** bits counts, whatever the input
     out = np.zeros(((1 << bits) // _BLOCK, _BLOCK), np.int64)
     for r in rows:
         out[r["block"]] = np.frombuffer(r["counts"], np.int64)

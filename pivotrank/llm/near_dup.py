@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 from . import packing as k
 from .bagminhash import signatures
 from .components import stars
+from .memory import trimmed
 from .session import cut
 from .text import U, batches, pair_hash, rolling, splitmix, to_bytes, words_of
 
@@ -131,7 +132,7 @@ def verify(pairs: DataFrame, sets: DataFrame, similarity: float, salts: int = 64
         roles = F.broadcast(roles)
     rows = sets.join(roles, "id").select("grp", "salt", "lead", "id", "items")
     ordered = rows.repartition("grp", "salt").sortWithinPartitions("grp", "salt", F.desc("lead"))
-    return ordered.mapInArrow(_compare(similarity), "a long, b long, similarity double").where(F.col("similarity") >= similarity).select("a", "b")
+    return ordered.mapInArrow(trimmed(_compare(similarity)), "a long, b long, similarity double").where(F.col("similarity") >= similarity).select("a", "b")
 
 
 def _blocks(least: float):
@@ -178,7 +179,7 @@ def _across(left: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     held = rows.select("bucket", F.pmod(F.xxhash64("rep"), "blocks").cast("int").alias("block"), F.lit(False).alias("probe"), "rep", "c")
     probes = rows.where("c <> major").select("bucket", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(True).alias("probe"), "rep", "c")
     met = sets.withColumnRenamed("id", "rep").join(held.unionByName(probes), "rep").select("bucket", "block", "probe", "rep", "c", "items")
-    return met.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "probe").mapInArrow(_blocks(similarity), "a long, b long")
+    return met.repartition("bucket", "block").sortWithinPartitions("bucket", "block", "probe").mapInArrow(trimmed(_blocks(similarity)), "a long, b long")
 
 
 def classes(docs: DataFrame, similarity: float = SIMILARITY, width: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, leader_rounds: int = 2) -> DataFrame:
@@ -187,7 +188,7 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY, width: int = SHINGL
     copy_of is the smallest doc_id with the same words. Null doc_ids have a null class.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    signed = cut(docs.mapInArrow(_signed(bands, rows, width), "doc_id long, key binary, bands array<long>"))
+    signed = cut(docs.mapInArrow(trimmed(_signed(bands, rows, width)), "doc_id long, key binary, bands array<long>"))
     keyed = signed.where(F.col("doc_id").isNotNull() & F.col("key").isNotNull())
     first = keyed.groupBy("key").agg(F.min("doc_id").alias("rep"))
     by_rep = keyed.join(first.select(F.col("rep").alias("doc_id"), "key"), ["doc_id", "key"]).select(F.col("doc_id").alias("rep"), "bands")
@@ -195,7 +196,7 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY, width: int = SHINGL
     shared = exploded.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
     members = cut(exploded.join(shared, "bucket").select("bucket", "rep", (F.col("n") <= ALL_PAIRS).alias("small")))
     candidates = members.select(F.col("rep").alias("id")).distinct()
-    sets = cut(docs.mapInArrow(_sets(width), "id long, items binary").join(candidates, "id"))
+    sets = cut(docs.mapInArrow(trimmed(_sets(width)), "id long, items binary").join(candidates, "id"))
 
     random = lambda seed: F.min(F.struct(F.xxhash64(F.lit(seed), "bucket", "rep").alias("h"), F.col("rep").alias("leader"))).alias("pick")
     few, many = members.where("small").select("bucket", "rep"), members.where("not small").select("bucket", "rep")

@@ -30,12 +30,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql.types import ArrayType, BooleanType, IntegerType, StringType, StructField, StructType
 
+from .memory import trimmed
+
 # Fixed values of the model format.
 MARK = "▁"
 UNIGRAM, BPE = 1, 2
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 
-CACHE = 800_000
+CACHE = 400_000
 
 
 def _varint(data: bytes, at: int) -> tuple[int, int]:
@@ -242,7 +244,7 @@ class SentencePieces:
                     yield pa.RecordBatch.from_arrays([*part.columns, *new], names=[*part.schema.names, "ids", "parity", "round_trip"])
 
         schema = StructType([*rows.schema.fields, StructField("ids", ArrayType(IntegerType())), StructField("parity", BooleanType()), StructField("round_trip", BooleanType())])
-        return rows.mapInArrow(run, schema)
+        return rows.mapInArrow(trimmed(run), schema)
 
     def decode_documents(self, docs: DataFrame, ids: str = "ids") -> DataFrame:
         """Every row with ``text`` decoded from its ids; null ids give an empty text. A column of that name is replaced."""
@@ -256,4 +258,4 @@ class SentencePieces:
                     texts = own.decode([x or [] for x in part.column(at).to_pylist()])
                     yield pa.RecordBatch.from_arrays([*part.columns, pa.array(texts, pa.string())], names=[*part.schema.names, "text"])
 
-        return rows.mapInArrow(run, StructType([*rows.schema.fields, StructField("text", StringType())]))
+        return rows.mapInArrow(trimmed(run), StructType([*rows.schema.fields, StructField("text", StringType())]))

@@ -28,6 +28,7 @@ from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import StringType, StructField, StructType
 
 from . import packing as k
+from .memory import trimmed_group, trimmed_pair
 from .session import part_of, parts_for, text_bytes
 from .text import U, batches, pair_hash, rolling, splitmix, to_bytes, windows, words_of
 
@@ -235,12 +236,12 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, part_bytes: int = PART
         columns.append(F.struct(F.lit(True).alias("_row"), *[F.col(f"`{c}`") for c in docs.columns if c not in ("doc_id", "text")]).alias("rest"))
     dealt = docs.select(*columns)
     by = dealt.groupBy("part")
-    probes = by.applyInArrow(lambda t: _probe(t, block, parts), "bucket int, part int, probes binary, own binary")
-    hits = probes.groupBy("bucket").applyInArrow(_hit, "part int, bucket int, live binary")
-    near = by.cogroup(hits.groupBy("part")).applyInArrow(lambda a, b: _extend(a, b, window, block, parts), "bucket int, part int, h binary, second binary, doc binary")
-    replies = near.groupBy("bucket").applyInArrow(_earliest, "part int, h binary, second binary, doc binary")
+    probes = by.applyInArrow(trimmed_group(lambda t: _probe(t, block, parts)), "bucket int, part int, probes binary, own binary")
+    hits = probes.groupBy("bucket").applyInArrow(trimmed_group(_hit), "part int, bucket int, live binary")
+    near = by.cogroup(hits.groupBy("part")).applyInArrow(trimmed_pair(lambda a, b: _extend(a, b, window, block, parts)), "bucket int, part int, h binary, second binary, doc binary")
+    replies = near.groupBy("bucket").applyInArrow(trimmed_group(_earliest), "part int, h binary, second binary, doc binary")
     kind = StructType.fromDDL("doc_id long, n_words long, n_removed long, kept string, spans array<struct<first: long, words: long>>")
     if carry:
         kind = StructType([*kind.fields, StructField("text", StringType()), dealt.schema["rest"]])
     schema = to_arrow_schema(kind)
-    return by.cogroup(replies.groupBy("part")).applyInArrow(lambda a, b: _remove(a, b, window, schema), kind)
+    return by.cogroup(replies.groupBy("part")).applyInArrow(trimmed_pair(lambda a, b: _remove(a, b, window, schema)), kind)

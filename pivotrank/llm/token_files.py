@@ -28,13 +28,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import mixcoder
+from .memory import trimmed
 from .session import cut, parts_for, text_bytes
 
 MAGIC = b"TIDS"
 _HEAD = struct.Struct("<4sHHIIQ")  # magic, version, 0, documents, blocks, ids
 _NULL = np.iinfo(np.int64).min
-BLOCK_IDS, FILE_IDS, PART_BYTES = 2048, 4_000_000, 16 << 20
-CACHE = 600_000
+BLOCK_IDS, FILE_IDS, PART_BYTES = 2048, 2_000_000, 16 << 20
+CACHE = 300_000
 
 
 class Encoder:
@@ -139,7 +140,7 @@ def write_files(docs: DataFrame, tokenizer: str, pattern: str, end_id: int = 0,
     parts = parts_for(text_bytes(docs), part_bytes)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     dealt = rows.repartitionByRange(parts, "doc_id").withColumn("part", F.spark_partition_id()).sortWithinPartitions("doc_id", "text")
-    return cut(dealt.mapInArrow(pack, "first_doc long, part int, seq int, documents long, n_ids long, content binary"))
+    return cut(dealt.mapInArrow(trimmed(pack), "first_doc long, part int, seq int, documents long, n_ids long, content binary"))
 
 
 def read_files(files: DataFrame) -> DataFrame:
@@ -165,7 +166,7 @@ def read_files(files: DataFrame) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([keys, pa.array(before + ends[a:b]), pa.array(counts[a:b]), lists], names=["doc_id", "start", "n_tokens", "ids"])
 
     joined = files.join(F.broadcast(offsets), ["part", "seq"]).select("content", "before")
-    return joined.mapInArrow(unpack, "doc_id long, start long, n_tokens long, ids array<int>")
+    return joined.mapInArrow(trimmed(unpack), "doc_id long, start long, n_tokens long, ids array<int>")
 
 
 def ids_crc32(ids: str):
