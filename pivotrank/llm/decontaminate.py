@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .memory import trimmed
+from .memory import release, trimmed
 from .session import cut
 from .text import U, batches, to_bytes, words_of
 
@@ -156,6 +156,8 @@ def fit(docs: DataFrame, bits: int = BITS, dims: int = DIMS, sample_docs: int =
     order = np.argsort(values)[::-1][:dims]
     scale = 1 / np.sqrt(np.maximum(values[order], 1e-9 * max(values.max(), 1e-9)))
     vectors = (basis @ turn[:, order]) * scale
+    del image, basis
+    release()
     return LatentSpace(np.vstack((idf[:, None] * vectors, np.zeros((1, vectors.shape[1])))).astype(np.float32), bits)
 
 

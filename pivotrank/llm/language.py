@@ -24,10 +24,10 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .memory import trimmed
+from .memory import release, trimmed
 from .sampling import bounded
 
-SAMPLE_ROWS = 1200
+SAMPLE_ROWS = 800
 LONGEST = 64 << 10
 BITS = 16
 _BLOCK = 4096
@@ -120,7 +120,7 @@ def train(model: LanguageModel, texts: list[tuple[str, str]], epochs: int = 4, a
     """Follow-the-regularised-leader over the texts, shuffled by a seed in each epoch."""
     size = (len(model.idf), len(model.languages))
     z, n, zb, nb = np.zeros(size), np.zeros(size), np.zeros(size[1]), np.zeros(size[1])
-    vectors = [(*model.vector(t), model.languages.index(lang)) for t, lang in texts]
+    vectors = [(at.astype(np.int32), x.astype(np.float32), model.languages.index(lang)) for (at, x), lang in ((model.vector(t), lang) for t, lang in texts)]
     solve = lambda z, n, l1: np.where(np.abs(z) <= l1, 0.0, -(z - np.sign(z) * l1) / ((beta + np.sqrt(n)) / alpha + l2))
     rng = np.random.default_rng(seed)
     for _ in range(epochs):
@@ -164,11 +164,13 @@ def fit(docs: DataFrame, usable: Column | None = None, sample_rows: int = SAMPLE
     n, held = document_frequencies(known, "text", bits)
     ids = bounded(known.where(F.octet_length("text") <= longest).select("doc_id", "lang"), "lang", languages, sample_rows).select("doc_id").distinct()
     rows = known.select("doc_id", "text", "lang").join(F.broadcast(ids), "doc_id").where(F.octet_length("text") <= longest)
-    texts = {r["doc_id"]: (r["text"], r["lang"]) for r in rows.collect()}
+    texts = {r["doc_id"]: (r["text"], r["lang"]) for r in rows.toLocalIterator()}
     texts = [texts[i] for i in sorted(texts) if _LETTER.search(texts[i][0])]
     model = LanguageModel(languages, np.log((1 + n) / (1 + held)) + 1, empty.weights, empty.bias, bits=bits)
     if not texts:
         return empty
     train(model, [t for i, t in enumerate(texts) if i % 5])
     fit_temperature(model, texts[::5])
+    texts.clear()
+    release()
     return model

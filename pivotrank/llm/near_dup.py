@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from . import packing as k
 from .bagminhash import signatures
 from .components import stars
-from .memory import trimmed
+from .memory import release, trimmed
 from .session import cut
 from .text import U, batches, pair_hash, rolling, splitmix, to_bytes, words_of
 
@@ -223,4 +223,5 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY, width: int = SHINGL
     classed = first.join(links.select(F.col("b").alias("rep"), "a"), "rep", "left").select("key", F.col("rep").alias("copy_of"), F.coalesce("a", "rep").alias("class_id"))
     out = signed.select("doc_id", "key").join(classed, "key", "left")
     own = out.select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("copy_of", "doc_id").alias("copy_of"))
+    release()
     return own.groupBy("doc_id").agg(F.min("class_id").alias("class_id"), F.min("copy_of").alias("copy_of"))

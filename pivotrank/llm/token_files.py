@@ -102,6 +102,7 @@ def read_file(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return table[:, 0], table[:, 1], ids
 
 
+_encoders: dict[int, Encoder] = {}  # of a Python worker, which outlives a task
 _FILE = pa.schema([("first_doc", pa.int64()), ("part", pa.int32()), ("seq", pa.int32()), ("documents", pa.int64()), ("n_ids", pa.int64()), ("content", pa.binary())])
 
 
@@ -110,11 +111,13 @@ def write_files(docs: DataFrame, tokenizer: str, pattern: str, end_id: int = 0,
 
     Files are in the documents' order by part and seq. tokenizer: a tokenizer file's content.
     """
-    held: dict = {}
 
     def pack(source):
-        if "tool" not in held:
-            held["tool"] = Encoder(tokenizer, pattern)
+        key = zlib.crc32((tokenizer + pattern).encode())
+        if key not in _encoders:
+            _encoders.clear()
+            _encoders[key] = Encoder(tokenizer, pattern)
+        tool = _encoders[key]
         ids, texts, seq, size, part = [], [], 0, 0, None
 
         def close():
@@ -128,7 +131,7 @@ def write_files(docs: DataFrame, tokenizer: str, pattern: str, end_id: int = 0,
             part = batch.column(2)[0].as_py() if len(batch) else part
             for a in range(0, len(batch), 256):
                 keys = batch.column(0).slice(a, 256).fill_null(_NULL).to_pylist()
-                for key, got in zip(keys, held["tool"].encode(batch.column(1).slice(a, 256).fill_null("").to_pylist(), end_id), strict=True):
+                for key, got in zip(keys, tool.encode(batch.column(1).slice(a, 256).fill_null("").to_pylist(), end_id), strict=True):
                     ids.append(key)
                     texts.append(got)
                     size += len(got)

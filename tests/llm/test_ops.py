@@ -207,7 +207,7 @@ def test_coder_round_trips():
 
 def test_token_files(spark, odd):
     spec, pattern = registry.byte_tokenizer()
-    files = token_files.write_files(odd, spec, pattern, file_ids=2000, part_bytes=3000)
+    files = token_files.write_files(odd, spec, pattern, file_ids=2000, part_bytes=100_000)
     got = sorted(token_files.read_files(files).collect(), key=lambda r: r.start)
     from tokenizers import Tokenizer
 
