@@ -212,3 +212,26 @@ class MedianRank:
         from .search import top_gamma
 
         return refine(top_gamma(scored, gamma), self.points, queries, self.dist, k)
+
+
+def spark_lsh(points: DataFrame, queries: DataFrame, k: int = 10, width: float = 1.0, tables: int = 10, radius: float = 2.0, seed: int = 19) -> DataFrame:
+    """The library's own hashing, as a control: (qid, id, dist, rnk)."""
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    model = BucketedRandomProjectionLSH(inputCol="v", outputCol="h", bucketLength=width, numHashTables=tables, seed=seed).fit(points.select(array_to_vector("x").alias("v")).limit(1))
+    a, b = points.select("id", array_to_vector("x").alias("v")), queries.select("qid", array_to_vector("x").alias("v"))
+    met = model.approxSimilarityJoin(a, b, radius, "dist").select(F.col("datasetB.qid").alias("qid"), F.col("datasetA.id").alias("id"), "dist")
+    return ranked(met, k)
+
+
+def tune_probes(points: DataFrame, queries: DataFrame, truth: DataFrame, input_dim: int, target: float = 0.9, grid=((10, 0), (10, 10), (25, 10), (50, 10), (50, 50)), width: float = 2.0, hashes: int = 4) -> tuple[int, int, float]:
+    """The first (tables, probes) of a grid, from cheap to dear, that reaches the recall; and the recall."""
+    from .measures import recall
+
+    found = 0.0
+    for tables, probes in grid:
+        found = recall(MultiProbe(points, input_dim, tables, hashes, width).search(queries, 10, probes), truth).first()["recall"]
+        if found >= target:
+            break
+    return tables, probes, found

@@ -186,3 +186,43 @@ BUILDERS = {
     "lineitems": lineitems,
     "user_mix": user_mix,
 }
+
+
+def topics_lda(spark: SparkSession, d: str, bins: int = 8, vocabulary: int = 4000, seed: int = 3) -> DataFrame:
+    """Topic histograms by latent Dirichlet allocation, fitted on one half of the documents and applied to the other."""
+    from pyspark.ml.clustering import LDA
+    from pyspark.ml.feature import CountVectorizer
+    from pyspark.ml.functions import vector_to_array
+
+    docs = table(spark, d, "documents").select(F.col("doc_id").alias("id"), _tokens().alias("words"))
+    half = F.pmod(F.xxhash64("id"), F.lit(2))
+    counts = CountVectorizer(inputCol="words", outputCol="features", vocabSize=vocabulary, minDF=2).fit(docs.where(half == 0))
+    model = LDA(k=bins, maxIter=10, seed=seed).fit(counts.transform(docs.where(half == 0)))
+    shares = model.transform(counts.transform(docs.where(half == 1))).select("id", F.transform(vector_to_array("topicDistribution"), lambda v: F.greatest(v, F.lit(FLOOR))).alias("p"))
+    return shares.select("id", F.struct("p", F.transform("p", lambda v: F.log(v)).alias("logp")).alias("x"))
+
+
+def signatures_kmeans(spark: SparkSession, d: str, by: str = "l_partkey", clusters: int = 20, rounds: int = 10, sample: int = 10_000) -> DataFrame:
+    """An object's rows as at most ``clusters`` centroids with shares, by k-means on a sample of its rows.
+
+    The sample is the first ``sample`` of a hashed order within the object, so a group stays bounded.
+    """
+    import numpy as np
+    import pandas as pd
+    from pyspark.sql import Window
+
+    rows = table(spark, d, "lineitem").selectExpr(f"{by} AS id", "xxhash64(*) AS h", f"array({', '.join(f'cast({e[0]} AS double)' for e in _FEATURES.values())}) AS v")
+    w = Window.partitionBy("id").orderBy("h")
+    few = rows.withColumn("r", F.row_number().over(w)).where(F.col("r") <= sample).select("id", "r", "v")
+
+    def group(frame: pd.DataFrame) -> pd.DataFrame:
+        x = np.stack(frame.sort_values("r")["v"].to_numpy())
+        centres = np.unique(x, axis=0)[:: max(1, len(np.unique(x, axis=0)) // clusters)][:clusters]
+        for _ in range(rounds):
+            own = ((x[:, None] - centres[None]) ** 2).sum(-1).argmin(1)
+            centres = np.stack([x[own == i].mean(0) if (own == i).any() else c for i, c in enumerate(centres)])
+        own = ((x[:, None] - centres[None]) ** 2).sum(-1).argmin(1)
+        kept = [{"c": centres[i].tolist(), "w": float((own == i).mean())} for i in np.unique(own)]
+        return pd.DataFrame({"id": [frame["id"].iloc[0]], "x": [kept]})
+
+    return few.groupBy("id").applyInPandas(group, "id long, x array<struct<c: array<double>, w: double>>")
