@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .memory import release, trimmed
-from .session import cut
+from .session import cut, small_batches
 from .text import U, batches, to_bytes, words_of
 
 BITS, DIMS, OVER = 14, 128, 16
@@ -287,6 +287,7 @@ LEAKS = "array<struct<item_id: long, cosine: double, lcs: double, answer: double
 def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", block: int = 4096, space: LatentSpace | None = None, **limits) -> DataFrame:
     """Every row with ``leaks``, its leaked items. A column of that name is replaced."""
     rows = benchmark.select("item_id", "text").where(F.col("item_id").isNotNull()).orderBy("item_id", "text").toLocalIterator()
+    small_batches(docs)
     space = space or fit(docs)
     held, out = [], docs.drop("leaks").withColumn("leaks", F.array().cast(LEAKS))
     for r in rows:

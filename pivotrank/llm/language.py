@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 
 from .memory import release, trimmed
 from .sampling import bounded
+from .session import small_batches
 
 SAMPLE_ROWS = 800
 LONGEST = 64 << 10
@@ -154,6 +155,7 @@ def fit_temperature(model: LanguageModel, texts: list[tuple[str, str]]) -> None:
 
 def fit(docs: DataFrame, usable: Column | None = None, sample_rows: int = SAMPLE_ROWS, longest: int = LONGEST, bits: int = BITS) -> LanguageModel:
     """A model from text and lang; ``usable`` says which rows may be learned from."""
+    small_batches(docs)
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
     if usable is not None:
         known = known.where(usable)

@@ -31,7 +31,7 @@ from . import packing as k
 from .bagminhash import signatures
 from .components import stars
 from .memory import release, trimmed
-from .session import cut
+from .session import cut, small_batches
 from .text import U, batches, pair_hash, rolling, splitmix, to_bytes, words_of
 
 SIMILARITY = 0.8
@@ -187,6 +187,7 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY, width: int = SHINGL
 
     copy_of is the smallest doc_id with the same words. Null doc_ids have a null class.
     """
+    small_batches(docs)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     signed = cut(docs.mapInArrow(trimmed(_signed(bands, rows, width)), "doc_id long, key binary, bands array<long>"))
     keyed = signed.where(F.col("doc_id").isNotNull() & F.col("key").isNotNull())

@@ -25,6 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .sampling import bounded
+from .session import small_batches
 
 SAMPLE_ROWS = 1500
 LONGEST = 64 << 10
@@ -105,6 +106,7 @@ class CompressionClassifier:
 
 def fit(docs: DataFrame, labels: DataFrame, usable: Column | None = None, label: str = "quality", sample_rows: int = SAMPLE_ROWS, longest: int = LONGEST, dictionary_bytes: int = DICTIONARY_BYTES) -> CompressionClassifier:
     """A classifier from the labelled rows; ``usable`` says which rows may be learned from."""
+    small_batches(docs)
     known = labels.select("doc_id", label).where(F.col("doc_id").isNotNull())
     if usable is not None:
         known = known.where(usable)

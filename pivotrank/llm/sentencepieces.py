@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql.types import ArrayType, BooleanType, IntegerType, StringType, StructField, StructType
 
 from .memory import trimmed
+from .session import small_batches
 
 # Fixed values of the model format.
 MARK = "▁"
@@ -229,6 +230,7 @@ class SentencePieces:
 
         Columns of these names are replaced.
         """
+        small_batches(docs)
         own, rows = self, docs.drop("ids", "parity", "round_trip")
 
         def run(source):

@@ -22,6 +22,14 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def small_batches(df: DataFrame, rows: int = 1000) -> None:
+    """Batches between Spark and Python of ``rows`` rows at most, for whole texts; a setting that sessions may change as they run."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    conf = df.sparkSession.conf
+    if not 0 < int(conf.get(key)) <= rows:
+        conf.set(key, str(rows))
+
+
 def text_bytes(docs: DataFrame, text: str = "text") -> int:
     """UTF-8 bytes of a column's texts."""
     return docs.agg(F.sum(F.octet_length(text)).alias("b")).first()["b"] or 0

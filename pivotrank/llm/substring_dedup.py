@@ -29,7 +29,7 @@ from pyspark.sql.types import StringType, StructField, StructType
 
 from . import packing as k
 from .memory import trimmed_group, trimmed_pair
-from .session import part_of, parts_for, text_bytes
+from .session import part_of, parts_for, small_batches, text_bytes
 from .text import U, batches, pair_hash, rolling, splitmix, to_bytes, windows, words_of
 
 WINDOW = 50
@@ -230,6 +230,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, part_bytes: int = PART
     if window % 2:
         raise ValueError("the window must have an even number of words")
     block = window // 2
+    small_batches(docs)
     parts = parts_for(text_bytes(docs), part_bytes)
     columns = [part_of("doc_id", parts).alias("part"), F.col("doc_id").cast("long").alias("doc_id"), F.col("text")]
     if carry:

@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from . import mixcoder
 from .memory import trimmed
-from .session import cut, parts_for, text_bytes
+from .session import cut, parts_for, small_batches, text_bytes
 
 MAGIC = b"TIDS"
 _HEAD = struct.Struct("<4sHHIIQ")  # magic, version, 0, documents, blocks, ids
@@ -140,6 +140,7 @@ def write_files(docs: DataFrame, tokenizer: str, pattern: str, end_id: int = 0,
         if ids:
             yield close()
 
+    small_batches(docs)
     parts = parts_for(text_bytes(docs), part_bytes)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     dealt = rows.repartitionByRange(parts, "doc_id").withColumn("part", F.spark_partition_id()).sortWithinPartitions("doc_id", "text")
