@@ -17,14 +17,11 @@ from pivotrank.llm.session import table
 from pivotrank.llm.substring_dedup import remove_repeats
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
-LEAST_SCORE = 0.25
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language the model can tell; ``lang`` stays as given."""
-    model = fit(docs)
-    found = docs.select(*COLUMNS, model.column("text").alias("_found"))
-    return found.where((F.col("_found.lang") != "und") & (F.col("_found.score") >= LEAST_SCORE)).select(*COLUMNS)
+    return docs.select(*COLUMNS).where(fit(docs).identified("text"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

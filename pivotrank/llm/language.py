@@ -4,7 +4,10 @@ Lower-cased text is cut into n-grams of one to three characters, hashed into ``d
 feature's weight is its count times the log inverse document frequency over all training rows; the
 vector has length one. Weights are trained with follow-the-regularised-leader (per-coordinate rates,
 elastic net: L1 makes them sparse, L2 keeps them small), then one temperature is fitted on a part of
-the sample that training has not seen.
+the sample that training has not seen. The same part gives ``least``, the odds from which
+a text counts as identified: the log odds of its best language against the second, which unlike scores
+do not saturate, are reached by all but LOST of the rightly told texts there. Besides, its score lies at
+least half way from chance to certainty. With one language only ``und`` can be turned away.
 
 Document frequencies come from every training row. Training takes a bounded sample: at most
 ``sample_rows`` rows of each language, of texts of at most ``longest`` bytes.
@@ -31,6 +34,7 @@ from .session import small_batches
 SAMPLE_ROWS = 800
 LONGEST = 64 << 10
 BITS = 16
+LOST = 0.02
 _BLOCK = 4096
 _LETTER = regex.compile(r"\p{L}")
 
@@ -91,6 +95,7 @@ class LanguageModel:
     bias: np.ndarray
     temperature: float = 1.0
     bits: int = BITS
+    least: float = 0.0
 
     def vector(self, text: str) -> tuple[np.ndarray, np.ndarray]:
         counts = grams(text, self.bits)
@@ -106,6 +111,26 @@ class LanguageModel:
         best = int(np.argmax(p))
         return self.languages[best], float(p[best])
 
+    def odds(self, text: str) -> float:
+        """Calibrated log odds of the best language against the second; 0 where there is no second."""
+        at, x = self.vector(text)
+        z = np.sort(x @ self.weights[at] + self.bias)
+        return float(z[-1] - z[-2]) / self.temperature if len(z) > 1 else 0.0
+
+    def sure(self, text: str | None) -> bool:
+        lang, score = self.predict(text)
+        return lang != "und" and score >= (1 + 1 / len(self.languages)) / 2 and self.odds(text) >= self.least
+
+    def identified(self, text: str) -> Column:
+        """Whether the language of a text column can be told."""
+        model = self
+
+        @F.pandas_udf("boolean")
+        def identified(texts: pd.Series) -> pd.Series:
+            return pd.Series([model.sure(t) for t in texts], dtype=bool)
+
+        return identified(F.col(text))
+
     def column(self, text: str) -> Column:
         """struct<lang, score> of a text column."""
         model = self
@@ -153,6 +178,12 @@ def fit_temperature(model: LanguageModel, texts: list[tuple[str, str]]) -> None:
     model.temperature = min(np.geomspace(0.02, 5, 120), key=loss)
 
 
+def fit_least(model: LanguageModel, texts: list[tuple[str, str]]) -> None:
+    """The least odds of an identified text, from texts that training has not seen."""
+    right = [model.odds(t) for t, lang in texts if model.predict(t)[0] == lang]
+    model.least = float(np.quantile(right, LOST)) if right else 0.0
+
+
 def fit(docs: DataFrame, usable: Column | None = None, sample_rows: int = SAMPLE_ROWS, longest: int = LONGEST, bits: int = BITS) -> LanguageModel:
     """A model from text and lang; ``usable`` says which rows may be learned from."""
     small_batches(docs)
@@ -173,6 +204,7 @@ def fit(docs: DataFrame, usable: Column | None = None, sample_rows: int = SAMPLE
         return empty
     train(model, [t for i, t in enumerate(texts) if i % 5])
     fit_temperature(model, texts[::5])
+    fit_least(model, texts[::5])
     texts.clear()
     release()
     return model

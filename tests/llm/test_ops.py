@@ -243,6 +243,21 @@ def test_language(spark, odd):
     assert language.fit(odd.limit(0)).predict("words") == ("und", 0.0)
 
 
+def test_language_gate(spark):
+    import corpus_pipeline as c
+
+    docs = spark.read.parquet(f"{MIDDLE}/documents.parquet").select(*c.COLUMNS)
+    rng = np.random.default_rng(1)
+    letters = ["".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz   "), 300)) for _ in range(10)]
+    mixed = ["".join(rng.choice(list("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/"), 400)) for _ in range(10)]
+    foreign = ["съешь ещё этих мягких французских булок, да выпей чаю", "これは日本語の文章です。言語を識別できません。", "Η γρήγορη καφέ αλεπού πηδάει πάνω από το σκυλί"]
+    bad = [(10_000 + i, t, None, "s", len(t)) for i, t in enumerate(letters + mixed + foreign)]
+    clean = docs.where("n_chars > 500 AND NOT text RLIKE '!!|%%%'").orderBy("doc_id").limit(200).withColumn("doc_id", F.col("doc_id") + 20_000).withColumn("lang", F.lit(None).cast("string"))
+    kept = {r.doc_id for r in c.language(spark, docs.unionByName(spark.createDataFrame(bad, docs.schema)).unionByName(clean), MIDDLE).select("doc_id").collect()}
+    assert not [i for i in kept if 10_000 <= i < 20_000]
+    assert sum(i >= 20_000 for i in kept) >= 196 and sum(i < 10_000 for i in kept) >= 960
+
+
 def test_decontamination(spark, odd):
     docs = spark.read.parquet(f"{MIDDLE}/documents.parquet").select("doc_id", "text")
     bench = spark.read.parquet(f"{MIDDLE}/benchmark.parquet")
