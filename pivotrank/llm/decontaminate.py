@@ -5,8 +5,7 @@ features. Passages are TF-IDF vectors; the inverse document frequencies are coun
 A randomised SVD gives the latent space: a random basis goes through the passages' Gram matrix
 ``rounds`` times, each task adding up its passages' share, and is made orthonormal between rounds.
 Latent axes are scaled to equal variance, so the few that only tell languages apart do not outweigh
-the rest. The basis is fitted on at most about ``sample_docs`` documents, drawn by a hash of the id;
-every passage of every document is searched.
+the rest. Every passage of every document counts in the basis, and every one is searched.
 
 Search: a document's words become running sums of latent vectors, from which windows of several
 lengths, one every ``stride`` words, follow as differences. Each benchmark item is compared by cosine
@@ -31,14 +30,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .memory import release, trimmed
-from .session import cut, small_batches
+from .session import small_batches
 from .text import U, batches, to_bytes, words_of
 
 BITS, DIMS, OVER = 14, 128, 16
 PASSAGE, STRIDE = 64, 8
 WIDTHS = (16, 24, 32, 48, 64)
 COSINE, LCS, ANSWER, VERBATIM = 0.5, 0.6, 0.5, 0.8
-SAMPLE_DOCS = 4000
+GROUP = 24
 _CUT = np.ones(256, bool)
 _CUT[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = False
 
@@ -100,8 +99,11 @@ def _passages(hashes: np.ndarray, doc: np.ndarray, first: np.ndarray, idf: np.nd
     return passage, feature, value / np.maximum(norm, 1e-12)[passage]
 
 
-def _gram(sample: DataFrame, basis: np.ndarray, idf: np.ndarray, bits: int) -> np.ndarray:
-    """The passages' Gram matrix times a basis, added up over the tasks."""
+def _gram(docs: DataFrame, basis: np.ndarray, idf: np.ndarray, bits: int) -> np.ndarray:
+    """The passages' Gram matrix times a basis, added up over the tasks.
+
+    A few passages at a time are made dense over the features they hold, small enough for the cache.
+    """
     size, dims = basis.shape
     rows_a_block = 512
 
@@ -114,18 +116,16 @@ def _gram(sample: DataFrame, basis: np.ndarray, idf: np.ndarray, bits: int) -> n
                 if not len(words.hash):
                     continue
                 passage, feature, value = _passages(words.hash, words.doc, words.first, idf, bits)
-                value = value.astype(np.float32)[:, None]
-                starts = np.flatnonzero(np.concatenate(([True], passage[1:] != passage[:-1])))
-                latent = np.add.reduceat(basis[feature] * value, starts)
-                number = np.repeat(np.arange(len(starts)), np.diff(np.append(starts, len(passage))))
-                order = np.argsort(feature, kind="stable")
-                back, f = (latent[number] * value)[order], feature[order]
-                ends = np.flatnonzero(np.concatenate(([True], f[1:] != f[:-1])))
-                total[f[ends]] += np.add.reduceat(back, ends)
+                ends = np.searchsorted(passage, np.arange(0, passage[-1] + 1 + GROUP, GROUP))
+                for k, (i, j) in enumerate(zip(ends[:-1], ends[1:], strict=True)):
+                    held, at = np.unique(feature[i:j], return_inverse=True)
+                    dense = np.zeros((GROUP, len(held)), np.float32)
+                    dense[passage[i:j] - k * GROUP, at] = value[i:j]
+                    total[held] += dense.T @ (dense @ basis[held])
         blocks = total.reshape(-1, rows_a_block * dims)
         yield pa.RecordBatch.from_pydict({"block": pa.array(range(len(blocks)), pa.int32()), "n": pa.array([0] * len(blocks), pa.int64()), "counts": pa.array([b.tobytes() for b in blocks], pa.binary())})
 
-    _, out = _summed(sample.select("text").mapInArrow(trimmed(share), "block int, n long, counts binary"), np.float32, size // rows_a_block, rows_a_block * dims)
+    _, out = _summed(docs.select("text").mapInArrow(trimmed(share), "block int, n long, counts binary"), np.float32, size // rows_a_block, rows_a_block * dims)
     return out.reshape(size, dims).astype(np.float64)
 
 
@@ -138,20 +138,16 @@ class LatentSpace:
         return self.table[_features(hashes, self.bits)]
 
 
-def fit(docs: DataFrame, bits: int = BITS, dims: int = DIMS, sample_docs: int = SAMPLE_DOCS, rounds: int = 2, seed: int = 5) -> LatentSpace:
+def fit(docs: DataFrame, bits: int = BITS, dims: int = DIMS, rounds: int = 2, seed: int = 5) -> LatentSpace:
     """The latent space of the documents' passages."""
     idf = inverse_frequencies(docs, bits)
-    n = docs.count()
-    share = min(1.0, sample_docs / max(1, n))
-    chosen = F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(1_000_000)) < F.lit(int(share * 1_000_000) + 1)
-    sample = cut(docs.select("doc_id", "text").where(F.coalesce(chosen, F.lit(False))))
     basis = np.random.default_rng(seed).standard_normal((1 << bits, dims + OVER)).astype(np.float32)
     for _ in range(rounds):
-        image = _gram(sample, basis, idf, bits)
+        image = _gram(docs, basis, idf, bits)
         if not image.any():
             break
         basis = np.linalg.qr(image)[0].astype(np.float32)
-    image = _gram(sample, basis, idf, bits)
+    image = _gram(docs, basis, idf, bits)
     values, turn = np.linalg.eigh(basis.T.astype(np.float64) @ image)
     order = np.argsort(values)[::-1][:dims]
     scale = 1 / np.sqrt(np.maximum(values[order], 1e-9 * max(values.max(), 1e-9)))

@@ -284,6 +284,19 @@ def test_decontamination(spark, odd):
     assert decontaminate.leaks(odd.limit(0), bench).count() == 0
 
 
+def test_latent_space_covers_all_documents(spark):
+    rare = [[f"rare{i}x{j}" for j in range(30)] for i in range(10)]  # ten sources of one document each, among 20,000
+    texts = [" ".join(words(i, 12)) for i in range(20_000)]
+    texts[::2000] = [" ".join(words(i, 40) + w + words(i + 50, 40)) for i, w in enumerate(rare)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(8)
+    space = decontaminate.fit(docs)
+    hashes = decontaminate._words([" ".join(w).encode() for w in rare]).hash
+    assert (np.linalg.norm(space.vectors(hashes), axis=1) > 0).all()
+    items = decontaminate.prepare([(i, " ".join("changed" if j % 6 == 1 else x for j, x in enumerate(w))) for i, w in enumerate(rare)], space)
+    found = decontaminate.search([t.encode() for t in texts[::2000]], space, items)
+    assert [[x["item_id"] for x in f] for f in found] == [[i] for i in range(10)]
+
+
 def test_reworded_passages_are_found(spark):
     docs = spark.read.parquet(f"{MIDDLE}/documents.parquet").select("doc_id", "text")
     items = [(r.item_id, r.text) for r in spark.read.parquet(f"{MIDDLE}/benchmark.parquet").collect()]
