@@ -9,10 +9,14 @@ the rest. Every passage of every document counts in the basis, and every one is
 
 Search: a document's words become running sums of latent vectors, from which windows of several
 lengths, one every ``stride`` words, follow as differences. Each benchmark item is compared by cosine
-with the windows of the length nearest above its own. Candidates above ``cosine`` are checked exactly:
+with the windows of the length nearest above its own, and with those so much longer that one holds
+the whole item wherever it begins. Beside this route, every run of ANCHOR words of an item (all its
+words, if it has fewer) is looked up in the documents, so that no verbatim passage depends on a
+cosine. Candidates above ``cosine`` and the places of anchors are checked exactly:
 the longest common subsequence of the item's words with the words around the window, as a share of
 the item, and the same for its last quarter, which stands for the answer. A leak has a share of at
-least ``lcs`` with an answer share of at least ``answer``, or a share of at least ``verbatim``.
+least ``lcs`` with an answer share of at least ``answer``, or a share of at least ``verbatim``. Of an
+item's places in a document the best leaking one is given, and its cosine is that of the place found.
 
 Items are compared in blocks of ``block`` items; an item set of any size takes more blocks, not more
 memory in a task. Null texts and texts without words have no leaks; items without words match
@@ -31,11 +35,12 @@ from pyspark.sql import functions as F
 
 from .memory import release, trimmed
 from .session import small_batches
-from .text import U, batches, to_bytes, words_of
+from .text import U, batches, rolling, to_bytes, words_of
 
 BITS, DIMS, OVER = 14, 128, 16
 PASSAGE, STRIDE = 64, 8
-WIDTHS = (16, 24, 32, 48, 64)
+WIDTHS = (8, 16, 24, 32, 40, 48, 64, 72)
+ANCHOR = 8
 COSINE, LCS, ANSWER, VERBATIM = 0.5, 0.6, 0.5, 0.8
 GROUP = 24
 _CUT = np.ones(256, bool)
@@ -125,7 +130,8 @@ def _gram(docs: DataFrame, basis: np.ndarray, idf: np.ndarray, bits: int) -> np.
         blocks = total.reshape(-1, rows_a_block * dims)
         yield pa.RecordBatch.from_pydict({"block": pa.array(range(len(blocks)), pa.int32()), "n": pa.array([0] * len(blocks), pa.int64()), "counts": pa.array([b.tobytes() for b in blocks], pa.binary())})
 
-    _, out = _summed(docs.select("text").mapInArrow(trimmed(share), "block int, n long, counts binary"), np.float32, size // rows_a_block, rows_a_block * dims)
+    few = docs.select("text").coalesce(2 * docs.sparkSession.sparkContext.defaultParallelism)  # a task ships the whole matrix, however few its rows
+    _, out = _summed(few.mapInArrow(trimmed(share), "block int, n long, counts binary"), np.float32, size // rows_a_block, rows_a_block * dims)
     return out.reshape(size, dims).astype(np.float64)
 
 
@@ -175,6 +181,7 @@ class Items:
     words: list[list[int]]
     vectors: np.ndarray
     width: np.ndarray
+    whole: list[int]  # one number for each item as given; its other numbers are more widths or stretches
 
     def __post_init__(self):
         self.longest = max(map(len, self.words), default=0)
@@ -183,6 +190,19 @@ class Items:
             tail = ws[-max(1, len(ws) // 4) :]
             self.masks.append(_masks(ws))
             self.answers.append(_masks(tail))
+        runs: dict[int, list] = {}
+        for number in self.whole:
+            ws = np.array(self.words[number], U)
+            size = min(ANCHOR, len(ws))
+            h = rolling(ws, size)
+            runs.setdefault(size, []).append((h, np.full(len(h), number), np.arange(len(h))))
+        self.anchors = {}
+        for size, parts in runs.items():
+            h, number, place = map(np.concatenate, zip(*parts, strict=True))
+            order = np.argsort(h, kind="stable")
+            some = np.zeros(1 << 16, bool)
+            some[h >> U(48)] = True
+            self.anchors[size] = (h[order], number[order], place[order], some)
 
 
 def _masks(words: list[int]) -> tuple[dict[int, int], int]:
@@ -194,17 +214,20 @@ def _masks(words: list[int]) -> tuple[dict[int, int], int]:
 
 def prepare(items: list[tuple[int, str]], space: LatentSpace) -> Items:
     """An item longer than the widest window is looked up by each of its stretches of that length."""
-    ids, words, vectors, width = [], [], [], []
+    ids, words, vectors, width, whole = [], [], [], [], []
     for id, text in items:
         held = _words([text.encode("utf-8", "surrogatepass")]).hash if text else np.empty(0, U)
         for a in range(0, max(1, len(held) - PASSAGE // 4), PASSAGE) if len(held) else ():
             piece = held[a : a + PASSAGE]
             v = space.vectors(piece).sum(0)
-            ids.append(id)
-            words.append(held.tolist())
-            vectors.append(v / (np.linalg.norm(v) or 1.0))
-            width.append(next((w for w in WIDTHS if w >= len(piece)), WIDTHS[-1]))
-    return Items(ids, words, np.array(vectors, np.float32).reshape(len(ids), space.table.shape[1]), np.array(width, int))
+            if a == 0:
+                whole.append(len(ids))
+            for w in sorted({next(w for w in WIDTHS if w >= n) for n in (len(piece), len(piece) + STRIDE - 1)}):
+                ids.append(id)
+                words.append(held.tolist())
+                vectors.append(v / (np.linalg.norm(v) or 1.0))
+                width.append(w)
+    return Items(ids, words, np.array(vectors, np.float32).reshape(len(ids), space.table.shape[1]), np.array(width, int), whole)
 
 
 def search(texts: list[bytes], space: LatentSpace, items: Items, cosine=COSINE, lcs=LCS, answer=ANSWER, verbatim=VERBATIM, stride: int = STRIDE) -> list[list[dict]]:
@@ -214,6 +237,7 @@ def search(texts: list[bytes], space: LatentSpace, items: Items, cosine=COSINE,
         words = _words(texts[a:b])
         found: list[dict[int, dict]] = [{} for _ in range(b - a)]
         pad = WIDTHS[-1] // stride
+        _anchored(words, space, items, found, lcs, answer, verbatim)
         begin, sums = _stride_sums(words, space, stride, pad)
         doc_of = np.repeat(np.arange(b - a), np.diff(begin))
         window, held = sums[: len(doc_of)].copy(), 1
@@ -241,6 +265,33 @@ def search(texts: list[bytes], space: LatentSpace, items: Items, cosine=COSINE,
     return out
 
 
+def _anchored(words, space: LatentSpace, items: Items, found, lcs, answer, verbatim) -> None:
+    """Checks the places where a document has a run of an item's words."""
+    for size, (hashes, numbers, places, some) in items.anchors.items():
+        here = rolling(words.hash, size)
+        at = np.flatnonzero(some[here >> U(48)])
+        low, high = np.searchsorted(hashes, here[at], "left"), np.searchsorted(hashes, here[at], "right")
+        hit = (high > low) & (words.doc[at] == words.doc[at + size - 1])
+        done = set()
+        for p, i, j in zip(at[hit].tolist(), low[hit].tolist(), high[hit].tolist(), strict=True):
+            doc = int(words.doc[p])
+            for number, place in zip(numbers[i:j].tolist(), places[i:j].tolist(), strict=True):
+                begin, m = int(p - words.first[doc]) - place, len(items.words[number])
+                if (doc, number, begin // size) in done or _settled(found[doc].get(items.ids[number])):
+                    continue
+                done.add((doc, number, begin // size))
+                begin = max(0, begin)
+                v = space.vectors(words.hash[words.first[doc] + begin : min(words.first[doc + 1], words.first[doc] + begin + m)]).sum(0)
+                item = space.vectors(np.array(items.words[number], U)).sum(0)
+                near = float(v @ item) / max(float(np.linalg.norm(v) * np.linalg.norm(item)), 1e-9)
+                _check(words, doc, begin, m, number, near, items, found, lcs, answer, verbatim)
+
+
+def _settled(known: dict | None) -> bool:
+    """Whether no other place can be better."""
+    return bool(known and known["leak"] and known["lcs"] == 1.0)
+
+
 def _stride_sums(words, space: LatentSpace, stride: int, pad: int) -> tuple[np.ndarray, np.ndarray]:
     """Latent sums of every ``stride`` words of each text, ``pad`` empty ones after each; where each text begins."""
     counts = np.diff(words.first)
@@ -262,18 +313,20 @@ def _stride_sums(words, space: LatentSpace, stride: int, pad: int) -> tuple[np.n
 
 def _check(words, doc, at, width, number, near, items, found, lcs, answer, verbatim) -> None:
     item, known = items.ids[number], found[doc].get(items.ids[number])
-    if known and known["leak"] and known["lcs"] == 1.0:
+    if _settled(known):
         return
     m = len(items.words[number])
     first = words.first[doc]
     region = words.hash[max(first, first + at - m) : min(words.first[doc + 1], first + at + width + m)].tolist()
     mask, full = items.masks[number]
     share = common(mask, full, region) / m
-    if known and share <= known["lcs"]:
+    if known and known["leak"] and share <= known["lcs"]:
         return
     mask, full = items.answers[number]
     ends = common(mask, full, region) / full.bit_length()
     leak = share >= verbatim or share >= lcs and ends >= answer
+    if known and (leak, share) <= (known["leak"], known["lcs"]):
+        return
     found[doc][item] = {"item_id": item, "cosine": near, "lcs": share, "answer": ends, "first_word": at, "leak": leak}
 
 

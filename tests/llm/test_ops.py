@@ -297,6 +297,27 @@ def test_latent_space_covers_all_documents(spark):
     assert [[x["item_id"] for x in f] for f in found] == [[i] for i in range(10)]
 
 
+def test_verbatim_passages_are_found_at_every_offset(spark):
+    space = decontaminate.fit(spark.createDataFrame([(i, " ".join(words(i, 80))) for i in range(400)], "doc_id long, text string"))
+    sizes = (1, 2, 3, 5, 7, 8, 9, 15, 16, 17, 24, 32, 48, 63, 64, 65, 100, 150)
+    items = [(n, " ".join(f"own{n}" if i == n // 2 else w for i, w in enumerate(words(900 + n, n)))) for n in sizes]
+    ready = decontaminate.prepare(items, space)
+    texts = [" ".join(words(500 + o, 100 + o) + [t] + words(600 + o, 100)).encode() for _, t in items for o in range(8)]
+    found = [{x["item_id"]: x["lcs"] for x in f} for f in decontaminate.search(texts, space, ready)]
+    assert [n for n in sizes for _ in range(8)] == [n for n, f in zip(np.repeat(sizes, 8).tolist(), found, strict=True) if f.get(n) == 1.0]
+
+
+def test_a_leaking_place_wins(spark):
+    space = decontaminate.fit(spark.createDataFrame([(i, " ".join(words(i, 80))) for i in range(400)], "doc_id long, text string"))
+    item = words(77, 40)
+    no_answer = item[:30]  # a share of 0.75 without the answer
+    answer = item[:6] + ["x"] * 2 + item[16:]  # a share of 0.75 less 2 words, with the answer
+    answer.pop(8)
+    text = " ".join(no_answer + words(78, 300) + answer)
+    found = decontaminate.search([text.encode()], space, decontaminate.prepare([(1, " ".join(item))], space))
+    assert [(x["item_id"], x["answer"]) for x in found[0]] == [(1, 1.0)]
+
+
 def test_reworded_passages_are_found(spark):
     docs = spark.read.parquet(f"{MIDDLE}/documents.parquet").select("doc_id", "text")
     items = [(r.item_id, r.text) for r in spark.read.parquet(f"{MIDDLE}/benchmark.parquet").collect()]
