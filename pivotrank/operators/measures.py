@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.distances import distance, rank_key
+from .graphs import cut
 
 
 def recall(result: DataFrame, truth: DataFrame, k: int = 10, ties: bool = False) -> DataFrame:
@@ -54,6 +55,23 @@ def triples(points: DataFrame, modulus: int = 97) -> DataFrame:
     return a.withColumn("ib", step(31)).withColumn("iq", step(57)).join(b, "ib").join(q, "iq").where("ia <> ib AND ib <> iq AND ia <> iq").select("a", "b", "q")
 
 
+def all_triples(points: DataFrame) -> DataFrame:
+    """Triples (a, b, q) of payloads: every point with two others by arithmetic on its place in the hashed order.
+
+    Places come from a distributed sort and the partitions' counts; a point that meets itself gives none.
+    """
+    order = cut(points.select("id", "x").sort(F.md5(F.col("id").cast("string").cast("binary")), "id"))
+    placed = order.withColumn("m", F.monotonically_increasing_id()).withColumn("part", F.shiftright("m", 33))
+    sizes = sorted(placed.groupBy("part").count().collect())  # a row for each partition
+    before = [(r["part"], sum(s["count"] for s in sizes[:k])) for k, r in enumerate(sizes)]
+    n = sum(r["count"] for r in sizes)
+    starts = F.broadcast(points.sparkSession.createDataFrame(before, "part long, before long"))
+    every = placed.join(starts, "part").select((F.col("before") + F.col("m").bitwiseAND((1 << 33) - 1) + 1).alias("i"), "x")
+    a, b, q = (every.select(F.col("i").alias(f"i{c}"), F.col("x").alias(c)) for c in "abq")
+    step = lambda s: F.pmod(F.col("ia") * s, F.lit(max(1, n))) + 1
+    return a.withColumn("ib", step(31)).withColumn("iq", step(57)).join(b, "ib").join(q, "iq").where("ia <> ib AND ib <> iq AND ia <> iq").select("a", "b", "q")
+
+
 def triangle_violations(triple: DataFrame, dist) -> DataFrame:
     """(triples, violations): how often the way over a third point is shorter."""
     d = distance(dist)

@@ -132,6 +132,16 @@ _mu("mu_defect_sqrt_js", "topics8", "js", lambda e: f"sqrt(greatest({e}, 0.0))")
 _mu("mu_defect_sqrt_kl", "topics8", "kl", lambda e: f"sqrt(greatest({e}, 0.0))")
 
 
+# the same over all points; the names above stay, as their SQL is fixed to 97 points
+_ALL_TRIPLES = """placed AS MATERIALIZED (SELECT x, row_number() OVER (ORDER BY md5(id::VARCHAR), id) AS i, count(*) OVER () AS n FROM pts),
+tri AS MATERIALIZED (SELECT a.x AS a, b.x AS b, q.x AS q FROM placed a JOIN placed b ON b.i = a.i * 31 % a.n + 1 JOIN placed q ON q.i = a.i * 57 % a.n + 1 WHERE a.i <> b.i AND b.i <> q.i AND a.i <> q.i)"""
+
+for _name, _points, _dist in (("triangle_rate", "sequences", "norm_lev"), ("triangle_rate_l2", "embeddings", "l2"), ("triangle_rate_kl", "topics8", "kl")):
+    register(f"{_name}_all", lambda spark, d, p=_points, x=_dist: M.triangle_violations(M.all_triples(W.BUILDERS[p](spark, d)), x), SQL[_name].replace(_TRIPLES, _ALL_TRIPLES))
+for _name, _points, _dist in (("mu_defect_angular", "embeddings", "cosine"), ("mu_defect_sqrt_js", "topics8", "js"), ("mu_defect_sqrt_kl", "topics8", "kl")):
+    register(f"{_name}_all", lambda spark, d, p=_points, x=_dist: M.mu_defect(M.all_triples(W.BUILDERS[p](spark, d)), x).select("triples", F.round("mu", 6).alias("mu")), SQL[_name].replace(_TRIPLES, _ALL_TRIPLES))
+
+
 def counterexample_1d(spark, d):
     """In this space 40 is nearest to 0 although 0 and 1 are near each other on the line: d(0, 1) against d(0, 40)."""
     pts = W.line(spark, d).where("id < 0").select(F.col("id").alias("b"), F.col("x").alias("y"))
