@@ -44,6 +44,7 @@ _exact("exact_kl_left", "topics8", "kl")
 _exact("exact_kl_right", "topics8", "kl", side="right")
 _exact("exact_js", "topics8", "js")
 _exact("exact_levenshtein", "sequences", "norm_lev", q=20)
+_exact("exact_levenshtein_drawn", "sequences_drawn", "norm_lev", q=20)
 _exact("exact_sqfd_grid", "signatures", "sqfd", q=5)
 
 
@@ -148,6 +149,7 @@ _exhaustive("perm_pivot_l2", "embeddings", "l2", "pivot_l2", 128, 100, how="heap
 _exhaustive("perm_kl", "topics8", "kl", "rho", 64, 0.1)
 _exhaustive("perm_js", "topics8", "js", "rho", 64, 0.1)
 _exhaustive("perm_levenshtein_bits", "sequences", "norm_lev", "hamming", 128, 0.1, q=20)
+_exhaustive("perm_levenshtein_bits_drawn", "sequences_drawn", "norm_lev", "hamming", 128, 0.1, q=20)
 _exhaustive("perm_sqfd_bits", "signatures", "sqfd", "hamming", 16, 0.2, q=5)
 
 

@@ -136,8 +136,8 @@ _mu("mu_defect_sqrt_kl", "topics8", "kl", lambda e: f"sqrt(greatest({e}, 0.0))")
 _ALL_TRIPLES = """placed AS MATERIALIZED (SELECT x, row_number() OVER (ORDER BY md5(id::VARCHAR), id) AS i, count(*) OVER () AS n FROM pts),
 tri AS MATERIALIZED (SELECT a.x AS a, b.x AS b, q.x AS q FROM placed a JOIN placed b ON b.i = a.i * 31 % a.n + 1 JOIN placed q ON q.i = a.i * 57 % a.n + 1 WHERE a.i <> b.i AND b.i <> q.i AND a.i <> q.i)"""
 
-for _name, _points, _dist in (("triangle_rate", "sequences", "norm_lev"), ("triangle_rate_l2", "embeddings", "l2"), ("triangle_rate_kl", "topics8", "kl")):
-    register(f"{_name}_all", lambda spark, d, p=_points, x=_dist: M.triangle_violations(M.all_triples(W.BUILDERS[p](spark, d)), x), SQL[_name].replace(_TRIPLES, _ALL_TRIPLES))
+for _name, _points, _dist in (("triangle_rate", "sequences_drawn", "norm_lev"), ("triangle_rate_l2", "embeddings", "l2"), ("triangle_rate_kl", "topics8", "kl")):
+    register(f"{_name}_all", lambda spark, d, p=_points, x=_dist: M.triangle_violations(M.all_triples(W.BUILDERS[p](spark, d)), x), SQL[_name].replace(_TRIPLES, _ALL_TRIPLES).replace(W.SQL["sequences"], W.SQL["sequences_drawn"]))
 for _name, _points, _dist in (("mu_defect_angular", "embeddings", "cosine"), ("mu_defect_sqrt_js", "topics8", "js"), ("mu_defect_sqrt_kl", "topics8", "kl")):
     register(f"{_name}_all", lambda spark, d, p=_points, x=_dist: M.mu_defect(M.all_triples(W.BUILDERS[p](spark, d)), x).select("triples", F.round("mu", 6).alias("mu")), SQL[_name].replace(_TRIPLES, _ALL_TRIPLES))
 
@@ -251,9 +251,9 @@ def left_right_kl(spark, d):
 register("left_right_kl", left_right_kl, f"SELECT count(*) AS agree FROM (SELECT qid, id FROM ({METHODS['exact_kl_left']}) INTERSECT SELECT qid, id FROM ({METHODS['exact_kl_right']}))")
 
 
-def dataset_summary(spark, d):
+def dataset_summary(spark, d, sequences="sequences"):
     """Points and components of each point set."""
-    size = {"embeddings": F.size("x"), "topics8": F.size("x.p"), "sequences": F.length("x"), "signatures": F.size("x")}
+    size = {"embeddings": F.size("x"), "topics8": F.size("x.p"), sequences: F.length("x"), "signatures": F.size("x")}
     out = None
     for name, e in size.items():
         one = W.BUILDERS[name](spark, d).agg(F.count("*").alias("points"), F.max(e).cast("long").alias("most"), F.round(F.avg(e), 6).alias("mean")).select(F.lit(name).alias("points_of"), "points", "most", "mean")
@@ -264,6 +264,9 @@ def dataset_summary(spark, d):
 register("dataset_summary", dataset_summary, " UNION ALL ".join(f"SELECT '{n}' AS points_of, count(*) AS points, max({e})::BIGINT AS most, round(avg({e}), 6) AS mean FROM ({W.SQL[n]})" for n, e in (("embeddings", "len(x)"), ("topics8", "len(x.p)"), ("sequences", "length(x)"), ("signatures", "len(x)"))))
 
 
+register("dataset_summary_drawn", lambda spark, d: dataset_summary(spark, d, "sequences_drawn"), SQL["dataset_summary"].replace("'sequences'", "'sequences_drawn'").replace(W.SQL["sequences"], W.SQL["sequences_drawn"]))
+
+
 def efficiency(spark, d):
     """Recall and share of points whose distance is computed, by method, at the settings of the other queries."""
     pts, qs = split_of(spark, d, "embeddings", 50)

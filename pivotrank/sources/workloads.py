@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import order_key, uniform
+from ..functions.hashing import order_key, uniform, uniform_sql
 from .tables import table
 
 FLOOR = 1e-5
@@ -51,6 +51,17 @@ def sequences(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.translate(F.substring(letters, F.lit(1), n), "abcdefghijklmnopqrstuvwxyz", "ACGTACGTACGTACGTACGTACGTAC").alias("x"))
 
 
+def sequences_drawn(spark: SparkSession, d: str) -> DataFrame:
+    """The letters of a document from a random place on, as many as in ``sequences``."""
+    letters = F.regexp_replace(F.translate(F.coalesce("text", F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "[^a-z]", "")
+    z = sum((uniform(F.concat(F.lit(f"len{i}:"), F.col("doc_id").cast("string"))) for i in range(12)), F.lit(-6.0))
+    n = F.greatest(F.lit(1), F.floor(32.5 + 4 * z).cast("int"))
+    held = table(spark, d, "documents").select(F.col("doc_id").alias("id"), letters.alias("s"), n.alias("n"))
+    places = F.greatest(F.lit(0), F.length("s") - F.col("n")) + 1
+    start = F.floor(uniform(F.concat(F.lit("start:"), F.col("id").cast("string"))) * places).cast("int") + 1
+    return held.select("id", F.translate(F.substr("s", start, F.col("n")), "abcdefghijklmnopqrstuvwxyz", "ACGTACGTACGTACGTACGTACGTAC").alias("x"))
+
+
 def descriptors(spark: SparkSession, d: str, bins: int = 282, normalise: bool = False, source: str = "documents", id: str = "doc_id", text: str = "text") -> DataFrame:
     """Counts of letter trigrams in hashed bins; with ``normalise`` their shares."""
     lowered = F.translate(F.coalesce(F.col(text), F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -156,6 +167,11 @@ SQL = {
 }
 
 
+SQL["sequences_drawn"] = f"""SELECT id, translate(substring(s, 1 + floor({uniform_sql("'start:' || id")} * (greatest(0, length(s) - n) + 1))::INT, n), 'abcdefghijklmnopqrstuvwxyz', 'ACGTACGTACGTACGTACGTACGTAC') AS x FROM (
+      SELECT doc_id AS id, regexp_replace(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^a-z]', '', 'g') AS s,
+      greatest(1, floor(32.5 + 4 * ({" + ".join(["-6.0", *[uniform_sql(f"'len{i}:' || doc_id") for i in range(12)]])}))::INT) AS n FROM documents)"""
+
+
 def _descriptors_sql(bins: int, normalise: bool) -> str:
     x = f"list_transform(range({bins}), lambda b: coalesce(m[b], 0)::DOUBLE{' / n' if normalise else ''})"
     return f"""SELECT id, {x} AS x FROM (SELECT id, map(list(b), list(c)) AS m, sum(c) AS n FROM (
@@ -178,6 +194,7 @@ BUILDERS = {
     "embeddings": embeddings,
     "topics8": topics,
     "sequences": sequences,
+    "sequences_drawn": sequences_drawn,
     "signatures": signatures,
     "line": line,
     "descriptors": descriptors,

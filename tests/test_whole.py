@@ -17,3 +17,14 @@ def test_all_triples_equal_sql(spark, duck, name):
 def test_all_points_give_a_triple(spark):
     got = registry.queries()["triangle_rate_l2_all"](spark, MIDDLE).first()["triples"]
     assert got >= 0.95 * W.embeddings(spark, MIDDLE).count()
+
+
+@pytest.mark.parametrize("name", ["exact_levenshtein_drawn", "perm_levenshtein_bits_drawn", "dataset_summary_drawn"])
+def test_drawn_sequences_equal_sql(spark, duck, name):
+    assert same(registry.queries()[name](spark, MIDDLE), duck.sql(registry.oracle_sql()[name]))
+
+
+def test_drawn_sequences_begin_anywhere(spark):
+    heads, drawn = (W.BUILDERS[n](spark, MIDDLE).select("x").distinct().count() for n in ("sequences", "sequences_drawn"))
+    print("distinct heads, drawn:", heads, drawn)
+    assert drawn > heads
