@@ -199,6 +199,16 @@ def conversation_turns(spark, d):
 register("conversation_turns", conversation_turns, f"WITH t AS (SELECT conv_id, string_agg(role[1], '' ORDER BY turn, role) AS r FROM conversations WHERE conv_id < 100 GROUP BY conv_id) SELECT a.conv_id, round({D.distance('norm_lev').sql('a.r', 'b.r')}, 6) AS dist FROM t a, t b WHERE b.conv_id = 0")
 
 
+def conversation_turns_all(spark, d):
+    """For every conversation, how like its turns are to those of the first: normalised edit distance of roles."""
+    turns = table(spark, d, "conversations").groupBy("conv_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("turn", "role"))), lambda t: F.substring(t["role"], 1, 1)), "").alias("roles"))
+    first = F.broadcast(turns.where("conv_id = 0").select(F.col("roles").alias("q")))
+    return turns.crossJoin(first).select("conv_id", F.round(D.norm_levenshtein(F.col("roles"), F.col("q")), 6).alias("dist"))
+
+
+register("conversation_turns_all", conversation_turns_all, SQL["conversation_turns"].replace(" WHERE conv_id < 100", ""))
+
+
 def user_mix_knn(spark, d):
     """10-NN by divergence of users' event mixes (right queries)."""
     pts, qs = W.split(W.user_mix(spark, d), 20)

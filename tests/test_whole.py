@@ -28,3 +28,14 @@ def test_drawn_sequences_begin_anywhere(spark):
     heads, drawn = (W.BUILDERS[n](spark, MIDDLE).select("x").distinct().count() for n in ("sequences", "sequences_drawn"))
     print("distinct heads, drawn:", heads, drawn)
     assert drawn > heads
+
+
+def test_every_conversation_has_a_row(spark):
+    import duckdb
+
+    large = MIDDLE.replace("0.01", "0.1")  # 1,000 conversations; the middle tables have 100
+    con = duckdb.connect()
+    con.sql(f"create view conversations as select * from '{large}/conversations.parquet'")
+    got = registry.queries()["conversation_turns_all"](spark, large)
+    assert same(got, con.sql(registry.oracle_sql()["conversation_turns_all"]))
+    assert got.count() == con.sql("SELECT count(DISTINCT conv_id) FROM conversations").fetchall()[0][0] == 1000
