@@ -268,7 +268,7 @@ register("dataset_summary_drawn", lambda spark, d: dataset_summary(spark, d, "se
 
 
 def efficiency(spark, d):
-    """Recall and share of points whose distance is computed, by method, at the settings of the other queries."""
+    """Recall and share of points whose distance is computed, by six filters on one point set, at the settings of the other queries."""
     pts, qs = split_of(spark, d, "embeddings", 50)
     truth, n, out = S.exact_knn(pts, qs, "l2").select("qid", "id"), pts.count(), None
     filters = {
