@@ -5,7 +5,7 @@ pieces with their scores and the byte fallback are rebuilt as a tokenizers pipel
 from their scores, BPE models from merges in the order of the merged pieces' scores). No piece of the
 usual models has a space marker behind another character, so a text falls into segments, each a run of
 markers with what follows, that encode on their own; a task encodes each distinct segment once, in
-multithreaded batches. Models with such pieces have their texts encoded whole.
+batches on ``threads`` threads (one, unless more are asked for). Models with such pieces have their texts encoded whole.
 
 Parity: every distinct segment is also encoded by the sentencepiece library; where that differs, its
 ids are taken and the row says ``parity = false``. Decoding is checked the same way: every distinct
