@@ -124,19 +124,23 @@ def op6_sentencepiece(spark, sf_dir):
     return held.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), F.xxhash64("ids").alias("ids_hash"), "parity", "round_trip")
 
 
-def byte_tokenizer(path: str | None = None):
-    """(content of a tokenizer file, its pre-tokenising pattern); without a path, the public 50k one."""
+def byte_tokenizer(path: str | None = None) -> str:
+    """The content of a tokenizer file; without a path, of the public 50k one."""
     import public_tokenizers
 
     with open(path or public_tokenizers.path("byte_bpe_50k.json"), encoding="utf-8") as f:
-        return f.read(), public_tokenizers.PATTERN
+        return f.read()
 
 
 def op7_token_files(spark, sf_dir):
-    from .token_files import ids_crc32, read_files, write_files
+    from uuid import uuid4
 
-    files = write_files(table(spark, sf_dir, "documents"), *byte_tokenizer(), end_id=0)
-    return read_files(files).select("doc_id", "start", "n_tokens", ids_crc32("ids").alias("ids_crc32"))
+    from .session import shared_folder
+    from .token_files import read_files, write_files
+
+    folder = f"{shared_folder(spark)}/token-files-{uuid4()}"
+    write_files(table(spark, sf_dir, "documents"), folder, byte_tokenizer(), end_id=0)
+    return read_files(spark, folder).select("doc_id", "start", "n_tokens", F.crc32("ids").alias("ids_crc32"))
 
 
 def op8_language(spark, sf_dir):

@@ -1,185 +1,190 @@
 """Token ids in compressed binary files, in order of doc_id.
 
 Documents are dealt by ranges of doc_id and sorted; a task encodes its texts and closes a file after
-every ``file_ids`` ids. A file: a fixed head, an entry for each document (doc_id, ids), an entry for
-each block (ids, bytes, crc32 of its ids as little-endian unsigned 32-bit integers), then the blocks.
-Blocks have ``block_ids`` ids; each is coded on its own by the context-mixing range coder and checked
-against its crc32 on reading, so a damaged block is found and the others can still be read.
+every ``file_ids`` ids. Files lie in one folder, on any store that Spark can write, and are put there
+whole, by renaming; a task that runs again puts the same files. A name says which part of the documents
+a file belongs to, how many ids of the part come before it and how many it has.
 
-A text is cut by the tokenizer's own pre-tokenising pattern; a task encodes each distinct piece once.
-Texts that hold one of the tokenizer's special strings are encoded whole.
+A file, all little-endian: a head (magic, version, documents, blocks: 32 bits each; ids: 64 bits), an
+entry for each document (doc_id, ids: 64 bits each), an entry for each block (ids, bytes, bytes of the
+largest id, crc32 of its ids as unsigned 32-bit integers: 32 bits each), then the blocks. Blocks have
+``block_ids`` ids of up to 32 bits. Each is coded on its own by the context-mixing range coder of
+``java/TokenFiles.java`` and checked against its crc32 on reading, so a damaged block is found.
+
+A text of a byte-level tokenizer with the usual pattern can be cut before every space that follows no
+other white space, as pieces never run over such a place; a task encodes each distinct segment once. Texts
+with other spaces, with one of the tokenizer's special strings, or of other tokenizers are encoded whole.
 
 Null texts are empty; every document ends with ``end_id``. Null doc_ids come first; ties in doc_id are
-in order of the text. An empty table gives no files.
+in order of the text. An empty table gives an empty folder.
 """
 
 from __future__ import annotations
 
+import json
 import os
 import re
-import struct
 import zlib
 from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-import regex
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import mixcoder
-from .memory import trimmed
+from .jvm import register
+from .memory import release
 from .session import cut, parts_for, small_batches, text_bytes
 
-MAGIC = b"TIDS"
-_HEAD = struct.Struct("<4sHHIIQ")  # magic, version, 0, documents, blocks, ids
 _NULL = np.iinfo(np.int64).min
-BLOCK_IDS, FILE_IDS, PART_BYTES = 2048, 2_000_000, 16 << 20
-CACHE = 300_000
+BLOCK_IDS, FILE_IDS, PART_BYTES = 1 << 17, 2_000_000, 32 << 20
+CACHE_BYTES, LONG = 12 << 20, 64
+_FUNCTIONS = {
+    "token_file_pack": ("Pack", "binary"),
+    "token_file_unpack": ("Unpack", "array<struct<doc_id: bigint, before: bigint, n_tokens: bigint, ids: binary>>"),
+    "token_file_put": ("Put", "bigint"),
+}
+_LOOSE = re.compile(r"\s ")
 
 
 class Encoder:
-    """Ids of texts with a tokenizer of the tokenizers library, by distinct pieces."""
+    """Ids of texts with a tokenizer of the tokenizers library, by distinct segments."""
 
-    def __init__(self, spec: str, pattern: str):
+    def __init__(self, spec: str):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.tool = Tokenizer.from_str(spec)
-        self.pieces = regex.compile(pattern)
+        cut = json.loads(spec).get("pre_tokenizer") or {}
+        self.segmented = cut.get("type") == "ByteLevel" and cut.get("use_regex", True) and not cut.get("add_prefix_space") and not json.loads(spec).get("normalizer")
         special = [t.content for t in self.tool.get_added_tokens_decoder().values()]
         self.special = re.compile("|".join(map(re.escape, special))) if special else None
-        self.cache: dict[str, bytes] = {}
-
-    def encode(self, texts: list[str], end_id: int) -> list[np.ndarray]:
+        self.clear()
+
+    def clear(self) -> None:
+        self.first: dict[str, bytes] = {}  # segments at a text's start
+        self.later: dict[str, bytes] = {}  # segments without the space before them
+        self.held = 0
+
+    def _learn(self, cache: dict[str, bytes], new: list[str], lead: str) -> list[str]:
+        """Ids of the segments into the cache; returns those too long to stay."""
+        for s, e in zip(new, self.tool.encode_batch_fast([lead + s for s in new], add_special_tokens=False), strict=True):
+            cache[s] = np.array(e.ids, np.uint32).tobytes()
+        self.held += sum(map(len, new)) + 4 * len(new)
+        return [s for s in new if len(s) > LONG]
+
+    def encode(self, texts: list[str], end_id: int) -> list[bytes]:
+        """Ids of each text and the end id, as little-endian unsigned 32-bit integers."""
         out, end = [], np.array([end_id], np.uint32).tobytes()
         for a in range(0, len(texts), 256):
             part = texts[a : a + 256]
-            whole = [bool(self.special and self.special.search(t)) for t in part]
-            cuts = [[] if w else self.pieces.findall(t) for t, w in zip(part, whole, strict=True)]
-            new = set(chain.from_iterable(cuts)).difference(self.cache)
-            if len(self.cache) + len(new) > CACHE:
-                self.cache.clear()
-                new = set(chain.from_iterable(cuts))
-            new = list(new)
-            for s, e in zip(new, self.tool.encode_batch_fast(new, add_special_tokens=False), strict=True):
-                self.cache[s] = np.array(e.ids, np.uint32).tobytes()
-            for t, w, c in zip(part, whole, cuts, strict=True):
-                held = np.array(self.tool.encode(t, add_special_tokens=False).ids, np.uint32).tobytes() if w else b"".join(map(self.cache.__getitem__, c))
-                out.append(np.frombuffer(held + end, np.uint32))
+            cuts = [t.split(" ") if self.segmented and not _LOOSE.search(t) and not (self.special and self.special.search(t)) else None for t in part]
+            if self.held > CACHE_BYTES:
+                self.clear()
+            starts = {c[0] for c in cuts if c}.difference(self.first)
+            rest = set(chain.from_iterable(c[1:] for c in cuts if c)).difference(self.later)
+            drop = self._learn(self.first, list(starts), ""), self._learn(self.later, list(rest), " ")
+            for t, c in zip(part, cuts, strict=True):
+                if c is None:
+                    out.append(np.array(self.tool.encode(t, add_special_tokens=False).ids, np.uint32).tobytes() + end)
+                else:
+                    out.append(self.first[c[0]] + b"".join(map(self.later.__getitem__, c[1:])) + end)
+            for cache, long in zip((self.first, self.later), drop, strict=True):
+                for s in long:
+                    self.held -= len(s) + 4
+                    del cache[s]
         return out
 
 
-def write_file(doc_ids: list[int], ids: list[np.ndarray], block_ids: int = BLOCK_IDS) -> bytes:
-    """The bytes of one file."""
-    every = np.concatenate(ids) if ids else np.empty(0, np.uint32)
-    blocks = [every[a : a + block_ids] for a in range(0, len(every), block_ids)]
-    coded = mixcoder.encode(blocks)
-    head = _HEAD.pack(MAGIC, 1, 0, len(doc_ids), len(blocks), len(every))
-    docs = np.array(list(zip(doc_ids, map(len, ids), strict=True)), np.int64).tobytes()
-    index = np.array([(len(b), len(c), zlib.crc32(b.tobytes())) for b, c in zip(blocks, coded, strict=True)], np.uint32).tobytes()
-    return b"".join((head, docs, index, *coded))
-
-
-def read_file(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """doc_ids, ids of each, and all ids of a file. Raises ValueError on a damaged block."""
-    magic, version, _, docs, blocks, total = _HEAD.unpack_from(data)
-    if magic != MAGIC or version != 1:
-        raise ValueError("not a token-id file of version 1")
-    at = _HEAD.size
-    table = np.frombuffer(data, np.int64, 2 * docs, at).reshape(-1, 2)
-    at += table.nbytes
-    index = np.frombuffer(data, np.uint32, 3 * blocks, at).reshape(-1, 3)
-    at += index.nbytes
-    ends = at + np.concatenate(([0], np.cumsum(index[:, 1], dtype=np.int64)))
-    got = mixcoder.decode([data[a:b] for a, b in zip(ends[:-1], ends[1:], strict=True)], index[:, 0].tolist())
-    for i, (b, crc) in enumerate(zip(got, index[:, 2], strict=True)):
-        if zlib.crc32(b.tobytes()) != crc:
-            raise ValueError(f"block {i} is damaged")
-    ids = np.concatenate(got) if got else np.empty(0, np.uint32)
-    if len(ids) != total:
-        raise ValueError("the file's length is wrong")
-    return table[:, 0], table[:, 1], ids
+_encoders: dict[int, Encoder] = {}  # of a Python worker, which outlives a task
+_FILE = pa.schema([("part", pa.int32()), ("before", pa.int64()), ("documents", pa.int64()), ("n_ids", pa.int64()), ("docs", pa.binary()), ("ids", pa.binary())])
 
 
-_encoders: dict[int, Encoder] = {}  # of a Python worker, which outlives a task
-_FILE = pa.schema([("first_doc", pa.int64()), ("part", pa.int32()), ("seq", pa.int32()), ("documents", pa.int64()), ("n_ids", pa.int64()), ("content", pa.binary())])
+def _encoder(tokenizer: str) -> Encoder:
+    key = zlib.crc32(tokenizer.encode())
+    if key not in _encoders:
+        _encoders.clear()
+        _encoders[key] = Encoder(tokenizer)
+    return _encoders[key]
 
 
-def write_files(docs: DataFrame, tokenizer: str, pattern: str, end_id: int = 0, file_ids: int = FILE_IDS, block_ids: int = BLOCK_IDS, part_bytes: int = PART_BYTES) -> DataFrame:
-    """The files as rows (first_doc, part, seq, documents, n_ids, content), written to the checkpoint folder.
+def write_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 0, file_ids: int = FILE_IDS, block_ids: int = BLOCK_IDS, part_bytes: int = PART_BYTES) -> DataFrame:
+    """Writes the files into a new folder; returns a row for each (path, part, before, documents, n_ids, bytes).
 
-    Files are in the documents' order by part and seq. tokenizer: a tokenizer file's content.
+    tokenizer: a tokenizer file's content. Raises ValueError if the folder exists.
     """
+    spark = docs.sparkSession
+    target = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    store = target.getFileSystem(spark._jsc.hadoopConfiguration())
+    if store.exists(target):
+        raise ValueError(f"{folder} exists")
+    store.mkdirs(target)
 
     def pack(source):
-        key = zlib.crc32((tokenizer + pattern).encode())
-        if key not in _encoders:
-            _encoders.clear()
-            _encoders[key] = Encoder(tokenizer, pattern)
-        tool = _encoders[key]
-        ids, texts, seq, size, part = [], [], 0, 0, None
+        tool = _encoder(tokenizer)
+        keys, parts, size, before, part = [], [], 0, 0, None
 
         def close():
-            nonlocal ids, texts, seq, size
-            row = [[ids[0]], [part], [seq], [len(ids)], [size], [write_file(ids, texts, block_ids)]]
+            nonlocal keys, parts, size, before
+            own = np.empty((len(keys), 2), np.int64)
+            own[:, 0], own[:, 1] = keys, [len(x) // 4 for x in parts]
+            row = [[part], [before], [len(keys)], [size], [own.tobytes()], [b"".join(parts)]]
             out = pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(row, _FILE, strict=True)], schema=_FILE)
-            ids, texts, size, seq = [], [], 0, seq + 1
+            keys, parts, size, before = [], [], 0, before + size
             return out
 
-        for batch in source:
-            part = batch.column(2)[0].as_py() if len(batch) else part
-            for a in range(0, len(batch), 256):
-                keys = batch.column(0).slice(a, 256).fill_null(_NULL).to_pylist()
-                for key, got in zip(keys, tool.encode(batch.column(1).slice(a, 256).fill_null("").to_pylist(), end_id), strict=True):
-                    ids.append(key)
-                    texts.append(got)
-                    size += len(got)
-                    if size >= file_ids:
-                        yield close()
-        if ids:
-            yield close()
-
+        try:
+            for batch in source:
+                part = batch.column(2)[0].as_py() if len(batch) else part
+                for a in range(0, len(batch), 256):
+                    ids = batch.column(0).slice(a, 256).fill_null(_NULL).to_pylist()
+                    for key, got in zip(ids, tool.encode(batch.column(1).slice(a, 256).fill_null("").to_pylist(), end_id), strict=True):
+                        keys.append(key)
+                        parts.append(got)
+                        size += len(got) // 4
+                        if size >= file_ids:
+                            yield close()
+            if keys:
+                yield close()
+        finally:
+            tool.clear()
+            release()
+
+    register(spark, "TokenFiles", _FUNCTIONS)
     small_batches(docs)
-    parts = parts_for(text_bytes(docs), part_bytes)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    parts = parts_for(text_bytes(rows), part_bytes)
     dealt = rows.repartitionByRange(parts, "doc_id").withColumn("part", F.spark_partition_id()).sortWithinPartitions("doc_id", "text")
-    return cut(dealt.mapInArrow(trimmed(pack), "first_doc long, part int, seq int, documents long, n_ids long, content binary"))
+    packed = dealt.mapInArrow(pack, "part int, before long, documents long, n_ids long, docs binary, ids binary")
+    name = F.format_string("%s/part-%08d-%015d-%d.tids", F.lit(folder), "part", "before", "n_ids")
+    put = packed.select(name.alias("path"), "part", "before", "documents", "n_ids", F.call_function("token_file_pack", "docs", "ids", F.lit(block_ids)).alias("content"))
+    return cut(put.select("path", "part", "before", "documents", "n_ids", F.call_function("token_file_put", "path", "content").alias("bytes")))
 
 
-def read_files(files: DataFrame) -> DataFrame:
-    """(doc_id, start, n_tokens, ids) of every document; start: ids of all documents before it."""
-    sizes = [(r["part"], r["seq"], r["n_ids"]) for r in files.select("part", "seq", "n_ids").collect()]  # a row for each file
-    sizes.sort()
-    starts = {}
-    total = 0
-    for part, seq, n in sizes:
-        starts[part, seq] = total
-        total += n
-    offsets = files.sparkSession.createDataFrame([(*k, v) for k, v in starts.items()], "part int, seq int, before long")
+def read_files(spark: SparkSession, folder: str) -> DataFrame:
+    """(doc_id, start, n_tokens, ids) of every document of a folder of files.
 
-    def unpack(source):
-        for batch in source:
-            for content, before in zip(batch.column(0), batch.column(1).to_pylist(), strict=True):
-                doc, counts, ids = read_file(content.as_py())
-                ends = np.concatenate(([0], np.cumsum(counts)))
-                for a in range(0, len(doc), 512):
-                    b = min(a + 512, len(doc))
-                    lists = pa.ListArray.from_arrays(pa.array(ends[a : b + 1] - ends[a], pa.int32()), pa.array(ids[ends[a] : ends[b]].astype(np.int32)))
-                    keys = pa.array(doc[a:b], mask=doc[a:b] == _NULL)
-                    yield pa.RecordBatch.from_arrays([keys, pa.array(before + ends[a:b]), pa.array(counts[a:b]), lists], names=["doc_id", "start", "n_tokens", "ids"])
-
-    joined = files.join(F.broadcast(offsets), ["part", "seq"]).select("content", "before")
-    return joined.mapInArrow(trimmed(unpack), "doc_id long, start long, n_tokens long, ids array<int>")
-
-
-def ids_crc32(ids: str):
-    """Unsigned crc32 of an id column as little-endian unsigned 32-bit integers."""
-
-    @F.pandas_udf("long")
-    def crc(values):
-        import pandas as pd
-
-        return pd.Series([zlib.crc32(np.asarray(x, np.uint32).tobytes()) for x in values], dtype="int64")
-
-    return crc(F.col(ids))
+    start: ids of all documents before it; ids: binary, little-endian unsigned 32-bit integers.
+    """
+    register(spark, "TokenFiles", _FUNCTIONS)
+    files = spark.read.format("binaryFile").schema("path string, modificationTime timestamp, length long, content binary").option("pathGlobFilter", "*.tids").load(folder)
+    said = lambda group: F.regexp_extract("path", r"part-(\d+)-(\d+)-(\d+)\.tids$", group).cast("long")
+    sizes = files.select(said(1).alias("part"), said(3).alias("n")).groupBy("part").agg(F.sum("n").alias("n")).collect()  # a row for each part
+    starts, total = [], 0
+    for r in sorted(sizes, key=lambda r: r["part"]):
+        starts.append((r["part"], total))
+        total += r["n"]
+    parts = spark.createDataFrame(starts, "part long, start long")
+    placed = files.select(said(1).alias("part"), said(2).alias("before"), "content").join(F.broadcast(parts), "part")
+    held = placed.select((F.col("start") + F.col("before")).alias("start"), F.explode(F.call_function("token_file_unpack", "content")).alias("d"))
+    return held.select("d.doc_id", (F.col("start") + F.col("d.before")).alias("start"), "d.n_tokens", "d.ids")
+
+
+def ids_array(ids: str) -> Column:
+    """array<long> of an id column."""
+
+    @F.pandas_udf("array<long>")
+    def unpacked(values):
+        return values.map(lambda x: np.frombuffer(x, np.uint32).astype(np.int64))
+
+    return unpacked(F.col(ids))

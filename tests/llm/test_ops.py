@@ -8,7 +8,7 @@ import pytest
 from conftest import MIDDLE, SMALL, same  # noqa: I001
 from pyspark.sql import functions as F
 
-from pivotrank.llm import bagminhash, components, decontaminate, hnsw, language, license_scan, mixcoder, near_dup, packing, quality, registry, sentencepieces, sharding, substring_dedup, text, token_files
+from pivotrank.llm import bagminhash, components, decontaminate, hnsw, language, license_scan, near_dup, packing, quality, registry, sentencepieces, sharding, substring_dedup, text, token_files
 
 BASE = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi omicron pi rho sigma tau upsilon phi chi psi omega".split()
 
@@ -197,37 +197,72 @@ def test_unigram_models_are_rebuilt():
     sentencepieces._tools.clear()
 
 
-def test_coder_round_trips():
+def packed(spark, blocks, block_ids):
+    """Files of one document each, and what reading gives back."""
+    from pivotrank.llm.jvm import register
+
+    register(spark, "TokenFiles", token_files._FUNCTIONS)
+    rows = [(i, bytearray(np.array([(i, len(b))], np.int64).tobytes()), bytearray(np.asarray(b, np.uint32).tobytes())) for i, b in enumerate(blocks)]
+    files = spark.createDataFrame(rows, "i long, docs binary, ids binary").withColumn("file", F.call_function("token_file_pack", "docs", "ids", F.lit(block_ids))).persist()
+    back = files.select(F.explode(F.call_function("token_file_unpack", "file")).alias("d")).select("d.*")
+    return {r.i: bytes(r.file) for r in files.select("i", "file").collect()}, {r.doc_id: np.frombuffer(r.ids, np.uint32) for r in back.collect()}
+
+
+@pytest.mark.parametrize("block_ids", [1, 100, 1 << 17])
+def test_coder_round_trips(spark, block_ids):
     rng = np.random.default_rng(0)
     blocks = [rng.integers(0, 65_536, n) for n in (0, 1, 5, 300, 900)] + [np.full(700, 7), np.tile([1, 2, 3, 50_000], 100)]
-    coded = mixcoder.encode(blocks)
-    assert all((a == b).all() for a, b in zip(blocks, mixcoder.decode(coded, [len(b) for b in blocks]), strict=True))
-    assert len(coded[5]) < 60 and len(coded[6]) < 200
+    blocks += [rng.integers(0, 2**32, 500), np.array([2**32 - 1, 0, 2**31, 65_536]), rng.integers(0, 2**24, 300), np.full(50, 2**32 - 1), np.minimum(rng.geometric(0.001, 30_000), 300_000)]
+    coded, back = packed(spark, blocks, block_ids)
+    assert all((b == back[i]).all() and len(b) == len(back[i]) for i, b in enumerate(blocks))
+    if block_ids > 100:
+        assert len(coded[5]) < 100 and len(coded[6]) < 250
 
 
-def test_token_files(spark, odd):
-    spec, pattern = registry.byte_tokenizer()
-    files = token_files.write_files(odd, spec, pattern, file_ids=2000, part_bytes=100_000)
-    got = sorted(token_files.read_files(files).collect(), key=lambda r: r.start)
+def test_coder_beats_general_compressors(spark):
+    import zstandard
+    from tokenizers import Tokenizer
+
+    tool = Tokenizer.from_str(registry.byte_tokenizer())
+    texts = [r.text or "" for r in spark.read.parquet(f"{MIDDLE}/documents.parquet").orderBy("doc_id").select("text").collect()]
+    ids = np.concatenate([np.array(e.ids, np.uint32) for e in tool.encode_batch(texts, add_special_tokens=False)])
+    coded, back = packed(spark, [ids], token_files.BLOCK_IDS)
+    assert (back[0] == ids).all()
+    blocks = [ids[a : a + token_files.BLOCK_IDS].astype(np.uint16).tobytes() for a in range(0, len(ids), token_files.BLOCK_IDS)]
+    assert len(coded[0]) < 0.9 * sum(len(zstandard.ZstdCompressor().compress(b)) for b in blocks)
+    assert len(coded[0]) < 0.9 * sum(len(zlib.compress(b)) for b in blocks)
+
+
+def test_token_files(spark, odd, tmp_path):
+    spec, folder = registry.byte_tokenizer(), f"file://{tmp_path}/files"
+    texts = ["a  b", " lead", "tail ", "x\n \ny", "x \n y", "\u00a0 q", "tab\t z", "  ", " ", "it's  we'll", "a\u2003 b c", "\x1c d", "n\n\nm k"]
+    more = odd.select("doc_id", "text").unionByName(spark.createDataFrame([(100 + i, t) for i, t in enumerate(texts)], "doc_id long, text string"))
+    files = token_files.write_files(more, folder, spec, file_ids=2000, part_bytes=100_000)
+    got = sorted(token_files.read_files(spark, folder).withColumn("list", token_files.ids_array("ids")).collect(), key=lambda r: r.start)
     from tokenizers import Tokenizer
 
     tool, start = Tokenizer.from_str(spec), 0
-    texts = sorted(((r.doc_id if r.doc_id is not None else -1, r.text is not None, r.text or "") for r in odd.collect()))
-    for r, (i, _, t) in zip(got, texts, strict=True):
+    held = sorted(((r.doc_id if r.doc_id is not None else -1, r.text is not None, r.text or "") for r in more.collect()))
+    assert len(got) == len(held) and files.count() > 2
+    for r, (i, _, t) in zip(got, held, strict=True):
         ids = tool.encode(t, add_special_tokens=False).ids + [0]
-        assert ((r.doc_id if r.doc_id is not None else -1), r.start, list(r.ids)) == (i, start, ids)
+        assert ((r.doc_id if r.doc_id is not None else -1), r.start, r.n_tokens, r.list) == (i, start, len(ids), ids)
         start += len(ids)
-    content = bytearray(files.orderBy("part", "seq").first()["content"])
-    content[-20] ^= 255
     with pytest.raises(ValueError):
-        token_files.read_file(bytes(content))
-    assert token_files.read_files(token_files.write_files(odd.limit(0), spec, pattern)).count() == 0
+        token_files.write_files(odd, folder, spec)
+    content = bytearray(open(files.orderBy("path").first()["path"].removeprefix("file://"), "rb").read())
+    content[-20] ^= 255
+    damaged = spark.createDataFrame([(content,)], "file binary").select(F.call_function("token_file_unpack", "file"))
+    with pytest.raises(Exception, match="damaged"):
+        damaged.collect()
+    token_files.write_files(odd.limit(0), folder + "-empty", spec)
+    assert token_files.read_files(spark, folder + "-empty").count() == 0
 
 
 def test_token_query(spark):
     from tokenizers import Tokenizer
 
-    tool, start = Tokenizer.from_str(registry.byte_tokenizer()[0]), 0
+    tool, start = Tokenizer.from_str(registry.byte_tokenizer()), 0
     docs = {r.doc_id: r.text or "" for r in spark.read.parquet(f"{SMALL}/documents.parquet").collect()}
     for r in sorted(registry.op7_token_files(spark, SMALL).collect()):
         ids = np.array(tool.encode(docs[r.doc_id], add_special_tokens=False).ids + [0], np.uint32)
