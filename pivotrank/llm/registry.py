@@ -80,12 +80,13 @@ def op5_license_scan(spark, sf_dir):
 def _op5_sql():
     import math
 
-    from .license_scan import PHRASES, TEMPLATES, THRESHOLD
+    from .license_scan import DISTINGUISHING, PHRASES, TEMPLATES, THRESHOLD
 
     rows = []
     for label, text in TEMPLATES.items():
         own = sorted(set(text.split()))
-        rows.append(f"('{label.removesuffix('-notice')}', {own}, {len(text.split())}, {math.ceil(THRESHOLD * len(own) - 1e-9)})")
+        told = ", ".join(f"'{w}'" for w in DISTINGUISHING.get(label, "").split())
+        rows.append(f"('{label.removesuffix('-notice')}', {own}, [{told}]::VARCHAR[], {len(text.split())}, {math.ceil(THRESHOLD * len(own) - 1e-9)})")
     phrases = []
     for phrase, label in PHRASES.items():
         parts = phrase.split()
@@ -95,10 +96,11 @@ def _op5_sql():
 WITH w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM documents),
 place AS ({" UNION ALL ".join(phrases)}),
 base AS (SELECT doc_id, count(*) AS n, min(i) AS lo, max(i) AS hi, list_sort(list_distinct(list(label))) AS labels FROM place GROUP BY doc_id),
-template(label, own, stride, need) AS (VALUES {", ".join(rows)}),
-block AS (SELECT doc_id, label, need, len(own) AS m, len(list_intersect(list_distinct(ws[b * stride + 1:b * stride + 2 * stride]), own)) AS c
+template(label, own, told, stride, need) AS (VALUES {", ".join(rows)}),
+block AS (SELECT doc_id, label, need, len(own) AS m, len(list_intersect(list_distinct(ws[b * stride + 1:b * stride + 2 * stride]), own)) AS c,
+                 list_has_all(ws[b * stride + 1:b * stride + 2 * stride], told) AS known
           FROM w, template, unnest(range(0, (len(ws) + stride - 1) // stride)) t(b)),
-hit AS (SELECT doc_id, max(c / m) AS best, list(DISTINCT label) AS labels FROM block WHERE c >= need GROUP BY doc_id)
+hit AS (SELECT doc_id, max(c / m) AS best, list(DISTINCT label) AS labels FROM block WHERE c >= need AND known GROUP BY doc_id)
 SELECT w.doc_id, len(ws)::BIGINT AS n_words, coalesce(n, 0)::BIGINT AS n_base, lo::BIGINT AS first_word, hi::BIGINT AS last_word,
        coalesce(array_to_string(base.labels, ','), '') AS base_labels,
        coalesce(array_to_string(list_sort(list_distinct(list_concat(coalesce(base.labels, []), coalesce(hit.labels, [])))), ','), '') AS labels,

@@ -157,13 +157,47 @@ def test_components(spark):
     assert got == {2: 1, 3: 1, 9: 1, 6: 5, 8: 5} | {101 + i: 100 for i in range(40)}
 
 
+def brute_licenses(text, templates, told, threshold=0.8):
+    """Every block of twice a template's words, as a set, against every template."""
+    import re
+
+    ws = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", "".join(c.lower() if "A" <= c <= "Z" else c for c in text or ""))
+    out = []
+    for label in templates:
+        t = templates[label].split()
+        for a in range(0, len(ws), len(t)):
+            block = set(ws[a : a + 2 * len(t)])
+            if len(block & set(t)) >= threshold * len(set(t)) - 1e-9 and set(told.get(label, "").split()) <= block:
+                out.append((label, a, round(len(block & set(t)) / len(set(t)), 9)))
+    return sorted(out)
+
+
 def test_licenses(spark, odd):
-    got = {r.doc_id: r["found"] for r in license_scan.scan(odd).collect()}
+    got = {r.doc_id: r["found_"] for r in license_scan.scan(odd).collect()}
+    assert {r["found"] for r in license_scan.scan(odd).collect()} == {1.5, None}
     assert got[12].places[0].label == "mit" and got[12].hits[0].label == "mit-notice" and got[0].n_words == 0
     assert not any("python" in x.lower() or "arrow" in x.lower() for x in license_scan.scan(odd)._jdf.queryExecution().executedPlan().toString().split("\n"))
     assert license_scan.scan(odd.limit(0)).count() == 0
 
 
+def test_licenses_equal_brute_force(spark):
+    rng = np.random.default_rng(4)
+    vocabulary = sorted({w for t in license_scan.TEMPLATES.values() for w in t.split()})
+    texts = ["released under the BSD license", "released under the apache license", "released under license by the publisher", "Released under the MIT license", "mit the under released", "license " * 30, None, ""]
+    for label, t in license_scan.TEMPLATES.items():
+        w = t.split()
+        texts += [t.upper(), " ".join(w[: len(w) * 9 // 10]), " ".join(w[: len(w) * 7 // 10]), " ".join(words(len(texts), 37) + w + words(len(texts), 9)), " ".join(rng.permutation(w)), " ".join(rng.choice(vocabulary, 60))]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    got = {r.doc_id: sorted((h.label, h.first_word, round(h.containment, 9)) for h in r.found.hits) for r in license_scan.scan(docs).collect()}
+    assert got == {i: brute_licenses(t, license_scan.TEMPLATES, license_scan.DISTINGUISHING) for i, t in enumerate(texts)}
+    assert [got[i] for i in (0, 1, 2)] == [[], [], []] and got[3] == [("mit-notice", 0, 1.0)]
+    counts = license_scan.filter_counts(docs).agg(*[F.sum(c).alias(c) for c in ("prefix", "length", "positional", "hits")]).first()
+    assert counts["prefix"] > counts["length"] > counts["positional"] > counts["hits"] == sum(map(len, got.values()))
+    own = {"x": "one two three four five"}
+    held = license_scan.scan(spark.createDataFrame([(0, "five four three two"), (1, "one two")], "doc_id long, text string"), templates=own, phrases={}).orderBy("doc_id").collect()
+    assert [[h.label for h in r.found.hits] for r in held] == [["x"], []]
+
+
 def test_sentencepiece(spark, odd):
     tool = registry.sentence_pieces()
     held = tool.encode_documents(odd).collect()
