@@ -6,7 +6,7 @@ block matches if it holds at least ``threshold`` of the template's distinct word
 of its distinguishing words: those, if any are named, without which a short notice is one of another license.
 
 The join is exact and never compares all blocks. The words of all templates are put in one global order,
-rarest first, by their counts over all documents; words of no template come before them. A block that
+rarest first, by how many documents they occur in; words of no template come before them. A block that
 matches shares at least one of the template's ``m - need + 1`` rarest words (prefix filter), so only blocks
 around such words are looked at. Of those, blocks of fewer than ``need`` words go (length filter); then blocks
 with fewer than ``need`` different words from their rarest shared prefix word on, in the global order and
@@ -64,12 +64,17 @@ def once(value: Column, use) -> Column:
 
 
 def _strings(values) -> Column:
-    return F.array(*[F.lit(v) for v in values]) if values else F.array().cast("array<string>")
+    """A literal array, parsed at once: a call for every element would take the driver seconds."""
+    return F.expr("array({})".format(", ".join("'" + v.replace("\\", "\\\\").replace("'", "\\'") + "'" for v in values))).cast("array<string>")
+
+
+def _ints(values) -> Column:
+    return F.expr(f"array({', '.join(map(str, values))})").cast("array<int>")
 
 
 def word_counts(docs: DataFrame, vocabulary: list[str], text: str = "text") -> dict[str, int]:
-    """How often each word of a short list occurs in all documents."""
-    rows = docs.select(F.explode(words(text)).alias("word")).where(F.col("word").isin(vocabulary)).groupBy("word").agg(F.count("*").alias("n"))
+    """In how many of all documents each word of a short list occurs."""
+    rows = docs.select(F.explode(F.array_intersect(words(text), _strings(vocabulary))).alias("word")).groupBy("word").agg(F.count("*").alias("n"))
     found = {r["word"]: r["n"] for r in rows.collect()}  # a row per template word
     return {w: found.get(w, 0) for w in vocabulary}
 
@@ -101,8 +106,8 @@ def _stages(ws: Column, label: str, template: list[str], required: list[str], or
     stride, m = len(template), len(distinct)
     need = math.ceil(threshold * m - 1e-9)
     prefix = distinct[: m - need + 1]
-    own = F.lit([place[w] for w in distinct])
-    near = F.filter(F.transform(ws, lambda w, i: F.when(w.isin(prefix), i)), lambda i: i.isNotNull())
+    own = _ints([place[w] for w in distinct])
+    near = F.filter(F.transform(ws, lambda w, i: F.when(F.array_contains(_strings(prefix), w), i)), lambda i: i.isNotNull())
     blocks = F.array_sort(F.array_distinct(F.flatten(F.transform(near, lambda i: F.array(F.greatest((i / stride).cast("int") - 1, F.lit(0)), (i / stride).cast("int"))))))
     sized = F.transform(blocks, lambda b: F.struct((b * stride).alias("first_word"), F.least(F.lit(2 * stride), F.size(ws) - b * stride).alias("words")))
     long = F.filter(sized, lambda b: b["words"] >= need)
@@ -111,10 +116,10 @@ def _stages(ws: Column, label: str, template: list[str], required: list[str], or
         lambda b: F.struct(
             b["first_word"].alias("first_word"),
             b["words"].alias("words"),
-            F.array_sort(F.array_remove(F.transform(F.array_distinct(F.slice(ws, b["first_word"] + 1, b["words"])), lambda w: F.array_position(F.lit(order), w).cast("int") - 1), -1)).alias("places"),
+            F.array_sort(F.array_remove(F.transform(F.array_distinct(F.slice(ws, b["first_word"] + 1, b["words"])), lambda w: F.array_position(_strings(order), w).cast("int") - 1), -1)).alias("places"),
         ),
     )
-    rarest = lambda b: F.array_min(F.array_intersect(b["places"], F.lit([place[w] for w in prefix])))
+    rarest = lambda b: F.array_min(F.array_intersect(b["places"], _ints([place[w] for w in prefix])))
     far = F.filter(placed, lambda b: F.size(b["places"]) - F.array_position(b["places"], rarest(b)).cast("int") + 1 >= need)
     counted = F.transform(
         far,
@@ -123,7 +128,7 @@ def _stages(ws: Column, label: str, template: list[str], required: list[str], or
             b["first_word"].alias("first_word"),
             b["words"].alias("words"),
             (F.size(F.array_intersect(b["places"], own)).cast("double") / F.lit(float(m))).alias("containment"),
-            F.forall(F.lit([place[w] for w in required]), lambda w: F.array_contains(b["places"], w)).alias("told") if required else F.lit(True).alias("told"),
+            F.forall(_ints([place[w] for w in required]), lambda w: F.array_contains(b["places"], w)).alias("told") if required else F.lit(True).alias("told"),
         ),
     )
     hits = F.filter(counted, lambda c: c["told"] & (c["containment"] >= F.lit(need / m - 1e-9)))
