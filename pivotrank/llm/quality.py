@@ -9,8 +9,9 @@ dictionary has seen.
 Fitting takes a bounded sample: at most ``sample_rows`` rows of each class for the dictionaries and as
 many again for the calibration, of texts of at most ``longest`` bytes. Scoring takes every whole text.
 
-Null texts score as empty ones do. If a class has no labelled rows, every score is the share of good
-rows among the labelled, or 0.5 without any. Rows that repeat are scored alike; no order matters.
+Null texts score as empty ones do. If a class has no labelled rows, or too few labelled texts to train
+and calibrate on (``documents`` empty, say), every score is the share of good rows among the labelled, or
+0.5 without any. Rows that repeat are scored alike; no order matters.
 """
 
 from __future__ import annotations
@@ -113,21 +114,28 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column | None = None, label:
     counts = {r[label]: r["n"] for r in known.groupBy(label).agg(F.count("*").alias("n")).collect() if r[label] in (0, 1)}
     model = CompressionClassifier()
     if len(counts) < 2:
-        share = (counts.get(1, 0) / sum(counts.values())) if counts else 0.5
-        model.weights[2] = max(-30.0, min(30.0, math.log((share + 1e-9) / (1 - share + 1e-9))))
-        return model
+        return _by_share(model, counts)
     chosen = bounded(known, label, [0, 1], 2 * sample_rows).dropDuplicates(["doc_id"])  # 4 * sample_rows rows at most
     rows = docs.where(F.octet_length("text") <= longest).select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
     texts = {r["doc_id"]: (r["text"].encode("utf-8", "surrogatepass"), r[label]) for r in rows.collect()}
     halves: dict = {(k, v): [] for k in (0, 1) for v in (0, 1)}
     for n, (t, v) in enumerate(texts[i] for i in sorted(texts)):
         halves[n % 2, v].append(t)
+    if not all(halves.values()):
+        return _by_share(model, counts)
     model.good, model.bad = _dictionary(halves[0, 1], dictionary_bytes), _dictionary(halves[0, 0], dictionary_bytes)
     model.fit_calibration(halves[1, 1] + halves[1, 0], [1] * len(halves[1, 1]) + [0] * len(halves[1, 0]))
     model.weights[2] += _prior_shift(counts, len(halves[1, 1]), len(halves[1, 0]))
     return model
 
 
+def _by_share(model: CompressionClassifier, counts: dict) -> CompressionClassifier:
+    """The model that gives every text the share of good rows."""
+    share = (counts.get(1, 0) / sum(counts.values())) if counts else 0.5
+    model.weights[2] = max(-30.0, min(30.0, math.log((share + 1e-9) / (1 - share + 1e-9))))
+    return model
+
+
 def _prior_shift(counts: dict, good: int, bad: int) -> float:
     """From the classes' shares in the sample to those among all labelled rows, on the log odds."""
     return math.log(((counts[1] + 1) / (counts[0] + 1)) / ((good + 1) / (bad + 1)))
