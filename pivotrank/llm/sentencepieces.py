@@ -5,11 +5,11 @@ pieces with their scores and the byte fallback are rebuilt as a tokenizers pipel
 from their scores, BPE models from merges in the order of the merged pieces' scores). No piece of the
 usual models has a space marker behind another character, so a text falls into segments, each a run of
 markers with what follows, that encode on their own; a task encodes each distinct segment once, in
-batches on ``threads`` threads (one, unless more are asked for). Models with such pieces have their texts encoded whole.
+batches on ``threads`` threads. Other models have their texts encoded whole.
 
-Parity: every distinct segment is also encoded by the sentencepiece library; where that differs, its
-ids are taken and the row says ``parity = false``. Decoding is checked the same way: every distinct
-segment's ids must give the segment back.
+The ids are those of the rebuilt pipeline. Parity is measured: every distinct segment (or whole text) is
+also encoded by the sentencepiece library, and ``parity`` says whether a row's ids are the same. Decoding is
+checked the same way: ``round_trip`` says whether a row's ids give the text back.
 
 Null and empty texts have no ids. Texts of any length are taken whole. Control and byte pieces written
 out in a text are ordinary characters. A literal marker counts as a space, as in the original library.
@@ -38,7 +38,7 @@ MARK = "▁"
 UNIGRAM, BPE = 1, 2
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 
-CACHE = 400_000
+CACHE_BYTES, LONG = 16 << 20, 64
 
 
 def _varint(data: bytes, at: int) -> tuple[int, int]:
@@ -162,7 +162,7 @@ class SentencePieces:
     """Encodes and decodes with one model, given as the bytes of its file."""
 
     data: bytes
-    threads: int = 1
+    threads: int = 2
 
     def tools(self) -> dict:
         key = zlib.crc32(self.data)
@@ -172,50 +172,65 @@ class SentencePieces:
             import sentencepiece
             from tokenizers import decoders
 
-            model, whole, segments = parse(self.data), None, None
-            whole, segments = backend(model), backend(model)
-            segments.normalizer = None
-            segments.decoder = decoders.Sequence([decoders.Replace(MARK, " "), *([decoders.ByteFallback()] if model.byte_fallback else []), decoders.Fuse()])
+            model = parse(self.data)
+            whole = backend(model)
+            t = {"model": model, "whole": whole, "normalizer": whole.normalizer, "decoder": whole.decoder, "other": sentencepiece.SentencePieceProcessor(model_proto=self.data), "cache": {}, "odd": set(), "lost": set(), "held": 0}
+            t["plain"] = decoders.Sequence([decoders.Replace(MARK, " "), *([decoders.ByteFallback()] if model.byte_fallback else []), decoders.Fuse()])
             _tools.clear()
-            _tools[key] = {"model": model, "whole": whole, "segments": segments, "other": sentencepiece.SentencePieceProcessor(model_proto=self.data), "cache": {}, "odd": set(), "lost": set()}
+            _tools[key] = t
         return _tools[key]
 
-    def _encode_segments(self, new: list[str]) -> None:
-        """Ids of each segment into the cache; it is noted where the libraries differ or decoding does not give it back."""
+    def clear(self) -> None:
+        """Forgets the segments met so far."""
         t = self.tools()
-        cache, odd, lost = t["cache"], t["odd"], t["lost"]
+        t["held"] = 0
+        for held in (t["cache"], t["odd"], t["lost"]):
+            held.clear()
+
+    def _learn(self, new: list[str]) -> list[str]:
+        """Ids of segments, given without their first marker, into the cache; returns those too long to stay.
+
+        It is noted where the libraries differ or decoding does not give a segment back.
+        """
+        t = self.tools()
+        cache, odd, lost, tool = t["cache"], t["odd"], t["lost"], t["whole"]
         plain = [s.replace(MARK, " ") for s in new]
-        ours = [x.ids for x in t["segments"].encode_batch_fast(new, add_special_tokens=False)]
-        theirs = t["other"].encode([s[1:] for s in plain], num_threads=self.threads)
-        for i, (s, a, b) in enumerate(zip(new, ours, theirs, strict=True)):
-            if a != b and s != MARK:  # nothing but the prefix is an empty text there
+        tool.normalizer, tool.decoder = None, t["plain"]
+        try:
+            ours = [x.ids for x in tool.encode_batch_fast([MARK + s for s in new], add_special_tokens=False)]
+            # a segment's first id holds its marker, so ids of bytes never run on from one segment into the next
+            back = tool.decode_batch(ours, skip_special_tokens=False)
+        finally:
+            tool.normalizer, tool.decoder = t["normalizer"], t["decoder"]
+        for s, p, a, b, c in zip(new, plain, ours, t["other"].encode(plain, num_threads=self.threads), back, strict=True):
+            if a != b and s:  # nothing but the prefix is an empty text there
                 odd.add(s)
-                ours[i] = a = b
-            cache[s] = array("i", a).tobytes()
-        # a segment's first id holds its marker, so ids of bytes never run on from one segment into the next
-        for s, p, back in zip(new, plain, t["segments"].decode_batch(ours, skip_special_tokens=False), strict=True):
-            if p != back:
+            if " " + p != c:
                 lost.add(s)
+            cache[s] = array("i", a).tobytes()
+        t["held"] += sum(map(len, new)) + 8 * len(new)
+        return [s for s in new if len(s) > LONG]
 
     def encode(self, texts: list[str | None]) -> list[tuple[np.ndarray, bool, bool]]:
         """Ids of each text, whether the sentencepiece library gives the same, and whether decoding gives the text back."""
         t = self.tools()
         texts = [x or "" for x in texts]
         if not t["model"].segmented:
-            ours = t["whole"].encode_batch_fast(texts, add_special_tokens=False)
+            ours = [x.ids for x in t["whole"].encode_batch_fast(texts, add_special_tokens=False)]
             theirs = t["other"].encode(texts, num_threads=self.threads)
-            return [(np.array(b, np.int32), list(a.ids) == b, c == self.normal(x)) for a, b, c, x in zip(ours, theirs, self.decode(theirs), texts, strict=True)]
+            return [(np.array(a, np.int32), a == b, c == self.normal(x)) for a, b, c, x in zip(ours, theirs, self.decode(ours), texts, strict=True)]
         cache, odd, lost, out = t["cache"], t["odd"], t["lost"], []
         for a in range(0, len(texts), 256):
-            cut = [_SEGMENT.findall(MARK + x.replace(" ", MARK)) if x else [] for x in texts[a : a + 256]]
-            new = set(chain.from_iterable(cut)).difference(cache)
-            if len(cache) + len(new) > CACHE:
-                for held in (cache, odd, lost):
-                    held.clear()
-                new = set(chain.from_iterable(cut))
-            self._encode_segments(list(new))
+            # one space between words is the usual case, and much the fastest to cut at
+            cut = [[] if not x else x.split(" ") if MARK not in x and "  " not in x and x[0] != " " and x[-1] != " " else [s[1:] for s in _SEGMENT.findall(MARK + x.replace(" ", MARK))] for x in texts[a : a + 256]]
+            if t["held"] > CACHE_BYTES:
+                self.clear()
+            long = self._learn(list(set(chain.from_iterable(cut)).difference(cache)))
             for c in cut:
                 out.append((np.frombuffer(b"".join(map(cache.__getitem__, c)), np.int32), not odd or odd.isdisjoint(c), not lost or lost.isdisjoint(c)))
+            for s in long:
+                t["held"] -= len(s) + 8
+                del cache[s]
         return out
 
     def decode(self, ids: list) -> list[str]:
@@ -234,16 +249,19 @@ class SentencePieces:
         own, rows = self, docs.drop("ids", "parity", "round_trip")
 
         def run(source):
-            for batch in source:
-                at = batch.schema.get_field_index(text)
-                for a in range(0, len(batch), 128):
-                    part = batch.slice(a, 128)
-                    held = own.encode(part.column(at).to_pylist())
-                    ids = [x for x, _, _ in held]
-                    ends = np.concatenate(([0], np.cumsum([len(x) for x in ids]))).astype(np.int32)
-                    lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids)))
-                    new = [lists, pa.array([p for _, p, _ in held], pa.bool_()), pa.array([r for _, _, r in held], pa.bool_())]
-                    yield pa.RecordBatch.from_arrays([*part.columns, *new], names=[*part.schema.names, "ids", "parity", "round_trip"])
+            try:
+                for batch in source:
+                    at = batch.schema.get_field_index(text)
+                    for a in range(0, len(batch), 128):
+                        part = batch.slice(a, 128)
+                        held = own.encode(part.column(at).to_pylist())
+                        ids = [x for x, _, _ in held]
+                        ends = np.concatenate(([0], np.cumsum([len(x) for x in ids]))).astype(np.int32)
+                        lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids)))
+                        new = [lists, pa.array([p for _, p, _ in held], pa.bool_()), pa.array([r for _, _, r in held], pa.bool_())]
+                        yield pa.RecordBatch.from_arrays([*part.columns, *new], names=[*part.schema.names, "ids", "parity", "round_trip"])
+            finally:
+                own.clear()  # a worker outlives its tasks
 
         schema = StructType([*rows.schema.fields, StructField("ids", ArrayType(IntegerType())), StructField("parity", BooleanType()), StructField("round_trip", BooleanType())])
         return rows.mapInArrow(trimmed(run), schema)

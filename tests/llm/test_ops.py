@@ -92,6 +92,30 @@ def test_quality(spark, odd):
     model = quality.fit(odd, none)
     assert {r.s for r in odd.select(model.column("text").alias("s")).collect()} == {0.5}
     assert quality.fit(odd, spark.createDataFrame([(1, 1)], "doc_id long, quality int")).score(b"") > 0.99
+    both = spark.createDataFrame([(0, 1), (1, 0), (2, 1), (3, 1)], "doc_id long, quality int")
+    for texts in (odd.limit(0), odd.withColumn("text", F.lit(None).cast("string"))):
+        assert abs(quality.fit(texts, both).score(b"any") - 0.75) < 1e-6
+
+
+def test_quality_scores_equal_brute_force(spark):
+    """The scores again, from fresh compressors: sizes with each dictionary, and the logistic curve over them."""
+    import math
+
+    import zstandard
+
+    docs, labels = spark.read.parquet(f"{MIDDLE}/documents.parquet"), spark.read.parquet(f"{MIDDLE}/labels.parquet")
+    known = {r.doc_id: r.quality for r in labels.collect() if zlib.crc32(str(r.doc_id).encode()) % 5}
+    model = quality.fit(docs, labels, usable=F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5)) != 0)
+    texts = {r.doc_id: (r.text or "").encode() for r in docs.collect()}
+    assert not any(t in (model.good, model.bad) for t in texts.values())
+    size = lambda t, d: len(zstandard.ZstdCompressor(level=model.level, dict_data=zstandard.ZstdCompressionDict(d)).compress(t))
+    got = {r.doc_id: r.score for r in registry.op3_quality(spark, MIDDLE).collect()}
+    assert set(got) == set(texts)
+    for i in sorted(texts)[:150]:
+        a, b, n = size(texts[i], model.good), size(texts[i], model.bad), len(texts[i]) + 1
+        z = model.weights[2] + model.weights[0] * ((b - a) / n - model.centre[0]) / model.spread[0] + model.weights[1] * (math.log(min(a, b) / n) - model.centre[1]) / model.spread[1]
+        assert abs(got[i] - 1 / (1 + math.exp(-z))) < 1e-9
+    assert np.mean([got[i] for i, q in known.items() if q]) > np.mean([got[i] for i, q in known.items() if not q]) + 0.2
 
 
 def test_bagminhash_is_unbiased():
@@ -209,25 +233,68 @@ def test_sentencepiece(spark, odd):
     assert tool.encode_documents(odd.limit(0)).count() == 0
 
 
-def test_unigram_models_are_rebuilt():
-    """A model of a few pieces, written field by field."""
+def unigram_model(pieces, normalizer=b"", byte_fallback=False, trim=False):
+    """A model's protobuf, written field by field."""
+
+    def size(n):
+        return bytes([n]) if n < 128 else bytes([n & 127 | 128]) + size(n >> 7)
 
     def field(n, kind, body):
-        return bytes([n << 3 | kind]) + body
+        return size(n << 3 | kind) + body
 
     def block(n, body):
-        return field(n, 2, bytes([len(body)]) + body)
+        return field(n, 2, size(len(body)) + body)
 
     def piece(s, score, kind=1):
         return block(1, block(1, s.encode()) + field(2, 5, np.float32(score).tobytes()) + field(3, 0, bytes([kind])))
 
-    data = piece("<unk>", 0, 2) + piece("▁a", -1) + piece("b", -2) + piece("ab", -5) + piece("▁", -3) + piece("a", -2)
-    data += block(2, field(3, 0, b"\x01")) + block(3, field(3, 0, b"\x01") + field(4, 0, b"\x00"))
+    data = piece("<unk>", 0, 2) + b"".join(piece(s, -1 - 0.37 * i) for i, s in enumerate(pieces))
+    data += b"".join(piece(f"<0x{i:02X}>", -90, 6) for i in range(256)) if byte_fallback else b""
+    data += block(2, field(3, 0, b"\x01") + field(35, 0, bytes([byte_fallback])))
+    return data + block(3, normalizer + field(3, 0, b"\x01") + field(4, 0, bytes([trim])) + field(5, 0, b"\x01"))
+
+
+PIECES = ["▁", "▁the", "e", "t", "h", "a", "▁a", "b", "ab", "▁b", "bab", "he", "fi", "f", "i", "A", "▁A", "c", "1", "2", "é"]
+
+
+def test_unigram_models_are_rebuilt():
     import sentencepiece
 
-    tool, other = sentencepieces.SentencePieces(data), sentencepiece.SentencePieceProcessor(model_proto=data)
-    for t in ("ab", "a b", "", "bab aa"):
-        assert list(tool.encode([t])[0][0]) == other.encode(t)
+    rules = sentencepiece.SentencePieceNormalizer(rule_name="nmt_nfkc").serialized_model_proto()
+    charsmap = next(v for n, v in ((n, v) for k, x in sentencepieces.read_fields(rules) if k == 3 for n, v in sentencepieces.read_fields(x)) if n == 2)
+
+    def varint(n):
+        return bytes([n]) if n < 128 else bytes([n & 127 | 128]) + varint(n >> 7)
+
+    normalizer = b"\x12" + varint(len(charsmap)) + charsmap
+    texts = ["ab", "a b", "", "bab aa", "the  the", " the", "the ", "ﬁfi", "ＡＢ ab", "①② the", "e\u0301 é", "x y", "日本 the", "\U0001f600", "a\tb\nc", "bab" * 50]
+    for charsmapped in (False, True):
+        for fallback in (False, True):
+            data = unigram_model(PIECES, normalizer if charsmapped else b"", fallback, trim=charsmapped)
+            tool, other = sentencepieces.SentencePieces(data), sentencepiece.SentencePieceProcessor(model_proto=data)
+            assert tool.tools()["model"].segmented != charsmapped and bool(tool.tools()["model"].charsmap) == charsmapped
+            for t, (ids, parity, _) in zip(texts, tool.encode(texts), strict=True):
+                assert parity and list(ids) == other.encode(t), (charsmapped, fallback, t)
+            plain = [t for t in texts if set(t) <= set("abthe ")]
+            back = tool.decode([i for i, _, _ in tool.encode(plain)])
+            assert back == [" ".join(t.split()) if charsmapped else t for t in plain]
+    sentencepieces._tools.clear()
+
+
+def test_parity_is_measured():
+    """A library that answers otherwise changes the flag, not the ids."""
+    tool = sentencepieces.SentencePieces(unigram_model(PIECES))
+    before = [list(i) for i, _, _ in tool.encode(["the ab", "a b"])]
+
+    class Other:
+        def encode(self, texts, num_threads):
+            return [[0] if "the" in t else own.encode(t) for t in texts]
+
+    own = tool.tools()["other"]
+    tool.clear()
+    tool.tools()["other"] = Other()
+    got = tool.encode(["the ab", "a b"])
+    assert [list(i) for i, _, _ in got] == before and [p for _, p, _ in got] == [False, True]
     sentencepieces._tools.clear()
 
 
