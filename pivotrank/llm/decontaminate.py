@@ -86,8 +86,9 @@ def _summed(partial: DataFrame, dtype, blocks: int, piece: int) -> tuple[int, np
         total = sum((np.frombuffer(x.as_py(), dtype) for x in table["counts"]), np.zeros(piece, dtype))
         return pa.table({"block": table["block"][:1], "n": pa.array([sum(table["n"].to_pylist())], pa.int64()), "counts": pa.array([total.astype(dtype).tobytes()], pa.binary())})
 
-    out, n = np.zeros((blocks, piece), dtype), 0
-    for r in partial.groupBy("block").applyInArrow(add, "block int, n long, counts binary").collect():
+    out, n, kind = np.zeros((blocks, piece), dtype), 0, "block int, n long, counts binary"
+    some = partial.groupBy("block", F.pmod(F.spark_partition_id(), F.lit(64))).applyInArrow(add, kind)  # tasks are added up in 64 lots first
+    for r in some.groupBy("block").applyInArrow(add, kind).collect():
         out[r["block"]], n = np.frombuffer(r["counts"], dtype), r["n"]
     return n, out
 

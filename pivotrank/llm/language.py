@@ -80,7 +80,9 @@ def document_frequencies(docs: DataFrame, text: str, bits: int) -> tuple[int, np
         return pa.table({"block": table["block"][:1], "n": pa.array([sum(table["n"].to_pylist())], pa.int64()), "counts": pa.array([total.tobytes()], pa.binary())})
 
     kind = "block int, n long, counts binary"
-    rows = docs.select(name).mapInArrow(trimmed(count), kind).groupBy("block").applyInArrow(add, kind).collect()  # 2 ** bits counts, whatever the input
+    few = docs.select(name).mapInArrow(trimmed(count), kind)
+    some = few.groupBy("block", F.pmod(F.spark_partition_id(), F.lit(64))).applyInArrow(add, kind)  # tasks are added up in 64 lots first
+    rows = some.groupBy("block").applyInArrow(add, kind).collect()  # 2 ** bits counts, whatever the input
     out = np.zeros(((1 << bits) // _BLOCK, _BLOCK), np.int64)
     for r in rows:
         out[r["block"]] = np.frombuffer(r["counts"], np.int64)
@@ -184,13 +186,13 @@ def fit_least(model: LanguageModel, texts: list[tuple[str, str]]) -> None:
     model.least = float(np.quantile(right, LOST)) if right else 0.0
 
 
-def fit(docs: DataFrame, usable: Column | None = None, sample_rows: int = SAMPLE_ROWS, longest: int = LONGEST, bits: int = BITS) -> LanguageModel:
-    """A model from text and lang; ``usable`` says which rows may be learned from."""
+def fit(docs: DataFrame, usable: Column | None = None, sample_rows: int = SAMPLE_ROWS, longest: int = LONGEST, bits: int = BITS, most: int = 1000) -> LanguageModel:
+    """A model from text and lang; ``usable`` says which rows may be learned from, ``most`` how many languages it tells apart at most (the most frequent)."""
     small_batches(docs)
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
     if usable is not None:
         known = known.where(usable)
-    languages = sorted(r["lang"] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(1000).select("lang").collect())
+    languages = sorted(r["lang"] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most).select("lang").collect())
     empty = LanguageModel([], np.ones(1 << bits), np.zeros((1 << bits, 0)), np.zeros(0), bits=bits)
     if not languages:
         return empty
