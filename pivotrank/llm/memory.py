@@ -8,8 +8,11 @@ import gc
 
 import pyarrow as pa
 
+from .text import forget
+
 
 def release() -> None:
+    forget()
     gc.collect()
     pa.default_memory_pool().release_unused()
     try:

@@ -62,8 +62,9 @@ def bucketed(hashes: np.ndarray, buckets: int) -> np.ndarray:
     return (((hashes >> U(32)) * U(buckets)) & U(0xFFFFFFFF00000000)) | (hashes & U(0xFFFFFFFF))
 
 
-def slices(ordered: np.ndarray, buckets: int):
+def slices(ordered: np.ndarray):
     """For each bucket that has values: bucket, and where its values lie in an ascending bucketed array."""
-    ends = np.searchsorted(ordered, (np.arange(buckets + 1, dtype=U) << U(32)))
-    for b in np.flatnonzero(np.diff(ends)):
-        yield int(b), slice(int(ends[b]), int(ends[b + 1]))
+    upper = (ordered >> U(32)).astype(np.int64)
+    ends = np.flatnonzero(np.diff(upper, prepend=-1, append=-1))
+    for a, b in zip(ends[:-1], ends[1:], strict=True):
+        yield int(upper[a]), slice(int(a), int(b))

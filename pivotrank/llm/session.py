@@ -50,9 +50,9 @@ def parts_for(size: float, each: float) -> int:
     return max(1, math.ceil(size / each))
 
 
-def part_of(column: str, parts: int, salt: int = 0):
-    """A part number from 0, by hash of a column."""
-    return F.pmod(F.xxhash64(F.lit(salt), F.col(column)), F.lit(parts)).cast("int")
+def part_of(parts: int, *columns: str):
+    """A part number from 0, by hash of columns."""
+    return F.pmod(F.xxhash64(*map(F.col, columns)), F.lit(parts)).cast("int")
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -7,8 +7,8 @@ occurrence rules all windows around it out. Around the blocks that are hit, hits
 full window there is compared with the others of the same words, and adjoining ones that occur in
 an earlier document merge into maximal repeats.
 
-Shape of the job: documents are dealt by hash into parts of bounded bytes, by one exchange that
-all three passes share. Each part sends every hash at most twice (blocks) or once (windows), so
+Shape of the job: documents are dealt, by a hash of id and text, into parts of bounded bytes, by one
+exchange that all three passes share; rows without an id, or of one id, spread by their texts. Each part sends every hash at most twice (blocks) or once (windows), so
 neither a group of copies nor a passage that a third of all documents share fills one task.
 
 Null text: no words. Null doc_id: counts as larger than any other. Rows that repeat a doc_id do not
@@ -33,7 +33,7 @@ from .session import part_of, parts_for, small_batches, text_bytes
 from .text import U, batches, pair_hash, rolling, splitmix, to_bytes, windows, words_of
 
 WINDOW = 50
-PART_BYTES = 8 << 20
+PART_BYTES = 4 << 20
 _LAST = np.iinfo(np.int64).max
 
 
@@ -59,8 +59,8 @@ def _probe(table: pa.Table, block: int, buckets: int) -> pa.Table:
     probes = k.at_most_two(np.sort(k.bucketed(np.concatenate(probes), buckets))) if probes else np.empty(0, U)
     own = np.unique(k.bucketed(np.concatenate(own), buckets)) if own else np.empty(0, U)
     part, rows = table["part"][0].as_py(), {"bucket": [], "part": [], "probes": [], "own": []}
-    mine = dict(k.slices(own, buckets))
-    for bucket, at in k.slices(probes, buckets):
+    mine = dict(k.slices(own))
+    for bucket, at in k.slices(probes):
         rows["bucket"].append(bucket)
         rows["part"].append(part)
         rows["probes"].append(k.pack(probes[at].astype(np.uint32)))
@@ -125,7 +125,7 @@ def _extend(docs: pa.Table, hits: pa.Table, width: int, block: int, buckets: int
     once = np.concatenate(([True], (h[1:] != h[:-1]) | (second[1:] != second[:-1])))
     h, second, doc = h[once], second[once], doc[once]
     part, rows = docs["part"][0].as_py(), {"bucket": [], "part": [], "h": [], "second": [], "doc": []}
-    for bucket, at in k.slices((((h >> U(32)) * U(buckets)) & U(0xFFFFFFFF00000000)), buckets):
+    for bucket, at in k.slices(((h >> U(32)) * U(buckets)) & U(0xFFFFFFFF00000000)):
         rows["bucket"].append(bucket)
         rows["part"].append(part)
         rows["h"].append(k.pack(h[at]))
@@ -232,7 +232,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, part_bytes: int = PART
     block = window // 2
     small_batches(docs)
     parts = parts_for(text_bytes(docs), part_bytes)
-    columns = [part_of("doc_id", parts).alias("part"), F.col("doc_id").cast("long").alias("doc_id"), F.col("text")]
+    columns = [part_of(parts, "doc_id", "text").alias("part"), F.col("doc_id").cast("long").alias("doc_id"), F.col("text")]
     if carry:
         columns.append(F.struct(F.lit(True).alias("_row"), *[F.col(f"`{c}`") for c in docs.columns if c not in ("doc_id", "text")]).alias("rest"))
     dealt = docs.select(*columns)

@@ -55,6 +55,11 @@ def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers[0][:n], _powers[1][:n]
 
 
+def forget() -> None:
+    """Drops the tables that grow with the longest batch met."""
+    _powers[:] = [np.ones(1, U), np.ones(1, U)]
+
+
 @dataclass
 class Words:
     """The words of several texts, one after another.
