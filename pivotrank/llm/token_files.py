@@ -12,8 +12,9 @@ largest id, crc32 of its ids as unsigned 32-bit integers: 32 bits each), then th
 ``java/TokenFiles.java`` and checked against its crc32 on reading, so a damaged block is found.
 
 A text of a byte-level tokenizer with the usual pattern can be cut before every space that follows no
-other white space, as pieces never run over such a place; a task encodes each distinct segment once. Texts
-with other spaces, with one of the tokenizer's special strings, or of other tokenizers are encoded whole.
+other white space, as pieces never run over such a place. A task cuts each distinct segment into pieces once, and
+has each distinct piece encoded once. Texts with other spaces, with one of the tokenizer's special strings, or
+of other tokenizers are encoded whole.
 
 Null texts are empty; every document ends with ``end_id``. Null doc_ids come first; ties in doc_id are
 in order of the text. An empty table gives an empty folder.
@@ -25,10 +26,10 @@ import json
 import os
 import re
 import zlib
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -38,17 +39,33 @@ from .session import cut, parts_for, small_batches, text_bytes
 
 _NULL = np.iinfo(np.int64).min
 BLOCK_IDS, FILE_IDS, PART_BYTES = 1 << 17, 2_000_000, 32 << 20
-CACHE_BYTES, LONG = 12 << 20, 64
+CACHE_BYTES, LONG = 96 << 20, 64
 _FUNCTIONS = {
     "token_file_pack": ("Pack", "binary"),
     "token_file_unpack": ("Unpack", "array<struct<doc_id: bigint, before: bigint, n_tokens: bigint, ids: binary>>"),
     "token_file_put": ("Put", "bigint"),
 }
-_LOOSE = re.compile(r"\s ")
+_LOOSE, _RARE = re.compile(r"\s "), re.compile(r"[^\S\n\r\t ]")
+# Fixed value: the pieces of byte-level tokenizers.
+PIECES = r"'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+
+
+class _Held(dict):
+    """Strings to their ids' bytes; one that is not here is made, and stays if it is short."""
+
+    def __init__(self, make):
+        self.make, self.held = make, 0
+
+    def __missing__(self, key: str) -> bytes:
+        made = self.make(key)
+        if len(key) <= LONG:
+            self[key] = made
+            self.held += 200 + len(key) + len(made)  # about what an entry takes
+        return made
 
 
 class Encoder:
-    """Ids of texts with a tokenizer of the tokenizers library, by distinct segments."""
+    """Ids of texts with a tokenizer of the tokenizers library, by distinct segments and pieces."""
 
     def __init__(self, spec: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -59,40 +76,32 @@ class Encoder:
         self.segmented = cut.get("type") == "ByteLevel" and cut.get("use_regex", True) and not cut.get("add_prefix_space") and not json.loads(spec).get("normalizer")
         special = [t.content for t in self.tool.get_added_tokens_decoder().values()]
         self.special = re.compile("|".join(map(re.escape, special))) if special else None
+        self.pieces = regex.compile(PIECES)
         self.clear()
 
     def clear(self) -> None:
-        self.first: dict[str, bytes] = {}  # segments at a text's start
-        self.later: dict[str, bytes] = {}  # segments without the space before them
-        self.held = 0
+        self.piece = _Held(self._whole)
+        self.first = _Held(self._segment)  # segments at a text's start
+        self.later = _Held(lambda s: self._segment(" " + s))  # segments without the space before them
+
+    def _whole(self, text: str) -> bytes:
+        return np.array(self.tool.encode(text, add_special_tokens=False).ids, np.uint32).tobytes()
 
-    def _learn(self, cache: dict[str, bytes], new: list[str], lead: str) -> list[str]:
-        """Ids of the segments into the cache; returns those too long to stay."""
-        for s, e in zip(new, self.tool.encode_batch_fast([lead + s for s in new], add_special_tokens=False), strict=True):
-            cache[s] = np.array(e.ids, np.uint32).tobytes()
-        self.held += sum(map(len, new)) + 4 * len(new)
-        return [s for s in new if len(s) > LONG]
+    def _segment(self, text: str) -> bytes:
+        """The libraries do not agree on what else is white space, so segments with such characters go as they are."""
+        return self._whole(text) if _RARE.search(text) else b"".join(map(self.piece.__getitem__, self.pieces.findall(text)))
 
     def encode(self, texts: list[str], end_id: int) -> list[bytes]:
         """Ids of each text and the end id, as little-endian unsigned 32-bit integers."""
         out, end = [], np.array([end_id], np.uint32).tobytes()
-        for a in range(0, len(texts), 256):
-            part = texts[a : a + 256]
-            cuts = [t.split(" ") if self.segmented and not _LOOSE.search(t) and not (self.special and self.special.search(t)) else None for t in part]
-            if self.held > CACHE_BYTES:
+        for t in texts:
+            if not self.segmented or _LOOSE.search(t) or self.special and self.special.search(t):
+                out.append(self._whole(t) + end)
+            else:
+                c = t.split(" ")
+                out.append(self.first[c[0]] + b"".join(map(self.later.__getitem__, c[1:])) + end)
+            if self.piece.held + self.first.held + self.later.held > CACHE_BYTES:
                 self.clear()
-            starts = {c[0] for c in cuts if c}.difference(self.first)
-            rest = set(chain.from_iterable(c[1:] for c in cuts if c)).difference(self.later)
-            drop = self._learn(self.first, list(starts), ""), self._learn(self.later, list(rest), " ")
-            for t, c in zip(part, cuts, strict=True):
-                if c is None:
-                    out.append(np.array(self.tool.encode(t, add_special_tokens=False).ids, np.uint32).tobytes() + end)
-                else:
-                    out.append(self.first[c[0]] + b"".join(map(self.later.__getitem__, c[1:])) + end)
-            for cache, long in zip((self.first, self.later), drop, strict=True):
-                for s in long:
-                    self.held -= len(s) + 4
-                    del cache[s]
         return out
 
 
