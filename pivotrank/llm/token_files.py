@@ -12,9 +12,9 @@ largest id, crc32 of its ids as unsigned 32-bit integers: 32 bits each), then th
 ``java/TokenFiles.java`` and checked against its crc32 on reading, so a damaged block is found.
 
 A text of a byte-level tokenizer with the usual pattern can be cut before every space that follows no
-other white space, as pieces never run over such a place. A task cuts each distinct segment into pieces once, and
-has each distinct piece encoded once. Texts with other spaces, with one of the tokenizer's special strings, or
-of other tokenizers are encoded whole.
+other white space, as pieces never run over such a place; a worker encodes each distinct segment once, as long as
+its bounded cache holds it. Texts with other spaces, with one of the tokenizer's special strings, or of other
+tokenizers are encoded whole.
 
 Null texts are empty; every document ends with ``end_id``. Null doc_ids come first; ties in doc_id are
 in order of the text. An empty table gives an empty folder.
@@ -26,46 +26,30 @@ import json
 import os
 import re
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
-import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .jvm import register
-from .memory import release
+from .memory import trimmed
 from .session import cut, parts_for, small_batches, text_bytes
 
 _NULL = np.iinfo(np.int64).min
 BLOCK_IDS, FILE_IDS, PART_BYTES = 1 << 17, 2_000_000, 32 << 20
-CACHE_BYTES, LONG = 96 << 20, 64
+CACHE_BYTES, LONG = 192 << 20, 64
 _FUNCTIONS = {
     "token_file_pack": ("Pack", "binary"),
     "token_file_unpack": ("Unpack", "array<struct<doc_id: bigint, before: bigint, n_tokens: bigint, ids: binary>>"),
     "token_file_put": ("Put", "bigint"),
 }
-_LOOSE, _RARE = re.compile(r"\s "), re.compile(r"[^\S\n\r\t ]")
-# Fixed value: the pieces of byte-level tokenizers.
-PIECES = r"'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-
-
-class _Held(dict):
-    """Strings to their ids' bytes; one that is not here is made, and stays if it is short."""
-
-    def __init__(self, make):
-        self.make, self.held = make, 0
-
-    def __missing__(self, key: str) -> bytes:
-        made = self.make(key)
-        if len(key) <= LONG:
-            self[key] = made
-            self.held += 200 + len(key) + len(made)  # about what an entry takes
-        return made
+_LOOSE = re.compile(r"\s ")
 
 
 class Encoder:
-    """Ids of texts with a tokenizer of the tokenizers library, by distinct segments and pieces."""
+    """Ids of texts with a tokenizer of the tokenizers library, by distinct segments."""
 
     def __init__(self, spec: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -76,32 +60,34 @@ class Encoder:
         self.segmented = cut.get("type") == "ByteLevel" and cut.get("use_regex", True) and not cut.get("add_prefix_space") and not json.loads(spec).get("normalizer")
         special = [t.content for t in self.tool.get_added_tokens_decoder().values()]
         self.special = re.compile("|".join(map(re.escape, special))) if special else None
-        self.pieces = regex.compile(PIECES)
-        self.clear()
-
-    def clear(self) -> None:
-        self.piece = _Held(self._whole)
-        self.first = _Held(self._segment)  # segments at a text's start
-        self.later = _Held(lambda s: self._segment(" " + s))  # segments without the space before them
-
-    def _whole(self, text: str) -> bytes:
-        return np.array(self.tool.encode(text, add_special_tokens=False).ids, np.uint32).tobytes()
+        self.held: dict[str, bytes] = {}  # segments without the space before them
+        self.size = 0
 
-    def _segment(self, text: str) -> bytes:
-        """The libraries do not agree on what else is white space, so segments with such characters go as they are."""
-        return self._whole(text) if _RARE.search(text) else b"".join(map(self.piece.__getitem__, self.pieces.findall(text)))
+    def _ids(self, texts: list[str]) -> list[bytes]:
+        return [array("I", e.ids).tobytes() for e in self.tool.encode_batch_fast(texts, add_special_tokens=False)]
 
     def encode(self, texts: list[str], end_id: int) -> list[bytes]:
         """Ids of each text and the end id, as little-endian unsigned 32-bit integers."""
-        out, end = [], np.array([end_id], np.uint32).tobytes()
-        for t in texts:
-            if not self.segmented or _LOOSE.search(t) or self.special and self.special.search(t):
-                out.append(self._whole(t) + end)
-            else:
-                c = t.split(" ")
-                out.append(self.first[c[0]] + b"".join(map(self.later.__getitem__, c[1:])) + end)
-            if self.piece.held + self.first.held + self.later.held > CACHE_BYTES:
-                self.clear()
+        out, end, held = [], array("I", [end_id]).tobytes(), self.held
+        for a in range(0, len(texts), 256):
+            part = texts[a : a + 256]
+            whole = [not self.segmented or _LOOSE.search(t) is not None or self.special is not None and self.special.search(t) is not None for t in part]
+            cuts = [[t] if w else t.split(" ") for t, w in zip(part, whole, strict=True)]
+            first = self._ids([c[0] for c in cuts])
+            if self.size > CACHE_BYTES:
+                held.clear()
+                self.size = 0
+            for c in cuts:
+                del c[0]
+            new = list({s for c in cuts for s in c if s not in held})
+            made = self._ids([" " + s for s in new])
+            held.update(zip(new, made, strict=True))
+            for f, c in zip(first, cuts, strict=True):
+                out.append(f + b"".join(map(held.__getitem__, c)) + end)
+            self.size += 200 * len(new)  # about what an entry takes
+            for s in new:
+                if len(s) > LONG:
+                    del held[s]
         return out
 
 
@@ -142,29 +128,25 @@ def write_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 0, f
             keys, parts, size, before = [], [], 0, before + size
             return out
 
-        try:
-            for batch in source:
-                part = batch.column(2)[0].as_py() if len(batch) else part
-                for a in range(0, len(batch), 256):
-                    ids = batch.column(0).slice(a, 256).fill_null(_NULL).to_pylist()
-                    for key, got in zip(ids, tool.encode(batch.column(1).slice(a, 256).fill_null("").to_pylist(), end_id), strict=True):
-                        keys.append(key)
-                        parts.append(got)
-                        size += len(got) // 4
-                        if size >= file_ids:
-                            yield close()
-            if keys:
-                yield close()
-        finally:
-            tool.clear()
-            release()
+        for batch in source:
+            part = batch.column(2)[0].as_py() if len(batch) else part
+            for a in range(0, len(batch), 256):
+                ids = batch.column(0).slice(a, 256).fill_null(_NULL).to_pylist()
+                for key, got in zip(ids, tool.encode(batch.column(1).slice(a, 256).fill_null("").to_pylist(), end_id), strict=True):
+                    keys.append(key)
+                    parts.append(got)
+                    size += len(got) // 4
+                    if size >= file_ids:
+                        yield close()
+        if keys:
+            yield close()
 
     register(spark, "TokenFiles", _FUNCTIONS)
     small_batches(docs)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     parts = parts_for(text_bytes(rows), part_bytes)
     dealt = rows.repartitionByRange(parts, "doc_id").withColumn("part", F.spark_partition_id()).sortWithinPartitions("doc_id", "text")
-    packed = dealt.mapInArrow(pack, "part int, before long, documents long, n_ids long, docs binary, ids binary")
+    packed = dealt.mapInArrow(trimmed(pack), "part int, before long, documents long, n_ids long, docs binary, ids binary")
     name = F.format_string("%s/part-%08d-%015d-%d.tids", F.lit(folder), "part", "before", "n_ids")
     put = packed.select(name.alias("path"), "part", "before", "documents", "n_ids", F.call_function("token_file_pack", "docs", "ids", F.lit(block_ids)).alias("content"))
     return cut(put.select("path", "part", "before", "documents", "n_ids", F.call_function("token_file_put", "path", "content").alias("bytes")))
