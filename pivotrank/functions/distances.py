@@ -131,6 +131,46 @@ def np_js(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return out
 
 
+def np_sqfd(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Of object arrays of signatures, each a pair (centroids, weights)."""
+
+    def cross(a, b):
+        return a[1] @ (1 / (1 + np.sqrt(np.maximum(((a[0][:, None] - b[0][None]) ** 2).sum(-1), 0)))) @ b[1]
+
+    own, other = np.array([cross(a, a) for a in x]), np.array([cross(b, b) for b in y])
+    sizes = np.array([len(a[1]) for a in x])
+    out = np.zeros((len(x), len(y)))
+    if not len(x):
+        return out
+    centroids, weights = np.concatenate([a[0] for a in x]), np.concatenate([a[1] for a in x])
+    owner = np.repeat(np.arange(len(x)), sizes)
+    for j, b in enumerate(y):
+        alike = weights * ((1 / (1 + np.sqrt(((centroids[:, None] - b[0][None]) ** 2).sum(-1)))) @ b[1])
+        out[:, j] = np.sqrt(np.maximum(own + other[j] - 2 * np.bincount(owner, alike, len(x)), 0))
+    return out
+
+
+def np_norm_lev(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Of object arrays of strings: one table for each y, all x at once."""
+    sizes = np.array([len(a) for a in x])
+    width = int(sizes.max(initial=0))
+    codes = np.zeros((len(x), width), np.int32)
+    for i, a in enumerate(x):
+        codes[i, : len(a)] = np.fromiter(map(ord, a), np.int32, len(a))
+    out = np.zeros((len(x), len(y)))
+    for j, b in enumerate(y):
+        row = np.repeat(np.arange(width + 1)[None], len(x), 0)
+        for n, c in enumerate(b, 1):
+            new = np.empty_like(row)
+            new[:, 0] = n
+            change = np.minimum(row[:, 1:] + 1, row[:, :-1] + (codes != ord(c)))
+            for i in range(width):
+                new[:, i + 1] = np.minimum(change[:, i], new[:, i] + 1)
+            row = new
+        out[:, j] = row[np.arange(len(x)), sizes] / np.maximum(np.maximum(sizes, len(b)), 1)
+    return out
+
+
 # SQL
 
 
@@ -160,7 +200,8 @@ class Distance:
     """name; payload; expression; numpy form over matrices, where there is one; what makes it a metric.
 
     transform and mu: a monotone function of the distance for which differences to a third point are at
-    most mu times the distance (1 and the identity for metrics).
+    most mu times the distance (1 and the identity for metrics); None where no such bound is known.
+    block: distances of two lists of payloads that have no matrix form.
     """
 
     name: str
@@ -170,13 +211,16 @@ class Distance:
     symmetric: bool = True
     metric: bool = False
     transform: Callable[[Column], Column] | None = None
-    mu: float = 1.0
+    mu: float | None = 1.0
+    block: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None
 
     def __call__(self, point: Column, query: Column, side: str = "left") -> Column:
         """side: ``left`` takes the point first, d(x, q); ``right`` the query first, d(q, x)."""
         return self.column(point, query) if side == "left" else self.column(query, point)
 
     def between(self, points: np.ndarray, queries: np.ndarray, side: str = "left") -> np.ndarray:
+        if self.matrix is None and self.block is not None:
+            return self.block(points, queries)
         if self.matrix is None:
             raise ValueError(f"{self.name} has no matrix form")
         return self.matrix(points, queries) if side == "left" or self.symmetric else self.matrix(queries, points).T
@@ -192,10 +236,10 @@ DISTANCES = {
         Distance("l1", "vector", l1, np_l1, metric=True),
         Distance("cosine", "vector", cosine_dense, np_cosine, transform=lambda d: F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), 1 - d)))),
         Distance("cosine_sparse", "sparse", cosine_sparse, transform=lambda d: F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), 1 - d)))),
-        Distance("kl", "histogram", kl, np_kl, symmetric=False, transform=lambda d: F.sqrt(F.greatest(d, F.lit(0.0)))),
+        Distance("kl", "histogram", kl, np_kl, symmetric=False, transform=lambda d: F.sqrt(F.greatest(d, F.lit(0.0))), mu=None),
         Distance("js", "histogram", js, np_js, transform=lambda d: F.sqrt(F.greatest(d, F.lit(0.0)))),
-        Distance("sqfd", "signature", sqfd, metric=True),
-        Distance("norm_lev", "text", norm_levenshtein),
+        Distance("sqfd", "signature", sqfd, metric=True, block=np_sqfd),
+        Distance("norm_lev", "text", norm_levenshtein, block=np_norm_lev),
         Distance("exp_decay", "number", exp_decay),
     )
 }

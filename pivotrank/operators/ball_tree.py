@@ -21,9 +21,27 @@ from pyspark.sql.types import LongType, StructField, StructType
 from ..functions.distances import Distance, distance
 from ..functions.hashing import order_key, uniform_of
 from .pivots import matrix
-from .search import query_block, ranked
+from .search import MOST_QUERIES, ranked
 
 MOST_LEAVES, SAMPLE = 4096, 32_768
+MOST_VISITS = 1_000_000  # rows of two longs that are broadcast at most
+
+
+def payloads(values: list, payload: str) -> np.ndarray:
+    """Payloads as rows of a matrix, or, without a matrix form, as an array of objects."""
+    if payload == "signature":
+        made = [(np.array([t["c"] for t in v], float).reshape(len(v), -1), np.array([t["w"] for t in v], float)) for v in values]
+    elif payload == "text":
+        made = list(values)
+    else:
+        return np.array([v["p"] if payload == "histogram" else v for v in values], np.float64)
+    out = np.empty(len(made), object)
+    out[:] = made
+    return out
+
+
+def block_of(column: pa.Array, payload: str) -> np.ndarray:
+    return payloads(column.to_pylist(), payload) if payload in ("signature", "text") else matrix(column, payload)
 
 
 @dataclass
@@ -52,7 +70,7 @@ class Router:
             if node.pivot is None or not len(mine):
                 out[mine] = at
                 continue
-            inside = self.dist.between(x[mine], node.pivot[None], self.side)[:, 0] <= node.radius
+            inside = self.dist.between(x[mine], node.pivot, self.side)[:, 0] <= node.radius
             stack += [(node.inner, mine[inside]), (node.outer, mine[~inside])]
         return out
 
@@ -79,7 +97,7 @@ class BallTree:
         d = distance(dist)
         n = points.count()
         rows = points.select("id", "x").orderBy(order_key(f"tree{seed}", "id"), "id").limit(sample).collect()
-        x = np.array([r["x"]["p"] if d.payload == "histogram" else r["x"] for r in rows], np.float64)
+        x = payloads([r["x"] for r in rows], d.payload)
         ids = np.array([r["id"] for r in rows], np.int64)
         tree = cls(points, d, side)
         least = max(bucket * len(rows) / max(1, n), len(rows) / MOST_LEAVES, 2)
@@ -91,8 +109,9 @@ class BallTree:
         self.nodes.append(Node())
         if len(mine) < least or len(mine) < 2:
             return at
-        pivot = x[mine[min(range(len(mine)), key=lambda i: (uniform_of(f"tree{seed}:{at}:{ids[mine[i]]}"), ids[mine[i]]))]]
-        far = self.dist.between(x[mine], pivot[None], self.side)[:, 0]
+        first = mine[min(range(len(mine)), key=lambda i: (uniform_of(f"tree{seed}:{at}:{ids[mine[i]]}"), ids[mine[i]]))]
+        pivot = x[first : first + 1]
+        far = self.dist.between(x[mine], pivot, self.side)[:, 0]
         self.distances += len(mine)
         radius = float(np.median(far))
         inside = far <= radius
@@ -111,7 +130,7 @@ class BallTree:
         def deal(source):
             for batch in source:
                 if len(batch):
-                    yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(router.leaf_of(matrix(batch.column(1), payload)))], names=["id", "x", "leaf"])
+                    yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(router.leaf_of(block_of(batch.column(1), payload)))], names=["id", "x", "leaf"])
 
         rows = self.points.select("id", "x")
         return rows.mapInArrow(deal, StructType([*rows.schema.fields, StructField("leaf", LongType())]))
@@ -124,7 +143,7 @@ class BallTree:
             if node.pivot is None:
                 out.append(at)
                 continue
-            far = float(self.dist.between(query[None], node.pivot[None], self.side)[0, 0])
+            far = float(self.dist.between(query, node.pivot, self.side)[0, 0])
             gap = abs(node.radius - far) ** beta - 1e-9
             inside = far <= node.radius
             if not inside or gap * alpha[0] <= radius:
@@ -135,16 +154,20 @@ class BallTree:
 
     def visits(self, queries: DataFrame, k: int, alpha=(1.0, 1.0), beta: float = 1.0) -> DataFrame:
         """(qid, leaf) of the second round: home leaves first give each query its radius."""
-        qids, held = query_block(queries, self.dist.payload)
+        rows = queries.select("qid", "x").orderBy("qid").limit(MOST_QUERIES + 1).collect()
+        if len(rows) > MOST_QUERIES:
+            raise ValueError(f"more than {MOST_QUERIES} queries: search them in blocks")
+        qids, held = np.array([r["qid"] for r in rows], np.int64), payloads([r["x"] for r in rows], self.dist.payload)
         spark = self.points.sparkSession
         homes = spark.createDataFrame([(int(q), int(leaf)) for q, leaf in zip(qids, self.router.leaf_of(held), strict=True)], "qid long, leaf long")
         first = self._read(homes, queries, k).groupBy("qid").agg(F.max("dist").alias("r"), F.count("*").alias("n"))
         radii = {r["qid"]: r["r"] if r["n"] >= k else math.inf for r in first.collect()}  # one row for each query
-        open_ = [(int(q), leaf) for q, x in zip(qids, held, strict=True) for leaf in self.open_leaves(x, radii.get(int(q), math.inf), alpha, beta)]
+        open_ = [(int(q), leaf) for i, q in enumerate(qids) for leaf in self.open_leaves(held[i : i + 1], radii.get(int(q), math.inf), alpha, beta)]
         return spark.createDataFrame(open_, "qid long, leaf long")
 
     def _read(self, visits: DataFrame, queries: DataFrame, k: int) -> DataFrame:
-        met = self.assigned().join(F.broadcast(visits), "leaf").join(F.broadcast(queries.select("qid", F.col("x").alias("q"))), "qid")
+        small = F.broadcast(visits) if visits.count() <= MOST_VISITS else visits
+        met = self.assigned().join(small, "leaf").join(F.broadcast(queries.select("qid", F.col("x").alias("q"))), "qid")
         return ranked(met.select("qid", "id", self.dist(F.col("x"), F.col("q"), self.side).alias("dist")), k)
 
     def search(self, queries: DataFrame, k: int = 10, alpha=(1.0, 1.0), beta: float = 1.0) -> DataFrame:

@@ -16,11 +16,20 @@ from ..functions.distances import Distance, distance, rank_key
 from .search import exact_knn
 
 
-def cut(frame: DataFrame) -> DataFrame:
-    """A checkpoint in the folder that spark.checkpoint.dir names; a temporary one where it is unset."""
-    context = frame.sparkSession.sparkContext
+def shared_folder(spark) -> str:
+    """The folder that spark.checkpoint.dir names; where it is unset, a temporary one if driver and executors are one machine."""
+    context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(frame.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not context.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoint-"))
+    return context._jsc.sc().getCheckpointDir().get()
+
+
+def cut(frame: DataFrame) -> DataFrame:
+    """A checkpoint in the shared folder."""
+    shared_folder(frame.sparkSession)
     return frame.checkpoint()
 
 
@@ -40,10 +49,11 @@ def exact_graph(points: DataFrame, dist, k: int = 10) -> DataFrame:
     return _top(found.where("qid <> id").select(F.col("qid").alias("src"), F.col("id").alias("dst"), "dist"), k)
 
 
-def nn_descent(points: DataFrame, dist, k: int = 10, rho: float = 0.5, delta: float = 0.001, max_iter: int = 12, seed: int = 29) -> DataFrame:
+def nn_descent(points: DataFrame, dist, k: int = 10, rho: float = 0.5, delta: float = 0.001, max_iter: int = 12, seed: int = 29, decay: float = 1.0) -> DataFrame:
     """Neighbours of neighbours are likely neighbours: from a random graph, until few edges change.
 
-    rho: share of a node's new edges that a round samples (forward and, as many at most, reverse).
+    rho: share of a node's new edges that a round samples (forward and, as many at most, reverse); every
+    round multiplies it by ``decay``.
     """
     d = distance(dist)
     n = points.count()
@@ -59,8 +69,8 @@ def nn_descent(points: DataFrame, dist, k: int = 10, rho: float = 0.5, delta: fl
         start = one if start is None else start.unionByName(one)
     start = start.distinct()
     edges = cut(_measured(start, points, d).withColumn("new", F.lit(True)))
-    sample = max(1, math.ceil(rho * k))
     for turn in range(max_iter):
+        sample = max(1, math.ceil(rho * decay**turn * k))
         pick = lambda by: F.row_number().over(Window.partitionBy(by).orderBy(F.xxhash64(F.lit(seed + turn + 1), "src", "dst")))  # noqa: E731, B023
         chosen = edges.where("new").withColumn("_r", pick("src")).where(F.col("_r") <= sample).select("src", "dst")
         both = edges.join(chosen.withColumn("_c", F.lit(True)), ["src", "dst"], "left").select("src", "dst", "new", F.coalesce("_c", F.lit(False)).alias("fresh"))

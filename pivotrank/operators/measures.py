@@ -47,9 +47,10 @@ def transformed(name: str) -> Column | None:
 
 
 def triples(points: DataFrame, modulus: int = 97) -> DataFrame:
-    """Hashed triples (a, b, q) of payloads: each point with two others named by hashes of its id's order."""
-    w = Window.orderBy(F.md5(F.col("id").cast("string").cast("binary")), "id")
-    few = points.withColumn("i", F.row_number().over(w)).where(F.col("i") <= modulus)
+    """Hashed triples (a, b, q) of payloads among the first ``modulus`` points of a hashed order; see all_triples."""
+    h = F.md5(F.col("id").cast("string").cast("binary"))
+    first = points.select("id", "x", h.alias("_h")).orderBy("_h", "id").limit(modulus)
+    few = first.withColumn("i", F.row_number().over(Window.orderBy("_h", "id")))
     a, b, q = (few.select(F.col("i").alias(f"i{c}"), F.col("x").alias(c)) for c in "abq")
     step = lambda s: F.pmod(F.col("ia") * s, F.lit(modulus)) + 1
     return a.withColumn("ib", step(31)).withColumn("iq", step(57)).join(b, "ib").join(q, "iq").where("ia <> ib AND ib <> iq AND ia <> iq").select("a", "b", "q")
@@ -99,6 +100,35 @@ def index_cost(n: int, m: int, bucket: int) -> dict[str, float]:
     return {"pivots": n * m, "ball_tree": n * max(0.0, math.log2(n / bucket))}
 
 
+def index_bytes(spark, path: str) -> int:
+    """Bytes of a stored index, on whatever store it lies."""
+    target = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return target.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(target).getLength()
+
+
+def neighbour_transitivity(graph: DataFrame) -> DataFrame:
+    """(paths, closed, share): how often near(a, b) and near(b, c) bring near(a, c), over all pairs of edges (src, dst)."""
+    edges = graph.select("src", "dst").distinct()
+    paths = edges.select(F.col("src").alias("a"), F.col("dst").alias("b")).join(edges.select(F.col("src").alias("b"), F.col("dst").alias("c")), "b").where("a <> c")
+    closed = paths.join(edges.select(F.col("src").alias("a"), F.col("dst").alias("c"), F.lit(1).alias("hit")), ["a", "c"], "left")
+    return closed.agg(F.count("*").alias("paths"), F.count("hit").alias("closed")).withColumn("share", F.col("closed") / F.col("paths"))
+
+
+def rank_correlation(scatter: DataFrame, by: str = "stratum") -> DataFrame:
+    """Spearman's coefficient of dist and projected for each stratum: Pearson's, of mid-ranks."""
+    def rank(c):
+        w, own = Window.partitionBy(by).orderBy(c), Window.partitionBy(by, c)
+        return F.rank().over(w) + (F.count("*").over(own) - 1) / 2
+
+    placed = scatter.select(by, rank("dist").alias("r"), rank("projected").alias("s"))
+    return placed.groupBy(by).agg(F.round(F.corr("r", "s"), 6).alias("spearman"))
+
+
+def speed_up(exact_seconds: float, seconds: float) -> float:
+    """How many times faster than the exact scan."""
+    return exact_seconds / seconds if seconds else float("inf")
+
+
 def timed(frame: DataFrame) -> float:
     """Seconds to compute all rows."""
     start = time.perf_counter()

@@ -13,7 +13,9 @@ from pyspark.sql import functions as F
 
 from ..functions import distances as D
 from .pivots import Pivots, see, select_pivot_copies, select_pivots
-from .search import gamma_of, refine, top_gamma
+from .search import Kept, gamma_of, refine, top_gamma
+
+MOST_KEPT = 2_000_000  # rows of 32 bytes in a task
 
 
 class _Index:
@@ -65,32 +67,34 @@ class ExhaustivePermutations(_Index):
         return top_gamma(self.scores(queries), gamma_of(gamma, self.n, k), how)
 
     def best(self, queries: DataFrame, gamma: int | float = 0.1, k: int = 1) -> DataFrame:
-        """The same candidates, each task keeping its own best of blocks of points in numpy."""
+        """The same candidates; each task keeps its own best over all its blocks of points.
+
+        Where that would hold over MOST_KEPT rows, the scores are counted instead.
+        """
         g = gamma_of(gamma, self.n, k)
         rows = self._coded(queries, "qid").collect()  # one code for each query
+        if g * len(rows) > MOST_KEPT:
+            return self.candidates(queries, gamma, "counting", k)
         qids, held = np.array([r["qid"] for r in rows], np.int64), np.array([r["code"] for r in rows])
         score = self.score
 
         def scan(source):
+            best = Kept(len(qids), g)
             for batch in source:
                 if not len(batch) or not len(qids):
                     continue
                 ids = batch.column(0).to_numpy()
                 codes = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1)
-                out = []
                 for q in range(len(qids)):
                     if score == "hamming":
-                        s = np.bitwise_count(codes ^ held[q]).sum(1).astype(np.int64)
+                        s = np.bitwise_count((codes ^ held[q]).view(np.uint64)).sum(1).astype(np.int64)  # of signed words it would count the absolute value
                     elif score == "pivot_l2":
                         s = D.rank_keys(np.sqrt(((codes - held[q]) ** 2).sum(1)))
                     else:
                         s = np.abs(codes.astype(np.int64) - held[q])
                         s = (s * s).sum(1) if score == "rho" else s.sum(1)
-                    edge = np.partition(s, min(g, len(s)) - 1)[min(g, len(s)) - 1]
-                    at = np.flatnonzero(s <= edge)
-                    out.append((np.full(len(at), qids[q]), ids[at], s[at]))
-                q, i, s = (np.concatenate(x) for x in zip(*out, strict=True))
-                yield pa.RecordBatch.from_pydict({"qid": q, "id": i, "score": s})
+                    best.add(q, s[None], ids)
+            yield pa.RecordBatch.from_pydict({"qid": qids[best.q], "id": best.id, "score": best.key})
 
         return top_gamma(self.codes.mapInArrow(scan, "qid long, id long, score long"), g, "heap" if g <= 1000 else "counting")
 
@@ -128,7 +132,11 @@ class PrefixIndex:
             counts = own.groupBy("length", "prefix").agg(F.count("*").alias("n"))
             met = asked.join(counts, ["length", "prefix"], "left").withColumn("enough", F.coalesce(F.col("n") >= g, F.lit(False)))
             chosen = met.groupBy("qid").agg(F.coalesce(F.max(F.when(F.col("enough"), F.col("length"))), F.lit(min_length)).alias("length"))
-            found = asked.join(chosen, ["qid", "length"]).join(own, ["length", "prefix"]).select("qid", "id", (F.lit(self.length) - F.col("length")).cast("long").alias("score"))
+            some = asked.join(chosen, ["qid", "length"])
+            found = some.where("length > 0").join(own.where("length > 0"), ["length", "prefix"]).select("qid", "id", (F.lit(self.length) - F.col("length")).cast("long").alias("score"))
+            # the empty prefix holds every point: no key to join on
+            every = self.points.select("id").crossJoin(F.broadcast(some.where("length = 0").select("qid"))).select("qid", "id", F.lit(self.length).cast("long").alias("score"))
+            found = found.unionByName(every)
             out = found if out is None else out.unionByName(found)
         return out.groupBy("qid", "id").agg(F.min("score").alias("score"))
 
@@ -290,15 +298,18 @@ class SequenceIndex(_Index):
 
 
 class PivotTable(_Index):
-    """Exact pruning by pivots: a point is out if its distance to a pivot differs too much from the query's.
+    """Pruning by pivots: a point is out if its distance to a pivot differs too much from the query's.
 
-    For distances that are no metrics, a monotone transform with differences of at most ``mu`` times the
-    transformed distance gives the bound.
+    Exact for metrics and for distances whose transform is one. For others a monotone transform with
+    differences of at most ``mu`` times the transformed distance gives the bound; no ``mu`` is known to hold
+    for all points, so it must be given (measures.mu_defect measures one) and the result is approximate.
     """
 
     def __init__(self, *args, mu: float | None = None, **kw):
         super().__init__(*args, **kw)
         self.mu = mu if mu is not None else self.dist.mu
+        if self.mu is None:
+            raise ValueError(f"{self.dist.name} needs a mu: there is none that is exact")
         if not self.dist.metric and self.dist.transform is None:
             raise ValueError(f"{self.dist.name} has no transform that bounds it")
         f = self.dist.transform or (lambda d: d)

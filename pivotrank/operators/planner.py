@@ -73,3 +73,36 @@ def pick_graph_builder(points: DataFrame, dist, k: int = 10) -> str:
     truth = exact_graph(points, dist, k).select("src", "dst")
     hits = {name: truth.join(build(points, dist, k).select("src", "dst").distinct(), ["src", "dst"]).count() for name, build in (("nn_descent", nn_descent), ("small_world", small_world))}
     return max(sorted(hits), key=hits.__getitem__)
+
+
+def tune_shared(points: DataFrame, queries: DataFrame, dist, grid: tuple[int, ...] = (500, 1000, 2000), mi: int = 32, target: float = 0.9, k: int = 10) -> tuple[int, int, float]:
+    """(m, t, share of the points that are candidates): the cheapest of a grid of pivot numbers that reaches the recall.
+
+    Numbers of pivots beyond a tenth of the points are left out; (0, 1, 1.0) if none is left.
+    """
+    truth, n, q, best = S.exact_knn(points, queries, dist, k), points.count(), queries.count(), (0, 1, 1.0)
+    for m in grid:
+        if m < mi or m > n // 10:
+            continue
+        index = SharedPivots(points, dist, m, mi=mi)
+        t = tune_t(index, queries, truth, target, k)[0]
+        share = index.candidates(queries, t=t, merge="scan").count() / max(1, n * q)
+        if best[0] == 0 or share < best[2]:
+            best = (m, t, share)
+    return best
+
+
+def tune_graph(points: DataFrame, dist, grid: tuple[int, ...] = (5, 10, 20), decays: tuple[float, ...] = (1.0, 0.7), target: float = 0.9, k: int = 10) -> tuple[int, float, float]:
+    """(neighbours, decay, recall) of the first graph of a grid whose edges hold that share of the true k nearest, or the best."""
+    from .graphs import exact_graph, nn_descent
+
+    truth, best = exact_graph(points, dist, k).select("src", "dst"), (grid[0], decays[0], 0.0)
+    total = truth.count()
+    for size in grid:
+        for decay in decays:
+            found = truth.join(nn_descent(points, dist, size, decay=decay).select("src", "dst").distinct(), ["src", "dst"]).count() / max(1, total)
+            if found > best[2]:
+                best = (size, decay, found)
+            if found >= target:
+                return best
+    return best

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from ..functions.distances import distance, rank_keys
 from ..functions.hashing import gaussian_of, uniform_of
 from .pivots import matrix, see, select_pivots
-from .search import query_block, ranked, refine
+from .search import Kept, tiles, query_block, ranked, refine
 
 
 def gaussian_matrix(rows: int, columns: int, seed: int = 17) -> np.ndarray:
@@ -185,15 +185,16 @@ class MedianRank:
         qids, own, voters = np.array(sorted(held), np.int64), np.array([held[q] for q in sorted(held)]), self.voters
 
         def run(source):
+            best = [Kept(len(qids), depth) for _ in range(voters)]
             for batch in source:
                 if not len(batch) or not len(qids):
                     continue
                 ids, y = batch.column(0).to_numpy(), matrix(batch.column(1), "vector")
                 for v in range(voters):
-                    gap = rank_keys(np.abs(y[None, :, v] - own[:, v, None]))
-                    n = min(depth, len(ids)) - 1
-                    q, p = np.nonzero(gap <= np.partition(gap, n, 1)[:, n : n + 1])
-                    yield pa.RecordBatch.from_pydict({"qid": qids[q], "voter": np.full(len(q), v, np.int32), "id": ids[p], "gap": gap[q, p]})
+                    for a, b in tiles(len(ids), len(qids)):
+                        best[v].add(a, rank_keys(np.abs(y[None, :, v] - own[a:b, v, None])), ids)
+            for v, x in enumerate(best):
+                yield pa.RecordBatch.from_pydict({"qid": qids[x.q], "voter": np.full(len(x.q), v, np.int32), "id": x.id, "gap": x.key})
 
         near = self.lines(self.points, "id").mapInArrow(run, "qid long, voter int, id long, gap long")
         w = Window.partitionBy("qid", "voter").orderBy("gap", "id")

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import methods, rivals, studies, usage
+from . import experiments, methods, rivals, studies, usage
 
-_PARTS = (methods, rivals, studies, usage)
+_PARTS = (methods, rivals, studies, usage, experiments)
 
 
 def flagship(spark, sf_dir):

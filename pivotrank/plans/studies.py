@@ -82,9 +82,10 @@ def _scatter(name, points, dist, m):
         pivots = select_pivots(pts, m)
         p = see(pts.select("id", "x"), pivots, dist, want=("ord", "rank")).select("id", "rank")
         q = see(qs.select("qid", "x"), pivots, dist, want=("ord", "rank")).select("qid", F.col("rank").alias("qr"))
-        every = S.exact_knn(pts, qs, dist, 1 << 30)
-        uniform = every.where(F.pmod(F.col("id") * 7 + F.col("qid"), F.lit(8)) == 0).select(F.lit("all").alias("stratum"), "qid", "id", "dist")
-        near = every.where("rnk <= 100").select(F.lit("near").alias("stratum"), "qid", "id", "dist")
+        asked = F.broadcast(qs.select("qid", F.col("x").alias("q")))
+        sampled = pts.select("id", "x").join(asked, F.pmod(F.col("id") * 7 + F.col("qid"), F.lit(8)) == 0)
+        uniform = sampled.select(F.lit("all").alias("stratum"), "qid", "id", D.distance(dist)(F.col("x"), F.col("q")).alias("dist"))
+        near = S.exact_knn(pts, qs, dist, 100).select(F.lit("near").alias("stratum"), "qid", "id", "dist")
         return uniform.unionByName(near).join(p, "id").join(F.broadcast(q), "qid").select("stratum", "qid", "id", F.round("dist", 6).alias("dist"), D.rho(F.col("rank"), F.col("qr")).alias("projected"))
 
     every = f"every AS (SELECT qid, id FROM pts, qs), {T.refined('every', dist, 1 << 30, name='ranked')}"

@@ -13,9 +13,9 @@ SCHEMAS = {
     "customer": "c_custkey long, c_name string, c_nationkey int, c_acctbal double, c_mktsegment string",
     "supplier": "s_suppkey long, s_name string, s_nationkey int, s_acctbal double",
     "part": "p_partkey long, p_name string, p_brand string, p_type string, p_size int, p_retailprice double",
-    "orders": "o_orderkey long, o_custkey long, o_orderstatus string, o_totalprice double, o_orderdate timestamp, o_orderpriority string",
-    "lineitem": "l_orderkey long, l_partkey long, l_suppkey long, l_linenumber int, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_returnflag string, l_linestatus string, l_shipdate timestamp",
-    "events": "event_id long, ts timestamp, user_id long, event_type string, value double, props string",
+    "orders": "o_orderkey long, o_custkey long, o_orderstatus string, o_totalprice double, o_orderdate timestamp_ntz, o_orderpriority string",
+    "lineitem": "l_orderkey long, l_partkey long, l_suppkey long, l_linenumber int, l_quantity double, l_extendedprice double, l_discount double, l_tax double, l_returnflag string, l_linestatus string, l_shipdate timestamp_ntz",
+    "events": "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string",
     "documents": "doc_id long, text string, lang string, source string, n_chars long",
     "embeddings": "vec_id long, embedding array<float>, label int",
     "pages": "page_id long, url string, html string",
@@ -26,8 +26,8 @@ SCHEMAS = {
 
 
 def table(spark: SparkSession, folder: str, name: str) -> DataFrame:
-    """A table by name; the readers of Spark see the path, so any store will do."""
-    return spark.read.parquet(f"{folder}/{name}.parquet")
+    """A table by name, with its fixed schema; the readers of Spark see the path, so any store will do."""
+    return spark.read.schema(SCHEMAS[name]).parquet(f"{folder}/{name}.parquet")
 
 
 def write_index(frame: DataFrame, path: str, keys: list[str], order: list[str] | None = None, **manifest) -> None:
@@ -43,6 +43,12 @@ def read_index(spark: SparkSession, path: str) -> tuple[DataFrame, dict]:
     return spark.read.parquet(f"{path}/data"), json.loads(spark.read.text(f"{path}/manifest").first()["value"])
 
 
+def write_bucketed(frame: DataFrame, name: str, keys: list[str], buckets: int, order: list[str] | None = None) -> DataFrame:
+    """A table in the warehouse dealt into buckets by ``keys``, so that joins and aggregates by them need no shuffle."""
+    frame.write.mode("overwrite").bucketBy(buckets, *keys).sortBy(*(order or keys)).format("parquet").saveAsTable(name)
+    return frame.sparkSession.table(name)
+
+
 def read_points(spark: SparkSession, path: str, kind: str, schema: str) -> DataFrame:
     """Points from csv, json, orc, parquet or text files, with a fixed schema."""
     reader = spark.read.schema(schema)

@@ -60,3 +60,34 @@ def drain(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
     query.awaitTermination()
     return stream.sparkSession.table(name)
+
+
+def search_stream(queries: DataFrame, index, k: int, path: str, checkpoint: str, **options):
+    """Starts a stream that answers arriving queries (qid, x) from a static index; each batch's answers go to a folder of its own."""
+
+    def answer(batch: DataFrame, number: int) -> None:
+        index.search(batch.select("qid", "x"), k, **options).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return queries.writeStream.foreachBatch(answer).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def first_seen(events: DataFrame, late: str = "1 hour") -> DataFrame:
+    """Each event_id once, however often it arrives within the watermark."""
+    return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def running_mix(events: DataFrame) -> DataFrame:
+    """(user_id, n, and a count for each kind): a user's histogram so far, kept as state; one row a user and batch."""
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    def update(key, batches, state):
+        held = list(state.get) if state.exists else [0] * len(KINDS)
+        for batch in batches:
+            counts = batch["event_type"].value_counts()
+            held = [h + int(counts.get(kind, 0)) for h, kind in zip(held, KINDS, strict=True)]
+        state.update(tuple(held))
+        yield pd.DataFrame([[key[0], sum(held), *held]], columns=["user_id", "n", *KINDS])
+
+    kinds = ", ".join(f"{k} long" for k in KINDS)
+    return events.select("user_id", "event_type").groupBy("user_id").applyInPandasWithState(update, f"user_id long, n long, {kinds}", kinds, "update", GroupStateTimeout.NoTimeout)
