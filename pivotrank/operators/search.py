@@ -43,7 +43,10 @@ class Kept:
         n = min(self.k, keys.shape[1]) - 1
         edge = np.minimum(np.partition(keys, n, 1)[:, n] if n + 1 == self.k else np.iinfo(np.int64).max, self.edge[first : first + len(keys)])
         q, p = np.nonzero(keys <= edge[:, None])  # all that tie with the last, as ids break ties
-        new = q + first, keys[q, p], ids[p], (keys if values is None else values)[q, p].astype(np.float64)
+        self.merge(q + first, keys[q, p], ids[p], (keys if values is None else values)[q, p].astype(np.float64))
+
+    def merge(self, *new: np.ndarray) -> None:
+        """Rows (query number, key, id, value), few of each query: all that is kept is put in order again."""
         q, key, id, value = (np.concatenate(x) for x in zip((self.q, self.key, self.id, self.value), new, strict=True))
         order = np.lexsort((id, key, q))
         q, key, id, value = q[order], key[order], id[order], value[order]

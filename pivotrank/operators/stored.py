@@ -129,15 +129,27 @@ class StoredSharedPivots:
             return refine(self.candidates(queries, t), points, queries, self.dist, k, self.side)
         qids, held = query_block(queries, self.dist.payload)
         best, d, side = Kept(len(qids), k), self.dist, self.side
+        rows: list = []  # of some queries and chunks, merged together
+
+        def merge():
+            if rows:
+                best.merge(*(np.concatenate(x) for x in zip(*rows, strict=True)))
+                rows.clear()
 
         def use(q, counts, ids, x):
             at = np.flatnonzero(counts >= t)
             if len(at):
-                far = d.between(x[at], held[q : q + 1], side).T
-                best.add(q, rank_keys(far), ids[at], far)
+                far = d.between(x[at], held[q : q + 1], side)[:, 0]
+                keys = rank_keys(far)
+                edge = min(best.edge[q], np.partition(keys, k - 1)[k - 1] if len(keys) > k else best.edge[q])
+                near = np.flatnonzero(keys <= edge)
+                rows.append((np.full(len(near), q), keys[near], ids[at[near]], far[near]))
+                if len(rows) >= 1000:
+                    merge()
             return ()
 
         def finish():
+            merge()
             yield pa.RecordBatch.from_pydict({"qid": qids[best.q], "id": best.id, "dist": best.value})
 
         return ranked(self._counted(queries, use, "qid long, id long, dist double", finish), k)
