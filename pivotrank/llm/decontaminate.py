@@ -2,10 +2,13 @@
 
 Words (runs of letters, digits and non-ASCII characters, A-Z lower-cased) hash into ``2 ** bits``
 features. Passages are TF-IDF vectors; the inverse document frequencies are counted over all documents.
-A randomised SVD gives the latent space: a random basis goes through the passages' Gram matrix
-``rounds`` times, each task adding up its passages' share, and is made orthonormal between rounds.
-Latent axes are scaled to equal variance, so the few that only tell languages apart do not outweigh
-the rest. Every passage of every document counts in the basis, and every one is searched.
+A randomised SVD of one pass gives the latent space: each task adds up its passages' share of their
+Gram matrix times a random orthonormal basis, and the sum's Nystrom form gives the right singular
+vectors; ``rounds`` passes of subspace iteration may come before. Latent axes are scaled to equal
+variance, so the few that only tell languages apart do not outweigh the rest. What a feature has outside
+those axes, nearly all of a rare word, is projected at random into the same coordinates, weighed as REST
+times the last axis, so that words too rare for an axis still tell passages apart.
+Every passage of every document counts in the basis, and every one is searched.
 
 Search: a document's words become running sums of latent vectors, from which windows of several
 lengths, one every ``stride`` words, follow as differences. Each benchmark item is compared by cosine
@@ -41,8 +44,9 @@ BITS, DIMS, OVER = 14, 128, 16
 PASSAGE, STRIDE = 64, 8
 WIDTHS = (8, 16, 24, 32, 40, 48, 64, 72)
 ANCHOR = 8
+REST = 0.5
 COSINE, LCS, ANSWER, VERBATIM = 0.5, 0.6, 0.5, 0.8
-GROUP = 24
+GROUP, SUMS = 24, 256
 _CUT = np.ones(256, bool)
 _CUT[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = False
 
@@ -127,7 +131,7 @@ def _gram(docs: DataFrame, basis: np.ndarray, idf: np.ndarray, bits: int) -> np.
                     held, at = np.unique(feature[i:j], return_inverse=True)
                     dense = np.zeros((GROUP, len(held)), np.float32)
                     dense[passage[i:j] - k * GROUP, at] = value[i:j]
-                    total[held] += dense.T @ (dense @ basis[held])
+                    total[held] += dense.T @ (dense @ basis.take(held, 0))
         blocks = total.reshape(-1, rows_a_block * dims)
         yield pa.RecordBatch.from_pydict({"block": pa.array(range(len(blocks)), pa.int32()), "n": pa.array([0] * len(blocks), pa.int64()), "counts": pa.array([b.tobytes() for b in blocks], pa.binary())})
 
@@ -136,6 +140,18 @@ def _gram(docs: DataFrame, basis: np.ndarray, idf: np.ndarray, bits: int) -> np.
     return out.reshape(size, dims).astype(np.float64)
 
 
+def _nystrom(image: np.ndarray, basis: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Eigenvalues, largest first, and eigenvectors of G, from G times an orthonormal basis.
+
+    A small multiple of the identity is added to G and taken off the eigenvalues, as the core may lack full rank.
+    """
+    shift = 1e-6 * max(float(np.linalg.norm(image, 2)), 1e-9)
+    image = image + shift * basis
+    core, turn = np.linalg.eigh((basis.T @ image + image.T @ basis) / 2)
+    vectors, values, _ = np.linalg.svd(image @ (turn / np.sqrt(np.maximum(core, shift / 2))), full_matrices=False)
+    return np.maximum(values**2 - shift, 0), vectors
+
+
 @dataclass
 class LatentSpace:
     table: np.ndarray  # features by latent axes: idf times right singular vectors, scaled; a last row of zeros
@@ -145,23 +161,25 @@ class LatentSpace:
         return self.table[_features(hashes, self.bits)]
 
 
-def fit(docs: DataFrame, bits: int = BITS, dims: int = DIMS, rounds: int = 2, seed: int = 5) -> LatentSpace:
+def fit(docs: DataFrame, bits: int = BITS, dims: int = DIMS, rounds: int = 0, seed: int = 5) -> LatentSpace:
     """The latent space of the documents' passages."""
     idf = inverse_frequencies(docs, bits)
-    basis = np.random.default_rng(seed).standard_normal((1 << bits, dims + OVER)).astype(np.float32)
+    basis = np.linalg.qr(np.random.default_rng(seed).standard_normal((1 << bits, dims + OVER)))[0].astype(np.float32, order="C")
     for _ in range(rounds):
         image = _gram(docs, basis, idf, bits)
         if not image.any():
             break
-        basis = np.linalg.qr(image)[0].astype(np.float32)
+        basis = np.linalg.qr(image)[0].astype(np.float32, order="C")
     image = _gram(docs, basis, idf, bits)
-    values, turn = np.linalg.eigh(basis.T.astype(np.float64) @ image)
-    order = np.argsort(values)[::-1][:dims]
-    scale = 1 / np.sqrt(np.maximum(values[order], 1e-9 * max(values.max(), 1e-9)))
-    vectors = (basis @ turn[:, order]) * scale
-    del image, basis
+    values, vectors = _nystrom(image, basis.astype(np.float64))
+    values, vectors = values[:dims], vectors[:, :dims]
+    least = 1e-9 * max(values.max(), 1e-9)
+    rest = np.random.default_rng(seed + 1).standard_normal(vectors.shape) / np.sqrt(dims)
+    rest -= vectors @ (vectors.T @ rest)
+    vectors = vectors / np.sqrt(np.maximum(values, least)) + REST * rest / np.sqrt(max(values[-1], least))
+    del image, basis, rest
     release()
-    return LatentSpace(np.vstack((idf[:, None] * vectors, np.zeros((1, vectors.shape[1])))).astype(np.float32), bits)
+    return LatentSpace(np.vstack((idf[:, None] * vectors, np.zeros((1, vectors.shape[1])))).astype(np.float32, order="C"), bits)  # rows are gathered
 
 
 def common(item: dict[int, int], full: int, words: list[int]) -> int:
@@ -234,7 +252,7 @@ def prepare(items: list[tuple[int, str]], space: LatentSpace) -> Items:
 def search(texts: list[bytes], space: LatentSpace, items: Items, cosine=COSINE, lcs=LCS, answer=ANSWER, verbatim=VERBATIM, stride: int = STRIDE) -> list[list[dict]]:
     """For each text its leaks: item_id, cosine, lcs and answer shares, first word of the window."""
     out: list[list[dict]] = []
-    for a, b in batches(texts, 1 << 20):
+    for a, b in batches(texts, 1 << 18):  # windows' sums stay in the cache
         words = _words(texts[a:b])
         found: list[dict[int, dict]] = [{} for _ in range(b - a)]
         pad = WIDTHS[-1] // stride
@@ -253,8 +271,9 @@ def search(texts: list[bytes], space: LatentSpace, items: Items, cosine=COSINE,
                     part = window[d : d + 8192]
                     least = cosine * np.maximum(np.sqrt(np.einsum("ij,ij->i", part, part)), 1e-9)
                     near = part @ vectors
+                    rows, columns = np.divmod(np.flatnonzero(near >= least[:, None]), near.shape[1])
                     last, around = -1, set()
-                    for w, i in np.argwhere(near >= least[:, None]).tolist():
+                    for w, i in zip(rows.tolist(), columns.tolist(), strict=True):
                         number, doc = int(mine[c + i]), doc_of[d + w]
                         at = int(d + w - begin[doc]) * stride
                         if w != last:  # words of the widest stretch that an item can be compared with here
@@ -301,14 +320,10 @@ def _stride_sums(words, space: LatentSpace, stride: int, pad: int) -> tuple[np.n
     nothing = len(space.table) - 1  # a row of zeros
     feature = np.full((begin[-1] + pad) * stride, nothing, np.int32)
     feature[np.arange(len(words.hash)) + (begin[:-1] * stride - words.first[:-1])[words.doc]] = _features(words.hash, space.bits)
-    feature = feature.reshape(-1, stride)
-    out = np.empty((len(feature), space.table.shape[1]), np.float32)
-    for a in range(0, len(feature), 2048):
-        part = feature[a : a + 2048]
-        total = space.table[part[:, 0]]
-        for j in range(1, stride):
-            total += space.table[part[:, j]]
-        out[a : a + 2048] = total
+    out = np.empty((len(feature) // stride, space.table.shape[1]), np.float32)
+    for a in range(0, len(out), SUMS):
+        part = out[a : a + SUMS]
+        space.table.take(feature[a * stride : (a + len(part)) * stride], 0).reshape(len(part), stride, -1).sum(1, out=part)
     return begin, out
 
 
