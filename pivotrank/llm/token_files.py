@@ -39,7 +39,7 @@ from .session import cut, parts_for, small_batches, text_bytes
 
 _NULL = np.iinfo(np.int64).min
 BLOCK_IDS, FILE_IDS, PART_BYTES = 1 << 17, 2_000_000, 32 << 20
-CACHE_BYTES, LONG = 192 << 20, 64
+CACHE_BYTES, LONG, JOINED = 192 << 20, 64, 16
 _FUNCTIONS = {
     "token_file_pack": ("Pack", "binary"),
     "token_file_unpack": ("Unpack", "array<struct<doc_id: bigint, before: bigint, n_tokens: bigint, ids: binary>>"),
@@ -59,6 +59,10 @@ class Encoder:
         cut = json.loads(spec).get("pre_tokenizer") or {}
         self.segmented = cut.get("type") == "ByteLevel" and cut.get("use_regex", True) and not cut.get("add_prefix_space") and not json.loads(spec).get("normalizer")
         special = [t.content for t in self.tool.get_added_tokens_decoder().values()]
+        self.segmented = self.segmented and not any(" " in t for t in special)
+        vocab = self.tool.get_vocab()
+        self.opens = np.zeros(max(vocab.values(), default=0) + 1, bool)  # ids of pieces that begin with a space
+        self.opens[[i for piece, i in vocab.items() if piece.startswith("\u0120")]] = True
         self.special = re.compile("|".join(map(re.escape, special))) if special else None
         self.held: dict[str, bytes] = {}  # segments without the space before them
         self.size = 0
@@ -66,6 +70,20 @@ class Encoder:
     def _ids(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tool.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _segments(self, segments: list[str]) -> list[bytes]:
+        """Ids of segments with the space before them, several in one text: a piece that begins with a space opens the next."""
+        out: dict[str, bytes] = {}
+        some = [s for s in segments if s and len(s) <= LONG and not s[-1].isspace()]
+        joined = [some[a : a + JOINED] for a in range(0, len(some), JOINED)]
+        for group, ids in zip(joined, self._ids([" " + " ".join(g) for g in joined]), strict=True):
+            at = (np.flatnonzero(self.opens[np.frombuffer(ids, np.uint32)]) * 4).tolist()
+            if len(at) == len(group) and at[0] == 0:
+                at.append(len(ids))
+                out.update(zip(group, (ids[a:b] for a, b in zip(at, at[1:], strict=False)), strict=True))
+        rest = [s for s in segments if s not in out]
+        out.update(zip(rest, self._ids([" " + s for s in rest]), strict=True))
+        return [out[s] for s in segments]
+
     def encode(self, texts: list[str], end_id: int) -> list[bytes]:
         """Ids of each text and the end id, as little-endian unsigned 32-bit integers."""
         out, end, held = [], array("I", [end_id]).tobytes(), self.held
@@ -77,17 +95,21 @@ class Encoder:
             if self.size > CACHE_BYTES:
                 held.clear()
                 self.size = 0
+            known, unknown, new = [], [], {}
             for c in cuts:
                 del c[0]
-            new = list({s for c in cuts for s in c if s not in held})
-            made = self._ids([" " + s for s in new])
-            held.update(zip(new, made, strict=True))
-            for f, c in zip(first, cuts, strict=True):
-                out.append(f + b"".join(map(held.__getitem__, c)) + end)
+                got = list(map(held.get, c))
+                lacks = [i for i, x in enumerate(got) if x is None] if None in got else []
+                new.update((c[i], b"") for i in lacks)
+                known.append(got)
+                unknown.append(lacks)
+            new = dict(zip(new, self._segments(list(new)), strict=True))
+            for f, c, got, lacks in zip(first, cuts, known, unknown, strict=True):
+                for i in lacks:
+                    got[i] = new[c[i]]
+                out.append(f + b"".join(got) + end)
+            held.update((s, x) for s, x in new.items() if len(s) <= LONG)
             self.size += 200 * len(new)  # about what an entry takes
-            for s in new:
-                if len(s) > LONG:
-                    del held[s]
         return out
 
 
