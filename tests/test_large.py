@@ -52,3 +52,37 @@ def test_a_batch_of_the_small_world_is_one_pass(world, spark):
     jobs = len(tracker.getJobIdsForGroup("small world"))
     spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
     assert edges.select("src").distinct().count() == points.count() and jobs < 90
+
+
+def test_trigram_counts_equal_a_plain_count():
+    import random
+
+    import pyarrow as pa
+
+    draw = random.Random(5)
+    texts = ["".join(draw.choice("abCDz éKK\n") for _ in range(draw.choice((0, 1, 2, 3, 5, 40, 700)))) for _ in range(60)] + [None, "", "ab", "abc", "x" * 9]
+    expected = []
+    for t in texts:
+        s = [ord(c.lower()) for c in t or "" if c.isascii() and c.isalpha()]
+        row = [0] * 282
+        for i in range(len(s) - 2):
+            row[(s[i] * 961 + s[i + 1] * 31 + s[i + 2]) % 282] += 1
+        expected.append(row)
+    for most in (1, 100, 1 << 20):
+        assert W.trigram_counts(pa.array(texts), 282, most).tolist() == expected
+    assert W.trigram_counts(pa.array(texts).slice(7, 30), 282).tolist() == expected[7:37]
+
+
+def test_descriptors_make_no_row_for_a_trigram(spark):
+    frame = W.descriptors(spark, SMALL, normalise=True)
+    plan = frame._jdf.queryExecution().executedPlan().toString()
+    assert "Generate" not in plan and "Exchange" not in plan
+
+
+def test_descriptors_put_rows_of_one_id_together(spark, tmp_path):
+    rows_ = [(1, "abcd"), (1, "Abc"), (2, "xyz"), (3, "no"), (4, None)]
+    spark.createDataFrame(rows_, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["id"]: r["x"] for r in W.descriptors(spark, str(tmp_path)).collect()}
+    assert set(got) == {1, 2} and sum(got[1]) == 3.0 and max(got[1]) == 2.0
+    shares = {r["id"]: r["x"] for r in W.descriptors(spark, str(tmp_path), normalise=True).collect()}
+    assert abs(sum(shares[1]) - 1) < 1e-12 and max(shares[1]) == 2 / 3
