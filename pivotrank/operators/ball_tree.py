@@ -20,10 +20,12 @@ from pyspark.sql.types import LongType, StructField, StructType
 
 from ..functions.distances import Distance, distance
 from ..functions.hashing import order_key, uniform_of
+from .graphs import cut
 from .pivots import matrix
 from .search import MOST_QUERIES, ranked
 
 MOST_LEAVES, SAMPLE = 4096, 32_768
+DEALT = 1 << 15  # points that a task sends down the tree at once
 MOST_VISITS = 1_000_000  # rows of two longs that are broadcast at most
 
 
@@ -81,6 +83,8 @@ class BallTree:
     dist: Distance
     side: str = "left"
     distances: int = 0
+    dealt: DataFrame | None = None
+    number: np.ndarray | None = None  # of a node's pivot among the pivots
 
     def __post_init__(self):
         self.router = Router(self.dist, self.side)
@@ -124,26 +128,50 @@ class BallTree:
         return at
 
     def assigned(self) -> DataFrame:
-        """(id, x, leaf): narrow."""
+        """(id, x, leaf): one narrow pass, kept for all searches."""
+        if self.dealt is not None:
+            return self.dealt
         payload, router = self.dist.payload, self.router
 
         def deal(source):
+            held, size = [], 0
             for batch in source:
-                if len(batch):
-                    yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(router.leaf_of(block_of(batch.column(1), payload)))], names=["id", "x", "leaf"])
+                held.append(batch)
+                size += len(batch)
+                if size >= DEALT:  # a block meets every node once, however few of its points are there
+                    yield close(held)
+                    held, size = [], 0
+            if size:
+                yield close(held)
+
+        def close(held):
+            batch = pa.concat_batches(held)
+            return pa.RecordBatch.from_arrays([*batch.columns, pa.array(router.leaf_of(block_of(batch.column(1), payload)))], names=["id", "x", "leaf"])
 
         rows = self.points.select("id", "x")
-        return rows.mapInArrow(deal, StructType([*rows.schema.fields, StructField("leaf", LongType())]))
-
-    def open_leaves(self, query: np.ndarray, radius: float, alpha: tuple[float, float] = (1.0, 1.0), beta: float = 1.0) -> list[int]:
-        """Leaves that the pruning rule leaves open for a radius. Equality never prunes."""
+        self.dealt = cut(rows.mapInArrow(deal, StructType([*rows.schema.fields, StructField("leaf", LongType())])))
+        return self.dealt
+
+    def _to_pivots(self, queries: np.ndarray) -> np.ndarray:
+        """Distances of queries (rows) to the pivots of all nodes that have one, in order of nodes."""
+        pivots = [n.pivot for n in self.nodes if n.pivot is not None]
+        if not pivots or not len(queries):
+            return np.empty((len(queries), 0))
+        held = np.concatenate(pivots)
+        return self.dist.between(held, queries, self.side).T if self.dist.symmetric else self.dist.between(queries, held, self.side)
+
+    def open_leaves(self, query: np.ndarray, radius: float, alpha: tuple[float, float] = (1.0, 1.0), beta: float = 1.0, known: np.ndarray | None = None) -> list[int]:
+        """Leaves that the pruning rule leaves open for a radius. Equality never prunes. known: the query's row of _to_pivots."""
+        known = self._to_pivots(query)[0] if known is None else known
+        number = np.cumsum([n.pivot is not None for n in self.nodes]) - 1 if self.number is None else self.number
+        self.number = number
         out, stack = [], [0]
         while stack:
             node = self.nodes[at := stack.pop()]
             if node.pivot is None:
                 out.append(at)
                 continue
-            far = float(self.dist.between(query, node.pivot, self.side)[0, 0])
+            far = float(known[number[at]])
             gap = abs(node.radius - far) ** beta - 1e-9
             inside = far <= node.radius
             if not inside or gap * alpha[0] <= radius:
@@ -162,7 +190,10 @@ class BallTree:
         homes = spark.createDataFrame([(int(q), int(leaf)) for q, leaf in zip(qids, self.router.leaf_of(held), strict=True)], "qid long, leaf long")
         first = self._read(homes, queries, k).groupBy("qid").agg(F.max("dist").alias("r"), F.count("*").alias("n"))
         radii = {r["qid"]: r["r"] if r["n"] >= k else math.inf for r in first.collect()}  # one row for each query
-        open_ = [(int(q), leaf) for i, q in enumerate(qids) for leaf in self.open_leaves(held[i : i + 1], radii.get(int(q), math.inf), alpha, beta)]
+        open_ = []
+        for a in range(0, len(qids), 256):
+            known = self._to_pivots(held[a : a + 256])
+            open_ += [(int(q), leaf) for i, q in enumerate(qids[a : a + 256]) for leaf in self.open_leaves(held[a + i : a + i + 1], radii.get(int(q), math.inf), alpha, beta, known[i])]
         return spark.createDataFrame(open_, "qid long, leaf long")
 
     def _read(self, visits: DataFrame, queries: DataFrame, k: int) -> DataFrame:

@@ -105,7 +105,7 @@ _LEVENSHTEIN = ["ball tree with alpha 1 reaches a recall of 0.85", "alpha 0 give
 
 def balltree_levenshtein(spark, d):
     """Edit distance over its length is no metric, so the rule of metrics may lose neighbours, and few are lost."""
-    pts, qs = split_of(spark, d, "sequences_drawn", 20)
+    pts, qs = W.split(G.cut(W.sequences_drawn(spark, d)), 20)  # short strings from whole texts: drawn once
     truth, tree = S.exact_knn(pts, qs, "norm_lev").persist(), B.BallTree.build(pts, "norm_lev", 50)
     found = M.recall(tree.search(qs, 10), truth, ties=True).first()["recall"]
     every = tree.search(qs, 10, alpha=(0.0, 0.0)).exceptAll(truth).isEmpty()

@@ -86,3 +86,45 @@ def test_descriptors_put_rows_of_one_id_together(spark, tmp_path):
     assert set(got) == {1, 2} and sum(got[1]) == 3.0 and max(got[1]) == 2.0
     shares = {r["id"]: r["x"] for r in W.descriptors(spark, str(tmp_path), normalise=True).collect()}
     assert abs(sum(shares[1]) - 1) < 1e-12 and max(shares[1]) == 2 / 3
+
+
+def test_edit_distance_by_bits_equals_the_table():
+    import random
+
+    import numpy as np
+
+    from pivotrank.functions.distances import np_norm_lev
+
+    def plain(a, b):
+        row = list(range(len(b) + 1))
+        for i, c in enumerate(a, 1):
+            new = [i]
+            for j, e in enumerate(b, 1):
+                new.append(min(row[j] + 1, new[-1] + 1, row[j - 1] + (c != e)))
+            row = new
+        return row[-1] / max(1, len(a), len(b))
+
+    draw = random.Random(3)
+    some = lambda letters, sizes: "".join(draw.choice(letters) for _ in range(draw.choice(sizes)))
+    for letters in ("ACGT", "aé中\U0001f600"):
+        x = np.array(["", *[some(letters, range(90)) for _ in range(40)]], object)
+        y = np.array(["", *[some(letters, (1, 5, 31, 63, 64, 65, 80)) for _ in range(20)]], object)
+        assert np_norm_lev(x, y).tolist() == [[plain(a, b) for b in y] for a in x]
+
+
+def test_tree_deals_its_points_once_and_measures_pivots_at_once(spark):
+    from pivotrank.operators.ball_tree import BallTree
+
+    points, queries = W.split(W.sequences_drawn(spark, SMALL), 5)
+    tree = BallTree.build(points, "norm_lev", 10)
+    assert tree.assigned() is tree.assigned()
+    calls = []
+    real = type(tree.dist).between
+    try:
+        type(tree.dist).between = lambda self, *a: calls.append(1) or real(self, *a)
+        tree.visits(queries, 3)
+    finally:
+        type(tree.dist).between = real
+    assert len(calls) <= len(tree.nodes) + 1  # home leaves, and one call for all pivots of all queries
+    truth = S.exact_knn(points, queries, "norm_lev", 3)
+    assert tree.search(queries, 3, alpha=(0.0, 0.0)).exceptAll(truth).isEmpty()
