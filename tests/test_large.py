@@ -128,3 +128,26 @@ def test_tree_deals_its_points_once_and_measures_pivots_at_once(spark):
     assert len(calls) <= len(tree.nodes) + 1  # home leaves, and one call for all pivots of all queries
     truth = S.exact_knn(points, queries, "norm_lev", 3)
     assert tree.search(queries, 3, alpha=(0.0, 0.0)).exceptAll(truth).isEmpty()
+
+
+def test_worked_example_keeps_its_golden_values(spark):
+    from pivotrank.functions import distances as D
+
+    toy = {"a": [1, 2, 3, 4], "b": [1, 2, 4, 3], "c": [2, 3, 1, 4], "d": [3, 2, 4, 1]}
+    frame, q = spark.createDataFrame(list(toy.items()), "point string, rank array<int>").where("point <> 'a'"), F.array(*[F.lit(v) for v in toy["a"]])
+    made = frame.select("point", D.footrule(F.col("rank"), q), D.rho(F.col("rank"), q), D.hamming(D.pack_bits(F.col("rank"), 4, 3), D.pack_bits(q, 4, 3)))
+    assert sorted(map(tuple, made.collect())) == [("b", 2, 2, 0), ("c", 4, 6, 2), ("d", 6, 14, 2)]
+    posts = {p: {i: r for i, r in enumerate(rank) if r <= 2} for p, rank in toy.items()}
+    score = {p: 8 - sum(4 - abs(r - posts["a"][i]) for i, r in own.items() if i in posts["a"]) for p, own in posts.items() if p != "a"}
+    assert score == {"b": 0, "c": 5, "d": 4}
+
+
+@pytest.mark.parametrize("name", ["perm_bytes", "postings_toy", "toy_example", "exact_levenshtein_drawn"])
+def test_queries_read_a_table_and_equal_their_sql(spark, duck, name):
+    from conftest import same
+
+    from pivotrank.plans import registry
+
+    frame = registry.queries()[name](spark, MIDDLE)
+    assert any(p.endswith((".parquet", ".parquet/")) for p in frame.inputFiles())
+    assert same(frame, duck.sql(registry.oracle_sql()[name]))
