@@ -181,6 +181,17 @@ def test_components(spark):
     assert got == {2: 1, 3: 1, 9: 1, 6: 5, 8: 5} | {101 + i: 100 for i in range(40)}
 
 
+def test_few_edges_take_one_checkpoint_and_many_the_same_stars(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    pairs = [(int(a), int(b)) for a, b in rng.integers(-300, 300, (260, 2))] + [(2000 - i, 1999 - i) for i in range(60)]
+    edges, calls = spark.createDataFrame(pairs, "a long, b long"), []
+    monkeypatch.setattr(components, "cut", lambda df, real=components.cut: calls.append(1) or real(df))
+    few = {r.b: r.a for r in components.stars(edges).collect()}
+    assert len(calls) == 1 and components.stars(edges.limit(0)).count() == 0
+    monkeypatch.setattr(components, "FEW", 0)
+    assert few == {r.b: r.a for r in components.stars(edges).collect()} and len(calls) > 4
+
+
 def brute_licenses(text, templates, told, threshold=0.8):
     """Every block of twice a template's words, as a set, against every template."""
     import re
