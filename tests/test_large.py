@@ -44,6 +44,16 @@ def test_walks_and_descent_in_tasks_equal_those_by_joins(world, monkeypatch):
     assert here == made()
 
 
+def test_exact_graph_is_computed_once_and_both_ways_agree(world, monkeypatch):
+    points, _ = world
+    found = G.exact_graph(points, "l2", 6)
+    assert "MapInArrow" not in found._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(G, "GATHERED", 0)
+    by_cells = G.exact_graph(points, "l2", 6)
+    assert "MapInArrow" not in by_cells._jdf.queryExecution().executedPlan().toString()
+    assert rows(by_cells, "src", "dst", "dist") == rows(found, "src", "dst", "dist")
+
+
 def test_a_batch_of_the_small_world_is_one_pass(world, spark):
     points, _ = world
     tracker = spark.sparkContext.statusTracker()
