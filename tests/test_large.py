@@ -54,6 +54,19 @@ def test_exact_graph_is_computed_once_and_both_ways_agree(world, monkeypatch):
     assert rows(by_cells, "src", "dst", "dist") == rows(found, "src", "dst", "dist")
 
 
+def test_descent_hands_pairs_on_in_bounded_batches(world, spark, monkeypatch):
+    points, _ = world
+    d = G.distance("l2")
+    sent = spark.sparkContext.broadcast(G._gathered(points, d))
+    ids = sent.value[0].tolist()
+    near = spark.createDataFrame([(v, u, True) for v in ids[:80] for u in ids[:40]], "v long, u long, fresh boolean").coalesce(1)
+    edges = spark.createDataFrame([(ids[0], ids[-1], 1e9)], "src long, dst long, dist double")
+    made = lambda: G._joined_here(near, edges, sent, d, 1)
+    whole = rows(made(), "src", "dst", "dist")
+    monkeypatch.setattr(G, "PAIRS", 100)
+    assert rows(made(), "src", "dst", "dist") == whole and len(whole) == 40 * 39
+
+
 def test_a_batch_of_the_small_world_is_one_pass(world, spark):
     points, _ = world
     tracker = spark.sparkContext.statusTracker()
