@@ -4,6 +4,7 @@ import collections
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from conftest import MIDDLE, SMALL, same  # noqa: I001
 from pyspark.sql import functions as F
@@ -371,6 +372,30 @@ def test_token_files(spark, odd, tmp_path):
     assert token_files.read_files(spark, folder + "-empty").count() == 0
 
 
+def test_encoder_meets_distinct_segments_once():
+    class Counting(dict):
+        asked = 0
+
+        def get(self, key):
+            self.asked += 1
+            return super().get(key)
+
+    tool = token_files.Encoder(registry.byte_tokenizer())
+    tool.held = Counting()
+    odd = ["", " ", "a ", "a  b", "x\n y", "\u3000 q", "\x85 z", "v\x0b w", "\x1f d", "m\n\nk \nn", "end<|endoftext|> it's", "d\u00e9j\u00e0 vu\n", "\u0120 \u0120", "y" * 99 + " " + "z" * 99]
+    texts = odd + ["the cat and the dog and the end"] * 500
+    data, sizes = tool.encode(pa.array(texts), 7)
+    ids, at = np.frombuffer(data, np.uint32), np.concatenate(([0], np.cumsum(sizes)))
+    for i, e in enumerate(tool.tool.encode_batch_fast(texts, add_special_tokens=False)):
+        assert ids[at[i] : at[i + 1]].tolist() == e.ids + [7]
+    assert at[-1] == len(ids) and tool.held.asked < 30
+    parts = list(token_files._slices(pa.array(["ab", "", "c" * 50, "d", "e"]), 4))
+    assert [(a, p.to_pylist()) for a, p in parts] == [(0, ["ab", ""]), (2, ["c" * 50]), (3, ["d", "e"])]
+    assert list(token_files._slices(pa.array([], pa.string()), 4)) == []
+    data, sizes = tool.encode(pa.array([""]), 7)
+    assert np.frombuffer(data, np.uint32).tolist() == [7] and sizes.tolist() == [1]
+
+
 def test_token_query(spark):
     from tokenizers import Tokenizer
 
