@@ -396,6 +396,15 @@ def test_encoder_meets_distinct_segments_once():
     assert np.frombuffer(data, np.uint32).tolist() == [7] and sizes.tolist() == [1]
 
 
+def test_encoder_parts_marks_from_letters():
+    tool = token_files.Encoder(registry.byte_tokenizer())
+    texts = ["a erresten erresten. erresten,***", "a it's' it's. dogs'. 4.0. x\u00b2. \u65e5. \u00d7. \u00f7, \u00e9! \u024f? \u0250; \u2014. m\n\n. ... ?'s .'ll b"]
+    data, sizes = tool.encode(pa.array(texts), 0)
+    want = [i for t in texts for i in [*tool.tool.encode(t, add_special_tokens=False).ids, 0]]
+    assert np.frombuffer(data, np.uint32).tolist() == want and sizes.sum() == len(want)
+    assert "erresten" in tool.held and not {"erresten.", "erresten,***", "\u00e9!"} & set(tool.held) and {"4.0.", "\u00d7.", "dogs'."} <= set(tool.held)
+
+
 def test_token_query(spark):
     from tokenizers import Tokenizer
 
